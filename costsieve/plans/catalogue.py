@@ -19,6 +19,10 @@ def register(name: str, query: Query, oracle: str | None = None) -> None:
         _ORACLES[name] = oracle
 
 
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _QUERIES["chf_wfpr_by_method"](spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
     return dict(_QUERIES)
 

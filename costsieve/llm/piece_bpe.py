@@ -21,7 +21,7 @@ from . import columns
 from .memo import Memo
 from .staging import ship
 
-MARK = "▁"  # stands for a space in the vocabulary
+MARK = "\u2581"  # stands for a space in the vocabulary
 _RUNS = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 _ENCODERS: dict[str, "PieceEncoder"] = {}
 

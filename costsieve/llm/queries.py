@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, piece_bpe
+from . import byte_tokens, exact_dedup, packing, piece_bpe
 
 
 def tokenizer_path(name: str) -> str:
@@ -35,8 +35,13 @@ def op2_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    coded = byte_tokens.encode(documents(spark, sf_dir), tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
+    return packing.pack(coded, capacity=2048)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op7_best_fit_packing)}
 
 
 def oracle_sql() -> dict[str, str]:

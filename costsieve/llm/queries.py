@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_tokens, exact_dedup, packing, piece_bpe, token_files
+from . import byte_tokens, exact_dedup, packing, piece_bpe, secrets, token_files
 
 
 def tokenizer_path(name: str) -> str:
@@ -35,6 +35,20 @@ def op2_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = secrets.scan(documents(spark, sf_dir))
+
+    def count(kind: str):
+        return F.size(F.filter("signatures", lambda s: s["kind"] == kind)).cast("bigint").alias(f"n_{kind}")
+
+    return found.select(
+        "doc_id",
+        *[count(kind) for kind in ("assign", "access", "hex")],
+        F.sha2(secrets.written(F.col("signatures")), 256).alias("base_sha256"),
+        secrets.written(F.array_sort(F.concat("signatures", "entropies"))).alias("spans"),
+    )
+
+
 def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     coded = byte_tokens.encode(documents(spark, sf_dir), tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
     return packing.pack(coded, capacity=2048)
@@ -51,7 +65,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op7_best_fit_packing, op10_token_files)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op7_best_fit_packing, op10_token_files)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_tokens, exact_dedup, packing, piece_bpe, secrets, token_files
+from . import byte_tokens, exact_dedup, licenses, packing, piece_bpe, secrets, token_files
 
 
 def tokenizer_path(name: str) -> str:
@@ -54,6 +54,10 @@ def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(coded, capacity=2048)
 
 
+def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.summary(licenses.scan(documents(spark, sf_dir)))
+
+
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     coded = byte_tokens.encode(documents(spark, sf_dir), tokenizer_path("word_bpe_49k.json"), end_id=2, keep_white=False)
     return token_files.round_trip(coded).select(
@@ -65,7 +69,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op7_best_fit_packing, op10_token_files)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op7_best_fit_packing, op8_license_scan, op10_token_files)}
 
 
 def oracle_sql() -> dict[str, str]:

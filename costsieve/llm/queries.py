@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_tokens, exact_dedup, licenses, packing, piece_bpe, secrets, token_files
+from . import byte_tokens, exact_dedup, language_id, licenses, media, packing, piece_bpe, secrets, token_files
 
 
 def tokenizer_path(name: str) -> str:
@@ -49,6 +49,20 @@ def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    read = media.feature(media.round_trip(documents(spark, sf_dir)))
+    return read.select(
+        "doc_id",
+        "n_bytes",
+        F.octet_length("payload").cast("bigint").alias("payload_bytes"),
+        F.sha2("payload", 256).alias("payload_sha256"),
+        F.crc32(F.expr("substring(payload, -32)")).alias("tail_crc32"),
+        F.octet_length("media").cast("bigint").alias("media_bytes"),
+        F.sha2("media", 256).alias("media_sha256"),
+        "feature",
+    )
+
+
 def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     coded = byte_tokens.encode(documents(spark, sf_dir), tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
     return packing.pack(coded, capacity=2048)
@@ -58,6 +72,11 @@ def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.summary(licenses.scan(documents(spark, sf_dir)))
 
 
+def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = language_id.identify(documents(spark, sf_dir))
+    return found.select("doc_id", language_id.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
+
+
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     coded = byte_tokens.encode(documents(spark, sf_dir), tokenizer_path("word_bpe_49k.json"), end_id=2, keep_white=False)
     return token_files.round_trip(coded).select(
@@ -69,7 +88,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op7_best_fit_packing, op8_license_scan, op10_token_files)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op5_media_columns, op7_best_fit_packing, op8_license_scan, op9_language_id, op10_token_files)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -6,16 +6,24 @@ from collections.abc import Callable
 
 
 class Memo(dict):
-    """``memo[key]`` is ``make(key)``, remembered for keys of at most ``longest`` characters and for ``room`` keys at a time."""
+    """``memo[key]`` is ``make(key)``, remembered for keys of at most ``longest`` characters.
 
-    def __init__(self, make: Callable, room: int = 400_000, longest: int = 48):
+    When ``room`` keys are held they become the older half, from which keys that are asked for again come back; what was there before goes.
+    """
+
+    def __init__(self, make: Callable, room: int = 300_000, longest: int = 48):
         super().__init__()
         self.make, self.room, self.longest = make, room, longest
+        self.older: dict = {}
 
     def __missing__(self, key):
-        value = self.make(key)
-        if len(key) <= self.longest:
-            if len(self) >= self.room:
-                self.clear()
-            self[key] = value
+        value = self.older.get(key)
+        if value is None:
+            value = self.make(key)
+            if len(key) > self.longest:
+                return value
+        if len(self) >= self.room:
+            self.older = dict(self)
+            self.clear()
+        self[key] = value
         return value

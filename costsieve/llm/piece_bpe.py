@@ -1,6 +1,6 @@
 """Exact merge-type encoding with a SentencePiece BPE vocabulary, by backtracking instead of merging.
 
-An Aho-Corasick automaton lists every vocabulary piece that starts at each position. The encoder tries them from the longest down and
+An Aho-Corasick automaton finds the longest vocabulary piece at a position, a table the next shorter ones. The encoder tries them from the longest down and
 keeps a piece only if it is compatible with the piece before it: merging the two pieces' characters again must give back exactly these two.
 A position from which no piece works is marked in a bitfield and the last piece is taken back. Since a sequence whose neighbours are all compatible
 is the one that merging makes, a marked position can never be right, so each position fails at most once.
@@ -12,6 +12,8 @@ pieces; a null ids array decodes to the empty text; a null doc_id and repeated r
 from __future__ import annotations
 
 import re
+import sys
+from array import array
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -22,7 +24,8 @@ from .memo import Memo
 from .staging import ship
 
 MARK = "\u2581"  # stands for a space in the vocabulary
-_RUNS = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
+LATIN = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f"  # letters, and letters still when lower-cased
+LITTLE = sys.byteorder == "little"
 _ENCODERS: dict[str, "PieceEncoder"] = {}
 
 
@@ -52,13 +55,21 @@ class PieceEncoder:
                 self.surface.append(piece.replace(MARK, " ").encode())
         if any(MARK in piece.lstrip(MARK) for piece in self.ids):
             raise ValueError("pieces that hold a space after other characters are not supported")
+        self.code = {i: piece for piece, i in self.ids.items()}
+        own = {piece for piece in self.ids if len(piece) == 1 or self.merge(piece) == [piece]}
         self.machine = ahocorasick.Automaton()
-        for piece in self.ids:
-            self.machine.add_word(piece, len(piece))
+        for piece in own:
+            self.machine.add_word(piece, (len(piece), self.ids[piece]))
         self.machine.make_automaton()
-        self.fits = Memo(self._fits, room=1_000_000, longest=2)  # keys are (left, right) pairs
-        self.whole = Memo(lambda piece: self.merge(piece) == [piece], room=200_000, longest=64)
-        self.chunks = Memo(self._chunk)
+        self.shorter: dict[int, int] = {}  # the longest piece that a piece begins with, itself aside
+        for piece in own:
+            shorter = next((self.ids[piece[:n]] for n in range(len(piece) - 1, 0, -1) if piece[:n] in own), None)
+            if shorter is not None:
+                self.shorter[self.ids[piece]] = shorter
+        self.size = {self.ids[piece]: len(piece) for piece in own}
+        self.fits: dict[int, bool] = {}
+        self.parts = Memo(self._part)
+        self.cut = self._cutter().findall
 
     def merge(self, text: str) -> list[str]:
         """The definition: join the neighbours whose union scores best, the leftmost of equals, until none is a piece."""
@@ -74,62 +85,100 @@ class PieceEncoder:
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
         return parts
 
-    def _fits(self, pair: tuple[str, str]) -> bool:
-        return self.merge(pair[0] + pair[1]) == list(pair)
+    def _piece(self, i: int) -> str:
+        return self.code[i] if i in self.code else chr(i - len(self.surface))
+
+    def _fit(self, left: int, right: int) -> bool:
+        """Whether merging the characters of two neighbours again gives back the two."""
+        key = left << 32 | right
+        found = self.fits.get(key)
+        if found is None:
+            a, b = self._piece(left), self._piece(right)
+            if len(self.fits) >= 1_000_000:
+                self.fits.clear()
+            found = self.fits[key] = self.merge(a + b) == [a, b]
+        return found
+
+    def longest(self, text: str, at: int) -> int:
+        """The longest piece that starts at ``at``; a character outside the vocabulary counts as vocabulary size plus code point."""
+        for end, (length, piece) in self.machine.iter_long(text, at):
+            if end - length + 1 == at:
+                return piece
+            break
+        return len(self.surface) + ord(text[at])
+
+    def _next(self, text: str, at: int, piece: int) -> int | None:
+        """The next candidate at ``at`` after ``piece``."""
+        found = self.shorter.get(piece)
+        if found is None and self.size.get(piece, 1) > 1:
+            return len(self.surface) + ord(text[at])
+        return found
+
+    def pieces(self, text: str) -> list[int]:
+        greedy = [match for _, match in self.machine.iter_long(text)]
+        out = [piece for _, piece in greedy]
+        fits = self.fits
+        if sum([length for length, _ in greedy]) == len(text):
+            for left, right in zip(out, out[1:]):
+                fit = fits.get(left << 32 | right)
+                if not fit and (fit is not None or not self._fit(left, right)):
+                    break
+            else:
+                return out
+        return self._backtrack(text)
 
-    def pieces(self, text: str) -> list[str]:
-        size = len(text)
-        lengths: list[list[int]] = [[1] for _ in range(size)]
-        for end, length in self.machine.iter(text):
-            if length > 1:
-                lengths[end - length + 1].append(length)
+    def _backtrack(self, text: str) -> list[int]:
+        size, length = len(text), self.size
         failed = bytearray(size // 8 + 1)
-        taken: list[tuple[int, int]] = []  # start, index into lengths[start]
-        out: list[str] = []
-        at, choice = 0, len(lengths[0]) - 1 if size else -1
-        fits, whole = self.fits, self.whole
+        out: list[int] = []
+        at, piece, fits = 0, self.longest(text, 0), self.fits
         while at < size:
-            while choice >= 0:
-                end = at + lengths[at][choice]
-                piece = text[at:end]
-                if not failed[end >> 3] >> (end & 7) & 1 and (len(piece) == 1 or whole[piece]) and (not out or fits[out[-1], piece]):
-                    break
-                choice -= 1
-            if choice < 0:
+            while piece is not None:
+                end = at + length.get(piece, 1)
+                if not failed[end >> 3] >> (end & 7) & 1:
+                    if not out:
+                        break
+                    fit = fits.get(out[-1] << 32 | piece)
+                    if fit or fit is None and self._fit(out[-1], piece):
+                        break
+                piece = self._next(text, at, piece)
+            if piece is None:
                 failed[at >> 3] |= 1 << (at & 7)
-                at, choice = taken.pop()
-                out.pop()
-                choice -= 1
+                piece = out.pop()
+                at -= length.get(piece, 1)
+                piece = self._next(text, at, piece)
             else:
-                taken.append((at, choice))
                 out.append(piece)
                 at = end
-                choice = len(lengths[at]) - 1 if at < size else -1
+                if at < size:
+                    piece = self.longest(text, at)
         return out
 
-    def to_ids(self, pieces: list[str]) -> list[int]:
+    def _part(self, text: str) -> bytes:
+        outside = len(self.surface)
         found: list[int] = []
-        for piece in pieces:
-            if (i := self.ids.get(piece)) is not None:
+        for i in self.pieces(text):
+            if i < outside:
                 found.append(i)
             else:
-                found += [self.bytes_to_id.get(b, self.unknown_id) for b in piece.encode()]
-        return found
-
-    def _chunk(self, bare: str) -> bytes:
-        return b"".join(i.to_bytes(4, "little") for i in self.to_ids(self.pieces(MARK + bare)))
+                found += [self.bytes_to_id.get(b, self.unknown_id) for b in chr(i - outside).encode()]
+        return array("I", found).tobytes() if LITTLE else b"".join(i.to_bytes(4, "little") for i in found)
 
-    def encode(self, text: str) -> bytes:
-        """Little-endian 32-bit ids of a whole text with the end id.
+    def _cutter(self) -> re.Pattern:
+        """Cuts a text only between neighbours that no piece holds side by side, so that no merge crosses a cut.
 
-        No piece holds a space after other characters, so no merge crosses into the next run of spaces: runs are encoded on their own.
+        Spaces never follow other characters inside a piece; of the usual marks those are used that no piece holds after a Latin letter.
         """
-        if not text:
-            return self.end_id.to_bytes(4, "little")
-        words = text.split(" ")
-        if "" in words or MARK in text:
-            words = [run[1:] for run in _RUNS.findall(MARK + text.replace(" ", MARK))]
-        found = list(map(self.chunks.__getitem__, words))
+        pairs = {piece[i : i + 2] for piece in self.ids for i in range(len(piece) - 1)}
+        after = {pair[1] for pair in pairs if re.match(f"[{LATIN}]", pair[0])}
+        marks = "".join(re.escape(c) for c in ".,;:!?|)" if c not in after)
+        alone = "" if any("\n" in pair for pair in pairs) else "\n"
+        line = f"|{alone}" if alone else ""
+        return re.compile(f"{MARK}*[{LATIN}]++(?=[{MARK}{marks}{alone}]|\\Z){line}|{MARK}*[^{MARK}{alone}]+|{MARK}+")
+
+    def encode(self, text: str) -> bytes:
+        """Little-endian 32-bit ids of a whole text with the end id."""
+        found = list(map(self.parts.__getitem__, self.cut(MARK + text.replace(" ", MARK)))) if text else []
         found.append(self.end_id.to_bytes(4, "little"))
         return b"".join(found)
 

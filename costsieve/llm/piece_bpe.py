@@ -68,7 +68,7 @@ class PieceEncoder:
                 self.shorter[self.ids[piece]] = shorter
         self.size = {self.ids[piece]: len(piece) for piece in own}
         self.fits: dict[int, bool] = {}
-        self.parts = Memo(self._part)
+        self.parts = Memo(self._part, room=400_000)
         self.cut = self._cutter().findall
 
     def merge(self, text: str) -> list[str]:
@@ -94,7 +94,7 @@ class PieceEncoder:
         found = self.fits.get(key)
         if found is None:
             a, b = self._piece(left), self._piece(right)
-            if len(self.fits) >= 1_000_000:
+            if len(self.fits) >= 500_000:
                 self.fits.clear()
             found = self.fits[key] = self.merge(a + b) == [a, b]
         return found
@@ -239,9 +239,13 @@ def decode(coded: DataFrame, model_path: str) -> DataFrame:
     ship(coded.sparkSession)
 
     def run(batches):
+        import numpy as np
+
         own = encoder(model_path)
         for batch in slices(batches, "ids", 1 << 20):
-            texts = [own.decode(ids or []) for ids in batch.column("ids").to_pylist()]
+            ids = batch.column("ids")
+            values, ends = ids.flatten().to_numpy(zero_copy_only=False), np.cumsum([0 if n is None else n for n in _lengths(ids)])
+            texts = [own.decode(values[a:b].tolist()) for a, b in zip([0, *ends[:-1].tolist()], ends.tolist())]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("ids"), pa.array(texts, pa.string())], ["doc_id", "ids", "text"])
 
     return columns.pick(coded, doc_id="doc_id", ids="ids").mapInArrow(run, "doc_id bigint, ids array<int>, text string")

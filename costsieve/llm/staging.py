@@ -1,65 +1,5 @@
-"""Tables on the cluster's shared folder: they cut lineage and outlive executors."""
+"""Staged tables and the shipping of the package, as the rest of the library has them."""
 
-from __future__ import annotations
+from ..sources.shared import FALLBACK_DIR, Staging, shared_dir, ship
 
-import os
-import tempfile
-import uuid
-import zipfile
-
-from pyspark.sql import DataFrame, SparkSession
-
-FALLBACK_DIR = "/tmp/checkpoints"
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; only where that is unset, a folder of this machine."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    return (named or FALLBACK_DIR).rstrip("/")
-
-
-class Staging:
-    """A private folder below the shared one that holds the tables of one operator run."""
-
-    live: list["Staging"] = []
-
-    def __init__(self, spark: SparkSession, purpose: str):
-        self.spark = spark
-        self.path = f"{shared_dir(spark)}/costsieve/{purpose}-{uuid.uuid4().hex}"
-        Staging.live.append(self)
-
-    def table(self, df: DataFrame, name: str) -> DataFrame:
-        """Write ``df`` once and return the scan of what was written."""
-        place = f"{self.path}/{name}-{uuid.uuid4().hex[:8]}"
-        df.write.option("compression", "zstd").parquet(place)
-        return self.spark.read.schema(df.schema).parquet(place)
-
-    def drop(self) -> None:
-        """Delete the tables. Call it only when every result derived from them has been written."""
-        jvm = self.spark.sparkContext._jvm
-        where = jvm.org.apache.hadoop.fs.Path(self.path)
-        where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-        if self in Staging.live:
-            Staging.live.remove(self)
-
-    @classmethod
-    def drop_all(cls) -> None:
-        for one in list(cls.live):
-            one.drop()
-
-
-def ship(spark: SparkSession) -> None:
-    """Send this package to the executors, once per session, so that Python workers can import it."""
-    if getattr(spark.sparkContext, "_costsieve_shipped", False):
-        return
-    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
-    name = os.path.basename(root)
-    archive = os.path.join(tempfile.mkdtemp(prefix="costsieve-"), f"{name}.zip")
-    with zipfile.ZipFile(archive, "w") as out:
-        for folder, _, files in os.walk(root):
-            for file in sorted(files):
-                if file.endswith(".py"):
-                    full = os.path.join(folder, file)
-                    out.write(full, os.path.join(name, os.path.relpath(full, root)))
-    spark.sparkContext.addPyFile(archive)
-    spark.sparkContext._costsieve_shipped = True
+__all__ = ["FALLBACK_DIR", "Staging", "shared_dir", "ship"]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 import numpy as np
@@ -200,7 +200,7 @@ class FilterSet:
 
     def detached(self) -> "FilterSet":
         """Without the frame, fit to be sent to workers."""
-        return FilterSet(self.method, None, self.family, self.shards, self.default, self.pool, self.fast, self.total_bits, self.reject_repeats)
+        return replace(self, rows=None)
 
 
 def matrix(column) -> tuple[np.ndarray, np.ndarray]:

@@ -19,13 +19,20 @@ def register(name: str, query: Query, oracle: str | None = None) -> None:
         _ORACLES[name] = oracle
 
 
+def _defined() -> None:
+    from . import definitions  # noqa: F401  registers everything on import
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    _defined()
     return _QUERIES["chf_wfpr_by_method"](spark, sf_dir)
 
 
 def queries() -> dict[str, Query]:
+    _defined()
     return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
+    _defined()
     return dict(_ORACLES)

@@ -11,19 +11,27 @@ from __future__ import annotations
 
 import os
 import re
+import sys
+from array import array
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import columns
 from .memo import Memo
-from .piece_bpe import slices
+from .piece_bpe import LATIN, slices
 from .staging import ship
 
 #: The characters of Unicode's White_Space property.
 WHITE = "\t\n\x0b\x0c\r \x85\xa0  -     　"
-_WITH_LEADING = re.compile(f"[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
-_WORDS = re.compile(f"[^{WHITE}]+")
+#: Marks that begin a pre-token of their own after a Latin letter (the apostrophe may not).
+_END = f"(?=[{WHITE}.,;:!?|)]|\\Z)"
+_WITH_LEADING = re.compile(f"[{WHITE}]*[{LATIN}]++{_END}|[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
+_WORDS = re.compile(f"[{LATIN}]++{_END}|[^{WHITE}]+")
+_LETTERS = re.compile(f" ?[{LATIN}]+")
+#: Byte-level vocabularies write bytes as letters: printable ones stand for themselves, the others for 256 and up, in order.
+_PRINTED = [*range(33, 127), *range(161, 173), *range(174, 256)]
+BYTE_LETTERS = {b: b for b in _PRINTED} | {b: 256 + i for i, b in enumerate(sorted(set(range(256)) - set(_PRINTED)))}
 _CODERS: dict[tuple, "ChunkCoder"] = {}
 
 
@@ -34,11 +42,23 @@ class ChunkCoder:
 
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
+        self.keep_white, self.model = keep_white, self.library.model
         self.find = (_WITH_LEADING if keep_white else _WORDS).findall
         self.chunks = Memo(self._chunk)
 
     def _chunk(self, chunk: str) -> bytes:
-        return b"".join(i.to_bytes(4, "little") for i in self.library.encode(chunk, add_special_tokens=False).ids)
+        """Latin letters are one pre-token, which goes to the library's model at once; anything else takes the library's whole way."""
+        if chunk[0] == "\n" and len(chunk) > 1 and chunk[1] not in WHITE:
+            return self.chunks["\n"] + self.chunks[chunk[1:]]
+        if _LETTERS.fullmatch(chunk):
+            text = chunk if self.keep_white else chunk.lower()
+            ids = [t.id for t in self.model.tokenize(text.encode().decode("latin-1").translate(BYTE_LETTERS))]
+        else:
+            ids = self.library.encode(chunk, add_special_tokens=False).ids
+        codes = array("I", ids)
+        if sys.byteorder != "little":
+            codes.byteswap()
+        return codes.tobytes()
 
     def encode(self, text: str) -> bytes:
         """Little-endian 32-bit ids of the whole text, without an end id."""

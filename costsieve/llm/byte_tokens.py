@@ -29,6 +29,8 @@ _END = f"(?=[{WHITE}.,;:!?|)]|\\Z)"
 _WITH_LEADING = re.compile(f"[{WHITE}]*[{LATIN}]++{_END}|[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
 _WORDS = re.compile(f"[{LATIN}]++{_END}|[^{WHITE}]+")
 _LETTERS = re.compile(f" ?[{LATIN}]+")
+#: Characters that are their own canonical form and have one lower-case letter at most.
+_PLAIN = re.compile("[\\x00-\u012f\u0131-\u024f]*")
 #: Byte-level vocabularies write bytes as letters: printable ones stand for themselves, the others for 256 and up, in order.
 _PRINTED = [*range(33, 127), *range(161, 173), *range(174, 256)]
 BYTE_LETTERS = {b: b for b in _PRINTED} | {b: 256 + i for i, b in enumerate(sorted(set(range(256)) - set(_PRINTED)))}
@@ -62,6 +64,8 @@ class ChunkCoder:
 
     def encode(self, text: str) -> bytes:
         """Little-endian 32-bit ids of the whole text, without an end id."""
+        if not self.keep_white and _PLAIN.fullmatch(text):
+            text = text.lower()  # the library would do so later; capitals would only be further chunks
         return b"".join(map(self.chunks.__getitem__, self.find(text)))
 
 

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_tokens, exact_dedup, language_id, licenses, media, packing, piece_bpe, secrets, token_files
+from . import byte_tokens, exact_dedup, language_id, licenses, media, near_dedup, packing, piece_bpe, secrets, token_files
 
 
 def tokenizer_path(name: str) -> str:
@@ -49,6 +49,10 @@ def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op4_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_report(documents(spark, sf_dir))
+
+
 def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     read = media.feature(media.round_trip(documents(spark, sf_dir)))
     return read.select(
@@ -78,7 +82,7 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    coded = byte_tokens.encode(documents(spark, sf_dir), tokenizer_path("word_bpe_49k.json"), end_id=2, keep_white=False)
+    coded = byte_tokens.encode(token_files.in_order(documents(spark, sf_dir)), tokenizer_path("word_bpe_49k.json"), end_id=2, keep_white=False)
     return token_files.round_trip(coded).select(
         "doc_id",
         "start",
@@ -88,7 +92,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op5_media_columns, op7_best_fit_packing, op8_license_scan, op9_language_id, op10_token_files)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op4_minhash_dedup, op5_media_columns, op7_best_fit_packing, op8_license_scan, op9_language_id, op10_token_files)}
 
 
 def oracle_sql() -> dict[str, str]:

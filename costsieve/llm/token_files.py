@@ -8,13 +8,13 @@ A file is a Parquet container (so that any store Spark writes to will do, with i
     doc_ids              the documents' ids, little-endian 64-bit, and nulls as a bit set
     low, high, samples   Elias-Fano code of the docs+1 boundaries inside the segment: packed low halves, unary high halves, and the place of
                          every 256th set bit for constant-time selection
-    tokens               the concatenated ids, little-endian 32-bit
+    width, tokens        the concatenated ids, little-endian, of 2 bytes each if all of the segment's fit and else of 4
 
 Boundaries inside a segment are 32-bit at most, so no table of 64-bit offsets exists anywhere; a document's global start is its part's start (one
 number per part) plus ``first`` plus a selection.
 
 Defined results: a null or empty text has the end id only; a null doc_id sorts first; rows that repeat a doc_id are documents of their own, ordered by
-their ids; an empty table makes an empty file; other columns are ignored.
+their texts; an empty table makes an empty file; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ SEGMENT_IDS = 1 << 18  # a segment closes at the first document that reaches thi
 SAMPLE = 256
 FILE = (
     "part int, segment int, first bigint, docs int, ids bigint, doc_ids binary, null_ids binary, "
-    "low_bits int, low binary, high binary, samples binary, tokens binary"
+    "low_bits int, low binary, high binary, samples binary, width int, tokens binary"
 )
 
 
@@ -85,8 +85,16 @@ class EliasFano:
         return self.low.nbytes + self.high.nbytes + self.samples.nbytes
 
 
+def in_order(docs: DataFrame) -> DataFrame:
+    """(doc_id, text) over range partitions in ascending order, ready to be encoded and written where they are.
+
+    Texts are dealt out before they are encoded: range bounds are sampled from what is dealt out, and nothing should be encoded twice.
+    """
+    return columns.documents(docs).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
+
+
 def write(coded: DataFrame, path: str) -> None:
-    """Write (doc_id, ids binary) in ascending doc_id order. ``coded`` should be a written table: range bounds are sampled from it."""
+    """Write (doc_id, ids binary), which must be ordered as ``in_order`` leaves it."""
     ship(coded.sparkSession)
 
     def run(batches):
@@ -102,8 +110,8 @@ def write(coded: DataFrame, path: str) -> None:
             bounds = EliasFano.of(np.cumsum([0, *[len(x) // 4 for x in held]]))
             numbers = np.array([0 if d is None else d for d in docs], "<i8").tobytes()
             nulls = np.packbits([d is None for d in docs]).tobytes()
-            row = (part, segment, first, len(docs), size, numbers, nulls, bounds.low_bits, bounds.low.tobytes(), bounds.high.tobytes(), bounds.samples.tobytes(), b"".join(held))
-            kinds = (pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.int32(), *[pa.binary()] * 4)
+            row = (part, segment, first, len(docs), size, numbers, nulls, bounds.low_bits, bounds.low.tobytes(), bounds.high.tobytes(), bounds.samples.tobytes(), *_narrow(b"".join(held)))
+            kinds = (pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.int32(), *[pa.binary()] * 3, pa.int32(), pa.binary())
             names = [c.split()[0] for c in FILE.split(", ")]
             out = pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(row, kinds)], names)
             segment, first, docs, held, size = segment + 1, first + size, [], [], 0
@@ -119,8 +127,7 @@ def write(coded: DataFrame, path: str) -> None:
         if docs:
             yield close()
 
-    ordered = columns.pick(coded, doc_id="doc_id", ids="ids").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "ids")
-    ordered.mapInArrow(run, FILE).write.option("compression", "zstd").parquet(path)
+    columns.pick(coded, doc_id="doc_id", ids="ids").mapInArrow(run, FILE).write.option("compression", "zstd").parquet(path)
 
 
 def read(spark: SparkSession, path: str) -> DataFrame:
@@ -138,18 +145,22 @@ def read(spark: SparkSession, path: str) -> DataFrame:
                 bounds = EliasFano(row["docs"] + 1, row["low_bits"], row["low"], row["high"], row["samples"]).all()
                 nulls = np.unpackbits(np.frombuffer(row["null_ids"], np.uint8))[: row["docs"]].astype(bool)
                 numbers = pa.array(np.frombuffer(row["doc_ids"], "<i8"), mask=nulls)
+                tokens = row["tokens"] if row["width"] == 4 else np.frombuffer(row["tokens"], "<u2").astype("<u4").tobytes()
                 base = starts[row["part"]] + row["first"]
                 offsets = pa.py_buffer((bounds * 4).astype(np.int32).tobytes())
-                ids = pa.Array.from_buffers(pa.binary(), row["docs"], [None, offsets, pa.py_buffer(row["tokens"])])
+                ids = pa.Array.from_buffers(pa.binary(), row["docs"], [None, offsets, pa.py_buffer(tokens)])
                 yield pa.RecordBatch.from_arrays([numbers, pa.array(bounds[:-1] + base), ids], ["doc_id", "start", "ids"])
 
     return segments.mapInArrow(run, "doc_id bigint, start bigint, ids binary")
 
 
+def _narrow(tokens: bytes) -> tuple[int, bytes]:
+    ids = np.frombuffer(tokens, "<u4")
+    return (4, tokens) if len(ids) and ids.max() > 0xFFFF else (2, ids.astype("<u2").tobytes())
+
+
 def round_trip(coded: DataFrame, path: str | None = None) -> DataFrame:
-    """Write ``coded`` to files, at ``path`` or in the shared folder, and read them back."""
-    stage = Staging(coded.sparkSession, "token-files")
-    table = stage.table(columns.pick(coded, doc_id="doc_id", ids="ids"), "ids")
-    path = path or f"{stage.path}/files"
-    write(table, path)
+    """Write ordered ``coded`` to files, at ``path`` or in the shared folder, and read them back."""
+    path = path or f"{Staging(coded.sparkSession, 'token-files').path}/files"
+    write(coded, path)
     return read(coded.sparkSession, path)

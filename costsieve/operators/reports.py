@@ -118,7 +118,7 @@ def as_of(events: DataFrame, versions: DataFrame) -> DataFrame:
     )
     order = Window.partitionBy("user_id").orderBy("ts", F.col("version").asc_nulls_last(), "event_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     carried = both.withColumn("version", F.last("version", ignorenulls=True).over(order))
-    return carried.where("event_id IS NOT NULL").select("event_id", "version")
+    return carried.where("event_id IS NOT NULL").select("event_id", F.coalesce("version", F.lit(-1)).alias("version"))
 
 
 def _as_of(spark, d) -> DataFrame:
@@ -140,10 +140,10 @@ def _lag(spark, d) -> DataFrame:
     for b in (400, 600, 839, 1007):
         rate = bloom.build(s, n * b // 100, Family(), k=3).probe(o).agg(F.lit(b).alias("bits"), F.sum(F.col("hit").cast("int")).alias("fp"))
         rows = rate if rows is None else rows.unionByName(rate)
-    return rows.select("bits", "fp", (F.lag("fp").over(Window.orderBy("bits")) - F.col("fp")).alias("gain"))
+    return rows.select("bits", "fp", F.coalesce(F.lag("fp").over(Window.orderBy("bits")) - F.col("fp"), F.lit(0)).alias("gain"))
 
 
-_LAG = "WITH keys AS ({0}), r AS ({1}) SELECT bits::INT AS bits, fp, lag(fp) OVER (ORDER BY bits) - fp AS gain FROM r".format(
+_LAG = "WITH keys AS ({0}), r AS ({1}) SELECT bits::INT AS bits, fp, coalesce(lag(fp) OVER (ORDER BY bits) - fp, 0) AS gain FROM r".format(
     keys.duck_keyset("lsm_days"),
     " UNION ALL ".join(
         f"""SELECT {b} AS bits, sum(hit::INT)::BIGINT AS fp FROM (SELECT k, bool_and(pos IN (SELECT {_MD5} % (SELECT count(*) * {b} // 100 FROM keys WHERE positive) FROM keys, range(1, 4) r(i) WHERE positive)) AS hit
@@ -164,7 +164,7 @@ QUERIES = (
     ("except_fp", lambda spark, d: (lambda a, b: a.exceptAll(b))(*_filters_of_two(spark, d)), _two_sql("EXCEPT ALL")),
     ("union_keysets", lambda spark, d: keys.load(spark, d, "lsm_days")[0].select("k").unionByName(keys.load(spark, d, "join_reduce")[0].select("k")).distinct(),
      f"SELECT k FROM ({keys.duck_keyset('lsm_days')}) WHERE positive UNION SELECT k FROM ({keys.duck_keyset('join_reduce')}) WHERE positive"),
-    ("asof_filter_version", _as_of, "SELECT e.event_id, p.version FROM (SELECT * FROM events WHERE event_type <> 'purchase') e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'purchase' GROUP BY ALL) p ON e.user_id = p.user_id AND e.ts >= p.ts"),
+    ("asof_filter_version", _as_of, "SELECT e.event_id, coalesce(p.version, -1) AS version FROM (SELECT * FROM events WHERE event_type <> 'purchase') e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'purchase' GROUP BY ALL) p ON e.user_id = p.user_id AND e.ts >= p.ts"),
     ("interval_lookup", _interval, "SELECT p.event_id AS purchase, e.event_id FROM events e JOIN events p ON e.user_id = p.user_id AND e.ts >= p.ts AND e.ts <= p.ts + INTERVAL 1 HOUR WHERE p.event_type = 'purchase' AND e.event_type <> 'purchase'"),
     ("lag_budget_gain", _lag, _LAG),
     ("queue_rank_window", lambda spark, d: keys.load(spark, d, "lsm_days")[1].select("key_id", F.dense_rank().over(Window.orderBy(F.desc("cost"))).alias("dense"), F.rank().over(Window.orderBy(F.desc("cost"))).cast("bigint").alias("rank")),

@@ -245,10 +245,10 @@ def _chains() -> None:
         return chain.walk_relational(rows, F.broadcast(cells), 3)
 
     values = ", ".join(f"({c}, {f}, {str(e).lower()})" for c, f, e in STORED)
-    sql = f"WITH cells(cell, fn, ended) AS (VALUES {values}), k0 AS (SELECT key_id, k, {md5(40)} % {TABLE} AS at FROM ({keys.duck_keyset('lsm_days')})), "
+    sql = f"WITH cells(cell, fn, ended) AS (VALUES {values}), k0 AS (SELECT key_id, k, {md5(40)} % {TABLE} AS spot FROM ({keys.duck_keyset('lsm_days')})), "
     for j in range(3):
-        sql += f"w{j} AS (SELECT p.*, c.fn AS f{j}, c.ended AS e{j} FROM k{j} p LEFT JOIN cells c ON c.cell = p.at), "
-        sql += f"k{j + 1} AS (SELECT * REPLACE ({md5(f'coalesce(f{j}, 1)')} % {TABLE} AS at) FROM w{j}), "
+        sql += f"w{j} AS (SELECT p.*, c.fn AS f{j}, c.ended AS e{j} FROM k{j} p LEFT JOIN cells c ON c.cell = p.spot), "
+        sql += f"k{j + 1} AS (SELECT * REPLACE ({md5(f'coalesce(f{j}, 1)')} % {TABLE} AS spot) FROM w{j}), "
     sql += "z AS (SELECT 1) SELECT key_id, CASE WHEN f0 IS NOT NULL AND f1 IS NOT NULL AND f2 IS NOT NULL AND e2 THEN f0 || ',' || f1 || ',' || f2 END AS subset FROM k3"
     register("chain_walk_relational", walk, sql)
 

@@ -48,7 +48,8 @@ def fp_by_window(probed: DataFrame, kind: str = "tumbling", watermark: str = "1
     held = probed.where("hit").withWatermark("ts", watermark)
     grouped = held.groupBy(windows[kind].alias("w"), *(["user_id"] if kind == "session" else []))
     out = grouped.agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("cost"), 4).alias("cost"))
-    return out.select(F.col("w.start").alias("begin"), F.col("w.end").alias("end"), *(["user_id"] if kind == "session" else []), "n", "cost")
+    wall = lambda c: F.col(c).cast("timestamp_ntz")
+    return out.select(wall("w.start").alias("begin"), wall("w.end").alias("end"), *(["user_id"] if kind == "session" else []), "n", "cost")
 
 
 def dedup(stream: DataFrame, cols: list[str], watermark: str = "1 day") -> DataFrame:
@@ -104,7 +105,7 @@ def late_positives(spark: SparkSession, stream: DataFrame, filt: FilterSet) -> F
 
 
 def _look_ups(df: DataFrame) -> DataFrame:
-    return df.select("event_id", "ts", "user_id", keys.user_day(df).alias("k"), F.col("value").alias("cost"))
+    return df.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", keys.user_day(df).alias("k"), F.col("value").alias("cost"))
 
 
 def _events(spark, d) -> DataFrame:
@@ -137,8 +138,8 @@ look AS (SELECT event_id, ts, user_id, value AS cost FROM events WHERE user_id::
 
 def _dedup(spark, d) -> DataFrame:
     stream = _events(spark, d)
-    twice = stream.withColumn("copy", F.explode(F.array(F.lit(1), F.lit(2))))
-    return drained(dedup(twice, ["event_id"]).select("event_id"))
+    twice = stream.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("copy", F.explode(F.array(F.lit(1), F.lit(2))))
+    return drained(dedup(twice, ["event_id"], "60 days").select("event_id"))
 
 
 def _costs(spark, d) -> DataFrame:

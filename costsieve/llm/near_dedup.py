@@ -5,11 +5,12 @@ equal sets collapse first. The sets left get many universal hash minima; equal b
 pairs whose full sets reach the threshold become links.
 
 No group is ever expanded into all its pairs. First every member of a band's bucket is paired with the bucket's smallest member, and the links that hold give
-components. What is left to compare are members of one bucket that are still in different components: those are put into cells of bounded size, whose
-pairs of cells are screened in blocks, so that no link between different sets that share a band is lost however large the bucket. Skewed buckets are pre-aggregated
-before every exchange, and joins leave it to Spark to split them.
+components. What is left to compare are members of one bucket that are still in different components: those are put into cells of bounded size, and each pair
+of cells compares the full sets of its members and returns only links that join components, so that no link between different sets that share a band is lost
+however large the bucket. Skewed buckets are pre-aggregated before every exchange, and joins leave it to Spark to split them.
 
-At the threshold itself a pair shares none of the 40 bands of 5 rows with a probability of 2e-5 and is screened out with 2e-5.
+At the threshold itself a pair shares none of the 30 bands of 4 rows with a probability of 1e-5. The screen of
+signatures, used for pairs with a bucket's smallest member, loses as few; pairs in larger buckets are compared again without it.
 
 Defined results: a null, empty or blank text has no shingles and is linked with nothing; a null doc_id is linked with nothing, has no component and is kept;
 rows that repeat a doc_id share their links; an empty table gives an empty result; other columns are ignored (report) or passed through (``deduplicate``).
@@ -35,10 +36,10 @@ from .staging import Staging, ship
 class NearOptions:
     words: int = 5
     percent: int = 75  # links have 100 * intersection >= percent * union
-    bands: int = 40
-    rows: int = 5
-    screen: float = 0.62  # least share of equal minima, by one byte each, of pairs that are verified
-    cell: int = 128
+    bands: int = 30
+    rows: int = 4
+    screen: float = 0.58  # least share of equal minima, by one byte each, of pairs that are verified
+    cell: int = 256  # members of a bucket that are compared at once, with as many others
     seed: int = 11
 
 
@@ -174,59 +175,89 @@ def verified(docs: DataFrame, edges: DataFrame, stage: Staging, options: NearOpt
     return both.where(100 * F.col("i") >= options.percent * (F.col("n") - F.col("i"))).select("u", "v")
 
 
-def star_edges(nodes: DataFrame) -> DataFrame:
-    """(u, v): each member of a bucket with the bucket's smallest member."""
+def bucket_members(nodes: DataFrame) -> DataFrame:
+    """(key, node) of all buckets with two members or more."""
     rows = nodes.select("node", F.explode("bands").alias("key"))
-    pivots = rows.groupBy("key").agg(F.min("node").alias("pivot"), F.max("node").alias("last")).where("last > pivot").select("key", "pivot")
-    return rows.join(pivots, "key").where("node > pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
-
-
-def cross_edges(nodes: DataFrame, labels: DataFrame, options: NearOptions) -> DataFrame:
-    """(u, v): pairs in one bucket and not in one component whose sketches agree often enough, found in pairs of bounded cells."""
-    ship(nodes.sparkSession)
-    named = nodes.join(labels.withColumnRenamed("component", "label"), "node", "left").withColumn("label", F.coalesce("label", "node"))
-    rows = named.select("node", "label", F.explode("bands").alias("key"))
-    mixed = rows.groupBy("key").agg(F.min("label").alias("a"), F.max("label").alias("b"), F.count(F.lit(1)).alias("n")).where("a < b AND n > 2")
-    cells = F.ceil(F.col("n") / options.cell)
-    sliced = rows.join(mixed.select("key", cells.alias("cells")), "key").withColumn("cell", F.pmod(F.xxhash64("node"), F.col("cells")))
-    small = nodes.select("node", "sketch")
-    packed = (
-        sliced.join(small, "node")
-        .groupBy("key", "cell")
-        .agg(F.collect_list(F.struct("node", "label", "sketch")).alias("members"), F.min("label").alias("low"), F.max("label").alias("high"))
-    )
-    a = packed.select("key", *[F.col(c).alias(f"{c}_a") for c in ("cell", "members", "low", "high")])
-    b = packed.select("key", *[F.col(c).alias(f"{c}_b") for c in ("cell", "members", "low", "high")])
-    differ = F.greatest("high_a", "high_b") > F.least("low_a", "low_b")
-    pairs = a.join(b, "key").where((F.col("cell_a") <= F.col("cell_b")) & differ).select("members_a", "members_b")
-    least = options.screen * options.bands * options.rows
+    shared = rows.groupBy("key").agg(F.min("node").alias("a"), F.max("node").alias("b")).where("a < b").select("key")
+    return rows.join(shared, "key").select("key", "node")
 
-    def run(batches):
-        for batch in batches:
-            us, vs = [], []
-            sides = []
-            for name in ("members_a", "members_b"):
-                column = batch.column(name)
-                flat = column.flatten()
-                node, label = (np.asarray(flat.field(k)) for k in (0, 1))
-                sketch = np.frombuffer(b"".join(flat.field(2).to_pylist()), np.uint8).reshape(len(node), -1)
-                bounds = np.r_[0, np.cumsum(np.asarray(column.value_lengths()))].astype(int)
-                sides.append((node, label, sketch, bounds))
-            (na, la, sa, ba), (nb, lb, sb, bb) = sides
-            for i in range(batch.num_rows):
-                x, y = slice(ba[i], ba[i + 1]), slice(bb[i], bb[i + 1])
-                r, c = np.nonzero((la[x][:, None] != lb[y][None, :]) & (na[x][:, None] != nb[y][None, :]))
-                for k in range(0, len(r), 1 << 16):
-                    p, q = r[k : k + (1 << 16)], c[k : k + (1 << 16)]
-                    hit = (sa[x][p] == sb[y][q]).sum(axis=1) >= least
-                    us.append(np.maximum(na[x][p[hit]], nb[y][q[hit]]))
-                    vs.append(np.minimum(na[x][p[hit]], nb[y][q[hit]]))
-            u, v = (np.concatenate(z) if z else np.empty(0, np.int64) for z in (us, vs))
-            if len(u):
-                found = np.unique(np.stack([u, v], axis=1), axis=0)
-                yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["u", "v"])
-
-    return pairs.mapInArrow(run, "u bigint, v bigint").distinct()
+
+def star_edges(members: DataFrame) -> DataFrame:
+    """(u, v): each member of a bucket with the bucket's smallest member."""
+    pivots = members.groupBy("key").agg(F.min("node").alias("pivot"))
+    return members.join(pivots, "key").where("node > pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
+
+
+def cross_links(docs: DataFrame, members: DataFrame, labels: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
+    """(u, v): links between members of one bucket that are not in one component yet, enough of them to join what is linked.
+
+    Buckets fall into cells of bounded size, and each pair of cells is one group that holds the full sets of its members. A group counts the codes that
+    its members share, all pairs at once, and returns a forest over components, so that nothing per pair leaves it.
+    """
+    ship(docs.sparkSession)
+    rows = members.join(labels.withColumnRenamed("component", "label"), "node", "left").withColumn("label", F.coalesce("label", "node"))
+    code = F.xxhash64("node")
+    mixed = rows.groupBy("key").agg(
+        F.min("label").alias("a"), F.max("label").alias("b"), F.count(F.lit(1)).alias("n"), F.bit_xor(code).alias("x"), F.sum(code.cast("decimal(38,0)")).alias("y")
+    )
+    # buckets with the same members are looked at once
+    mixed = mixed.where("a < b AND n > 2").groupBy("n", "x", "y").agg(F.min("key").alias("key"))
+    mixed = mixed.select("key", F.ceil(F.col("n") / options.cell).cast("int").alias("cells"))
+    sliced = stage.table(rows.join(mixed, "key").withColumn("cell", F.pmod(code, F.col("cells")).cast("int")), "cells")
+    own = columns.documents(docs).join(sliced.select(F.col("node").alias("__node")).distinct(), F.col("doc_id") == F.col("__node"), "left_semi")
+    sets = shingle_sets(own, options).withColumnRenamed("doc_id", "node")
+    other = F.explode(F.sequence(F.lit(0), F.col("cells") - 1))
+    dealt = sliced.withColumn("other", other).select("key", "node", "label", "cell", F.least("cell", "other").alias("i"), F.greatest("cell", "other").alias("j"))
+    percent = options.percent
+
+    def run(table: pa.Table) -> pa.Table:
+        node, label = (table.column(c).to_numpy() for c in ("node", "label"))
+        codes = table.column("codes").combine_chunks()
+        sizes = np.asarray(codes.value_lengths()).astype(np.int64)
+        return pa.table(dict(zip("uv", _forest(node, label, np.asarray(codes.flatten()), sizes, percent))), schema=pa.schema([("u", pa.int64()), ("v", pa.int64())]))
+
+    return dealt.join(sets, "node").groupBy("key", "i", "j").applyInArrow(run, "u bigint, v bigint").distinct()
+
+
+def _forest(node: np.ndarray, label: np.ndarray, codes: np.ndarray, sizes: np.ndarray, percent: int, width: int = 4096) -> tuple[np.ndarray, np.ndarray]:
+    """Links between members of different labels, none between labels that earlier ones have joined."""
+    names, counts = np.unique(label, return_counts=True)
+    rest = np.flatnonzero(label != names[counts.argmax()])
+    if not len(rest):
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    owner = np.repeat(np.arange(len(node)), sizes)
+    order = np.argsort(codes, kind="stable")
+    codes, owner = codes[order], owner[order]
+    fresh = np.r_[True, codes[1:] != codes[:-1]]
+    place = np.cumsum(fresh) - 1
+    shared = np.bincount(place)[place] > 1  # codes of one member are shared with none
+    owner, place = owner[shared], place[shared]
+    place = np.cumsum(np.r_[True, place[1:] != place[:-1]]) - 1 if len(place) else place
+    common = np.zeros((len(rest), len(node)), np.float32)
+    for begin in range(0, int(place[-1]) + 1 if len(place) else 0, width):
+        low, high = np.searchsorted(place, (begin, begin + width))
+        block = np.zeros((len(node), width), np.float32)
+        block[owner[low:high], place[low:high] - begin] = 1
+        common += block[rest] @ block.T
+    common = np.rint(common).astype(np.int64)
+    linked = 100 * common >= percent * (sizes[rest][:, None] + sizes[None, :] - common)
+    linked &= label[rest][:, None] != label[None, :]
+    root = {int(x): int(x) for x in names}
+
+    def find(x: int) -> int:
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    us, vs = [], []
+    for r, c in zip(*np.nonzero(linked)):
+        a, b = find(int(label[rest[r]])), find(int(label[c]))
+        if a != b:
+            root[max(a, b)] = min(a, b)
+            us.append(max(node[rest[r]], node[c]))
+            vs.append(min(node[rest[r]], node[c]))
+    return np.array(us, np.int64), np.array(vs, np.int64)
 
 
 def near_report(docs: DataFrame, options: NearOptions = NearOptions()) -> DataFrame:
@@ -239,14 +270,14 @@ def near_report(docs: DataFrame, options: NearOptions = NearOptions()) -> DataFr
     first = named.select("set_hash", F.col("doc_id").alias("node"), "bands", "sketch")
     nodes = stage.table(first.join(sets, ["set_hash", "node"], "left_semi").dropDuplicates(["set_hash", "node"]).drop("set_hash"), "nodes")
 
-    stars = stage.table(screened(star_edges(nodes), nodes, options), "star-edges")
-    links = stage.table(verified(docs, stars, stage, options), "star-links")
-    labels = stage.table(components(links, stage), "labels")
+    members = stage.table(bucket_members(nodes), "members")
 
-    rest = stage.table(cross_edges(nodes, labels, options), "cross-edges")
-    more = verified(docs, rest, stage, options)
-    roots = labels.select(F.col("node").alias("u"), F.col("component").alias("v")).where("u <> v")
-    final = stage.table(components(roots.unionByName(more), stage), "components")
+    stars = stage.table(screened(star_edges(members), nodes, options), "edges")
+    first = components(stage.table(verified(docs, stars, stage, options), "links"), stage)
+    first = stage.table(first, "components")
+    more = cross_links(docs, members, first, stage, options)
+    known = first.select(F.col("node").alias("u"), F.col("component").alias("v")).where("u <> v")
+    final = components(known.unionByName(more), stage)
 
     of_set = sets.join(final, "node", "left").select("set_hash", F.coalesce("component", "node").alias("component"))
     of_set = of_set.groupBy("set_hash").agg(F.min("component").alias("component"))

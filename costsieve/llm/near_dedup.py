@@ -280,7 +280,7 @@ def near_report(docs: DataFrame, options: NearOptions = NearOptions()) -> DataFr
     final = components(known.unionByName(more), stage)
 
     of_set = sets.join(final, "node", "left").select("set_hash", F.coalesce("component", "node").alias("component"))
-    of_set = of_set.groupBy("set_hash").agg(F.min("component").alias("component"))
+    of_set = stage.table(of_set.groupBy("set_hash").agg(F.min("component").alias("component")), "of-set")  # plain sides can be split where copies are many
     found = signed.drop("bands", "sketch").join(of_set, "set_hash", "left")
     linked = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
     return found.select("doc_id", "n_shingles", linked.alias("component_id"), linked.eqNullSafe(F.col("doc_id")).alias("kept"))

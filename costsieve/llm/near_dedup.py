@@ -290,3 +290,18 @@ def deduplicate(docs: DataFrame, options: NearOptions = NearOptions()) -> DataFr
     """The rows of each component's smallest doc_id, and all that are linked with nothing, with all their columns."""
     gone = near_report(docs, options).where(~F.col("kept")).select("doc_id").distinct()
     return columns.without(docs, gone)
+
+
+#: Brute force: all pairs that share a shingle, and the closure of their links.
+ORACLE = r"""
+WITH RECURSIVE w AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
+       '[\x20\x09-\x0D]+'), lambda x: x <> '') AS t FROM documents),
+     sh AS (SELECT DISTINCT doc_id, array_to_string(list_slice(t, i, i + 4), ' ') AS s FROM (SELECT doc_id, t, unnest(range(1, greatest(len(t) - 3, 2))) AS i FROM w WHERE len(t) > 0)),
+     n AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY doc_id),
+     pairs AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM sh a JOIN sh b ON a.s = b.s AND a.doc_id < b.doc_id GROUP BY ALL),
+     links AS (SELECT x, y FROM pairs JOIN n nx ON nx.doc_id = x JOIN n ny ON ny.doc_id = y WHERE 100 * c >= 75 * (nx.n + ny.n - c)),
+     sides AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
+     reach(doc_id, root) AS (SELECT doc_id, doc_id FROM w UNION SELECT b.y, r.root FROM reach r JOIN sides b ON b.x = r.doc_id)
+SELECT r.doc_id, coalesce(any_value(n.n), 0) AS n_shingles, min(r.root) AS component_id, r.doc_id = min(r.root) AS kept
+FROM reach r LEFT JOIN n ON n.doc_id = r.doc_id GROUP BY r.doc_id
+"""

@@ -298,11 +298,70 @@ def _lookup(data: bytes, seed: int = 0) -> int:
     return mix(a, b, c)[2]
 
 
-def _city_like(data: bytes) -> int:
-    """Stand-in for a 64-bit city-style function, for which no package is installed: a 64-bit hash of another construction than number 1."""
-    import xxhash
-
-    return xxhash.xxh3_64_intdigest(data) >> 4
+# The multipliers of the city family.
+C0, C1, C2, CM = 0xC3A5C85C97CB3127, 0xB492B66FBE98F273, 0x9AE16A3B2F90404F, 0x9DDFEA08EB382D69
+M64 = (1 << 64) - 1
+
+
+def _city(data: bytes) -> int:
+    """64-bit function of the city family, by its public definition; the top 60 bits."""
+    n = len(data)
+    word = lambda at: int.from_bytes(data[at : at + 8], "little")
+    turn = lambda x, r: (x >> r | x << 64 - r) & M64
+    swap = lambda x: int.from_bytes((x & M64).to_bytes(8, "little"), "big")
+    mix = lambda x: x ^ x >> 47
+
+    def pair(u: int, v: int, mul: int = CM) -> int:
+        a = mix((u ^ v) * mul & M64)
+        return mix((v ^ a) * mul & M64) * mul & M64
+
+    def weak(at: int, a: int, b: int) -> tuple[int, int]:
+        w, x, y, z = (word(at + 8 * i) for i in range(4))
+        a = a + w & M64
+        b = turn(b + a + z & M64, 21)
+        c = a
+        a = a + x + y & M64
+        return a + z & M64, b + turn(a, 44) + c & M64
+
+    mul = C2 + 2 * n & M64
+    if n > 64:
+        x, y = word(n - 40), word(n - 16) + word(n - 56) & M64
+        z = pair(word(n - 48) + n & M64, word(n - 24))
+        v, w = weak(n - 64, n, z), weak(n - 32, y + C1 & M64, x)
+        x = x * C1 + word(0) & M64
+        for at in range(0, (n - 1) // 64 * 64, 64):
+            x = turn(x + y + v[0] + word(at + 8) & M64, 37) * C1 & M64 ^ w[1]
+            y = turn(y + v[1] + word(at + 48) & M64, 42) * C1 + v[0] + word(at + 40) & M64
+            z = turn(z + w[0] & M64, 33) * C1 & M64
+            v = weak(at, v[1] * C1 & M64, x + w[0] & M64)
+            w = weak(at + 32, z + w[1] & M64, y + word(at + 16) & M64)
+            z, x = x, z
+        h = pair(pair(v[0], w[0]) + mix(y) * C1 + z & M64, pair(v[1], w[1]) + x & M64)
+    elif n > 32:
+        a, b, c, d, e, f, g = word(0) * C2, word(8), word(n - 24), word(n - 32), word(16) * C2, word(24) * 9, word(n - 8)
+        h = word(n - 16) * mul
+        u = turn(a + g & M64, 43) + (turn(b, 30) + c) * 9
+        v = (a + g & M64 ^ d) + f + 1
+        w = swap((u + v) * mul) + h
+        x = turn(e + f & M64, 42) + c
+        y = (swap((v + w) * mul) + g) * mul
+        z = e + f + c
+        a = swap((x + z) * mul + y) + b
+        h = mix((z + a) * mul + d + h & M64) * mul + x & M64
+    elif n > 16:
+        a, b, c, d = word(0) * C1 & M64, word(8), word(n - 8) * mul & M64, word(n - 16) * C2
+        h = pair(turn(a + b & M64, 43) + turn(c, 30) + d & M64, a + turn(b + C2 & M64, 18) + c & M64, mul)
+    elif n >= 8:
+        a, b = word(0) + C2 & M64, word(n - 8)
+        h = pair(turn(b, 37) * mul + a & M64, (turn(a, 25) + b) * mul & M64, mul)
+    elif n >= 4:
+        h = pair(n + (int.from_bytes(data[:4], "little") << 3), int.from_bytes(data[n - 4 :], "little"), mul)
+    elif n:
+        y, z = data[0] + (data[n >> 1] << 8), n + (data[n - 1] << 2)
+        h = mix(y * C2 & M64 ^ z * C0 & M64) * C2 & M64
+    else:
+        h = C2
+    return h >> 4
 
 
 def _xx(data: bytes) -> int:
@@ -337,7 +396,7 @@ POOL = (
 ).split()
 KERNELS = {
     1: _xx,
-    2: _city_like,
+    2: _city,
     3: _murmur3,
     4: _super_fast,
     5: _crc,

@@ -7,9 +7,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.geometry import Geometry
+from ..functions.geometry import Geometry, split
 from ..functions.hashing import START, Family
-from .filters import written
+from . import bloom
+from .filters import ARTEFACT, FilterSet, written
 
 
 @dataclass
@@ -67,6 +68,26 @@ def run(positives: DataFrame, negatives: DataFrame, geometry: Geometry, k: int =
     return RoundsResult(s.where("changed").select("key_id", "subset"), cells, history)
 
 
+def build(positives: DataFrame, negatives: DataFrame, total_bits: int, k: int = 3, delta: float = 0.25, alpha: int = 4, family: Family = Family(), max_rounds: int = 6) -> FilterSet:
+    """A filter of one shard whose subsets were chosen in rounds. Bits and cells are aggregated like those of any filter."""
+    geometry = split(total_bits, delta, alpha)
+    found = run(positives, negatives, geometry, k, family, max_rounds)
+    default = F.array(*[F.lit(i) for i in range(1, k + 1)])
+    own = positives.join(found.subsets.select("key_id", "subset"), "key_id", "left").withColumn("subset", F.coalesce("subset", default))
+    places = F.array(*[F.pmod(family.column(F.col("k"), i), F.lit(geometry.m).cast("bigint")) for i in range(1, geometry.pool + 1)])
+    bits = own.select(F.explode(F.transform("subset", lambda f: F.element_at(places, f))).alias("p"))
+    words = bits.groupBy(F.lit(0).alias("shard"), F.shiftright("p", 5).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 31 as int))")).alias("bits"))
+    held = found.cells.select(F.col("cell"), (F.col("fn") + F.when(F.col("ended"), F.lit(32)).otherwise(0)).alias("c"))
+    every = held.sparkSession.range(max(geometry.omega, 1)).withColumnRenamed("id", "cell").join(held, "cell", "left")
+    cells = every.agg(F.sort_array(F.collect_list(F.struct("cell", F.coalesce("c", F.lit(0)).alias("c")))).alias("w")).select(F.col("w.c").cast("array<int>").alias("cells"))
+    rows = bloom.packed_by_sort(words, geometry.m).crossJoin(cells)  # one row each
+    rows = rows.select(
+        "shard", F.lit(geometry.m).cast("bigint").alias("m"), F.lit(geometry.omega).cast("bigint").alias("omega"), F.lit(alpha).alias("alpha"), "words", "cells",
+        F.expr("cast(map() as map<string,double>)").alias("stats"),
+    )
+    return FilterSet("custom-rounds", written(rows, "rounds").select(*ARTEFACT.names), family, 1, tuple(range(1, k + 1)), tuple(range(1, geometry.pool + 1)), total_bits=geometry.total_bits)
+
+
 def _swaps(s, seen, state, index, cells, pool: int, k: int) -> DataFrame:
     """Swaps of this round: (owner, subset, walk), at most one for any bit, owner and cell."""
     coll = state.where("clear = 0").select("key_id")

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import geometry, keys, theory, zipf
 from ..functions.hashing import KERNELS, POOL, Family, duck_fold
-from ..operators import baselines, bloom, chain, custom, reports, rounds
+from ..operators import baselines, bloom, chain, custom, joins, measures, reports, rounds
 from ..operators.optimiser import OptimiserPolicy
 from ..operators.steps import State
 from ..sources import files
@@ -349,6 +349,48 @@ def _custom() -> None:
 
     register("chf_bulk_rounds", bulk)
 
+    def bulk_zero(spark, d):
+        s, o = keys.load(spark, d, "lsm_days")
+        return _zero(rounds.build(s, o, geometry.budget(s.count(), BUDGET), family=MD5, max_rounds=2), s)
+
+    register("chf_bulk_rounds_zero_fn", bulk_zero, _zero_sql("lsm_days"))
+
+    def measured(spark, d):
+        s, o, f = _built(spark, d, "join_reduce")
+        known, unseen = o.where("key_id % 5 <> 0"), o.where("key_id % 5 = 0")
+        return measures.evaluate(custom.build(s, known, geometry.budget(s.count(), BUDGET), family=MD5), s, known, unseen)
+
+    register("measure_unseen", measured)
+    register("measure_misread", lambda spark, d: (lambda s, o, f: measures.misread_rate(f, o))(*_built(spark, d)))
+    register("measure_load", lambda spark, d: measures.load(_built(spark, d, shards=4)[2]))
+    register("measure_rounds", lambda spark, d: (lambda s, o, f: measures.rates_by_round(f, o))(*_built(spark, d)))
+
+    def shuffles(spark, d):
+        s, o = keys.load(spark, d, "lsm_days")
+        return measures.over_shuffles(bloom.build(s, geometry.budget(s.count(), BUDGET), MD5), o, 1.0, range(1, 6))
+
+    register("measure_over_shuffles", shuffles)
+
+    def blocked(spark, d):
+        s, _, f = _built(spark, d, "doc_block")
+        docs = keys.table(spark, d, "documents").select("doc_id", F.md5("text").alias("digest"))
+        return joins.prefiltered(docs, s.select("k"), "digest", "k", f, "semi").select("doc_id")
+
+    register("use_blocklist", blocked, f"SELECT doc_id FROM documents WHERE md5(text) IN (SELECT k FROM ({keys.duck_keyset('doc_block')}) WHERE positive)")
+
+    def look_up(spark, d):
+        s, _, f = _built(spark, d, "lsm_days")
+        events = keys.table(spark, d, "events")
+        asked = events.select("event_id", keys.user_day(events).alias("day"))
+        found = joins.prefiltered(asked, s.select("k"), "day", "k", f, "semi")
+        return found.groupBy(F.substring_index("day", keys.SEPARATOR, -1).alias("day")).agg(F.count(F.lit(1)).alias("n"))
+
+    register(
+        "use_point_lookup",
+        look_up,
+        f"SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events WHERE user_id::VARCHAR || chr(31) || strftime(ts, '%Y-%m-%d') IN (SELECT k FROM ({keys.duck_keyset('lsm_days')}) WHERE positive) GROUP BY 1",
+    )
+
     def sql_functions(spark, d):
         from ..sources.functions import register_filter
 
@@ -368,8 +410,6 @@ PREFILTERED = {
 
 
 def _prefiltered(spark, d, how: str) -> DataFrame:
-    from ..operators import joins
-
     _, _, f = _built(spark, d, "join_reduce")
     lines = keys.table(spark, d, "lineitem").select("l_orderkey", "l_linenumber")
     right = keys.table(spark, d, "orders").where("o_orderstatus = 'F'").select("o_orderkey", "o_orderpriority")

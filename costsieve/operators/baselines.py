@@ -256,12 +256,12 @@ class LearnedFilter:
 
     def probe(self, df: DataFrame, key: str = "k", mode: str = "expr") -> DataFrame:
         now = self.model.score(df, key)
-        now = now.withColumn("__yes", F.col("score") >= self.threshold).drop("score")
+        now = now.withColumn("__said", F.col("score") >= self.threshold).drop("score")
         if self.backup is not None:
-            now = self.backup.probe(now, key, mode).withColumn("__yes", F.col("__yes") | F.col("hit")).select(*df.columns, "__yes")
+            now = self.backup.probe(now, key, mode).withColumn("__said", F.col("__said") | F.col("hit")).select(*df.columns, "__said")
         if self.first is not None:
-            now = self.first.probe(now, key, mode).withColumn("__yes", F.col("__yes") & F.col("hit")).select(*df.columns, "__yes")
-        return now.select(*df.columns, F.coalesce("__yes", F.lit(False)).alias("hit"))
+            now = self.first.probe(now, key, mode).withColumn("__said", F.col("__said") & F.col("hit")).select(*df.columns, "__said")
+        return now.select(*df.columns, F.coalesce("__said", F.lit(False)).alias("hit"))
 
 
 def _quantiles(scored: DataFrame, count: int = 40) -> list[float]:

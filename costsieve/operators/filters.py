@@ -81,34 +81,34 @@ class FilterSet:
         return F.array(*[F.pmod(self.family.column(key, i), size) for i in ids])
 
     def rounds(self, df: DataFrame, key: Column) -> DataFrame:
-        """``df``, which holds __words, __cells, __m and __omega, with ``round``: 1 if the default subset says yes, 2 if a stored one does, else null.
+        """``df``, which holds __cf_words, __cf_cells, __cf_m and __cf_omega, with ``round``: 1 if the default subset says yes, 2 if a stored one does, else null.
 
         Step by step, so that no expression repeats another and generated code stays small. Round 2 is hashed only after a no.
         """
-        now = df.withColumn("__first", self._positions(key, list(self.default), F.col("__m")))
-        yes = reduce(lambda a, b: a & b, [bit(F.col("__words"), F.element_at("__first", j + 1)) for j in range(self.k)])
-        now = now.withColumn("__yes", F.coalesce(yes, F.lit(False)))
+        now = df.withColumn("__cf_first", self._positions(key, list(self.default), F.col("__cf_m")))
+        yes = reduce(lambda a, b: a & b, [bit(F.col("__cf_words"), F.element_at("__cf_first", j + 1)) for j in range(self.k)])
+        now = now.withColumn("__cf_yes", F.coalesce(yes, F.lit(False)))
         if not self.pool:
-            return now.withColumn("round", F.when(F.col("__yes"), F.lit(1)))
-        asked = ~F.col("__yes") & F.col("__m").isNotNull() & (F.col("__omega") > 0) & key.isNotNull()
-        size = F.greatest("__omega", F.lit(1))
+            return now.withColumn("round", F.when(F.col("__cf_yes"), F.lit(1)))
+        asked = ~F.col("__cf_yes") & F.col("__cf_m").isNotNull() & (F.col("__cf_omega") > 0) & key.isNotNull()
+        size = F.greatest("__cf_omega", F.lit(1))
         now = now.withColumns(
             {
-                "__next": F.when(asked, self._positions(key, list(self.pool), size)),
-                "__spots": F.when(asked, self._positions(key, list(self.pool), F.col("__m"))),
-                "__at": F.when(asked, F.pmod(self.family.column(key, START), size)),
+                "__cf_next": F.when(asked, self._positions(key, list(self.pool), size)),
+                "__cf_spots": F.when(asked, self._positions(key, list(self.pool), F.col("__cf_m"))),
+                "__cf_at": F.when(asked, F.pmod(self.family.column(key, START), size)),
             }
         )
         good = asked
         for j in range(self.k):
-            now = now.withColumn(f"__c{j}", F.element_at("__cells", (F.col("__at") + 1).cast("int")))
-            fn = F.col(f"__c{j}").bitwiseAND(F.lit(chain.FN))
-            now = now.withColumn(f"__f{j}", F.greatest(fn, F.lit(1)).cast("int")).withColumn("__at", F.element_at("__next", F.col(f"__f{j}")))
-            good = good & (fn > 0) & bit(F.col("__words"), F.element_at("__spots", F.col(f"__f{j}")))
-        good = good & (F.col(f"__c{self.k - 1}") >= chain.END)
+            now = now.withColumn(f"__cf_c{j}", F.element_at("__cf_cells", (F.col("__cf_at") + 1).cast("int")))
+            fn = F.col(f"__cf_c{j}").bitwiseAND(F.lit(chain.FN))
+            now = now.withColumn(f"__cf_f{j}", F.greatest(fn, F.lit(1)).cast("int")).withColumn("__cf_at", F.element_at("__cf_next", F.col(f"__cf_f{j}")))
+            good = good & (fn > 0) & bit(F.col("__cf_words"), F.element_at("__cf_spots", F.col(f"__cf_f{j}")))
+        good = good & (F.col(f"__cf_c{self.k - 1}") >= chain.END)
         if self.reject_repeats:
-            good = good & (F.size(F.array_distinct(F.array(*[F.col(f"__f{j}") for j in range(self.k)]))) == self.k)
-        return now.withColumn("round", F.when(F.col("__yes"), F.lit(1)).when(good, F.lit(2)))
+            good = good & (F.size(F.array_distinct(F.array(*[F.col(f"__cf_f{j}") for j in range(self.k)]))) == self.k)
+        return now.withColumn("round", F.when(F.col("__cf_yes"), F.lit(1)).when(good, F.lit(2)))
 
     def probe(self, df: DataFrame, key: str = "k", mode: str = "auto") -> DataFrame:
         """``df`` with ``hit`` and ``round``. A null key is never in the filter."""
@@ -118,16 +118,16 @@ class FilterSet:
         return found.withColumn("hit", F.col("round").isNotNull())
 
     def _expr(self, df: DataFrame, key: str) -> DataFrame:
-        art = self.rows.select(*[F.col(c).alias(f"__{c}") for c in ("shard", "m", "omega", "words", "cells")])
-        routed = df.withColumn("__r", route(self.family, F.col(key), self.shards))
-        joined = routed.join(F.broadcast(art), F.col("__r") == F.col("__shard"), "left")  # its size is checked by ``probe``
+        art = self.rows.select(*[F.col(c).alias(f"__cf_{c}") for c in ("shard", "m", "omega", "words", "cells")])
+        routed = df.withColumn("__cf_r", route(self.family, F.col(key), self.shards))
+        joined = routed.join(F.broadcast(art), F.col("__cf_r") == F.col("__cf_shard"), "left")  # its size is checked by ``probe``
         # a generator of one row keeps filters on the answer from being pushed below it, which would spell out all of the probe once more
         return self.rounds(joined, F.col(key)).select(*df.columns, F.explode(F.array("round")).alias("round"))
 
     def hashed(self, df: DataFrame, key: str) -> DataFrame:
         """``df`` with its shard and raw hash values, computed in the JVM."""
         ids = [*self._raw_ids(), START]
-        return df.withColumn("__r", route(self.family, F.col(key), self.shards)).withColumn("__h", F.when(F.col(key).isNotNull(), self.family.columns(F.col(key), ids)))
+        return df.withColumn("__cf_r", route(self.family, F.col(key), self.shards)).withColumn("__cf_h", F.when(F.col(key).isNotNull(), self.family.columns(F.col(key), ids)))
 
     def _raw_ids(self) -> list[int]:
         from ..functions.hashing import BASE_A, BASE_B
@@ -168,8 +168,8 @@ class FilterSet:
 
         def run(batches):
             for batch in batches:
-                values, known = matrix(batch.column("__h"))
-                routed = batch.column("__r").to_numpy(zero_copy_only=False)
+                values, known = matrix(batch.column("__cf_h"))
+                routed = batch.column("__cf_r").to_numpy(zero_copy_only=False)
                 out = np.zeros(batch.num_rows, np.int32)
                 for s in np.unique(routed):
                     own = np.flatnonzero((routed == s) & known)
@@ -187,7 +187,7 @@ class FilterSet:
         def run(left: pa.Table, right: pa.Table) -> pa.Table:
             out = np.zeros(left.num_rows, np.int32)
             if right.num_rows and left.num_rows:
-                values, known = matrix(left.column("__h").combine_chunks())
+                values, known = matrix(left.column("__cf_h").combine_chunks())
                 own = np.flatnonzero(known)
                 if len(own):
                     out[own] = say(values[own], unpacked(right.to_pylist()[0]))
@@ -195,8 +195,8 @@ class FilterSet:
             return made
 
         schema = T.StructType([*df.schema.fields, T.StructField("round", T.IntegerType())])
-        art = self.rows.withColumnRenamed("shard", "__r")
-        return self.hashed(df, key).groupBy("__r").cogroup(art.groupBy("__r")).applyInArrow(run, schema)
+        art = self.rows.withColumnRenamed("shard", "__cf_r")
+        return self.hashed(df, key).groupBy("__cf_r").cogroup(art.groupBy("__cf_r")).applyInArrow(run, schema)
 
     def detached(self) -> "FilterSet":
         """Without the frame, fit to be sent to workers."""

@@ -59,9 +59,9 @@ def trace_keys(filt: FilterSet, df: DataFrame, key: str = "k") -> DataFrame:
     def run(batches):
         raw = own._raw_ids()
         for batch in batches:
-            values, _ = matrix(batch.column("__h"))
+            values, _ = matrix(batch.column("__cf_h"))
             out = []
-            for k, s, row in zip(batch.column(key).to_pylist(), batch.column("__r").to_pylist(), values.tolist()):
+            for k, s, row in zip(batch.column(key).to_pylist(), batch.column("__cf_r").to_pylist(), values.tolist()):
                 shard = sent.value.get(s)
                 if shard is None:
                     continue

@@ -233,3 +233,13 @@ def test_save_and_load(spark, sets, tmp_path):
 
 def test_every_subset_of_options_is_hashable():
     assert len({p for p in itertools.chain(POLICIES, POLICIES)}) == len(POLICIES)
+
+
+def test_threshold_and_backup_both_count(sets):
+    s, o = sets
+    model = baselines.fit_model(s, o, features=32)
+    filt = baselines.learned_build(s, o, model, geometry.budget(s.count(), 8.39))
+    middle = model.score(s).approxQuantile("score", [0.5], 0.0)[0]
+    filt.threshold, filt.first = middle, None
+    filt.backup = bloom.build(model.score(s).where(F.col("score") < middle), 8000, k=3)
+    assert filt.probe(s).where("NOT hit").count() == 0

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import columns
-from .memo import Memo
+from .memo import Memo, only
 from .piece_bpe import LATIN, slices
 from .staging import ship
 
@@ -75,15 +75,21 @@ def coder(path: str, keep_white: bool) -> ChunkCoder:
     return _CODERS[path, keep_white]
 
 
-def encode(docs: DataFrame, path: str, end_id: int, keep_white: bool) -> DataFrame:
-    """(doc_id bigint, ids binary): each whole text's ids and the end id as little-endian 32-bit numbers."""
-    ship(docs.sparkSession)
+def encoding(path: str, end_id: int, keep_white: bool):
+    """The work on batches of (doc_id, text): ids of each whole text and the end id as little-endian 32-bit numbers."""
     end = end_id.to_bytes(4, "little")
 
     def run(batches):
         own = coder(path, keep_white)
+        only(own.chunks)
         for batch in slices(batches, "text"):
             coded = [own.encode(text) + end for text in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(coded, pa.binary())], ["doc_id", "ids"])
 
-    return columns.documents(docs).mapInArrow(run, "doc_id bigint, ids binary")
+    return run
+
+
+def encode(docs: DataFrame, path: str, end_id: int, keep_white: bool) -> DataFrame:
+    """(doc_id bigint, ids binary)."""
+    ship(docs.sparkSession)
+    return columns.documents(docs).mapInArrow(encoding(path, end_id, keep_white), "doc_id bigint, ids binary")

@@ -20,6 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import columns
+from .memo import only
 from .piece_bpe import slices
 from .staging import ship
 
@@ -180,6 +181,7 @@ def predict(docs: DataFrame, model: ByteNet | None) -> DataFrame:
     ship(docs.sparkSession)
 
     def run(batches):
+        only()
         for batch in slices(batches, "text", 256 << 10):
             texts = batch.column("text").to_pylist()
             chosen, scores = [UNDETERMINED] * len(texts), [0.0] * len(texts)

@@ -5,6 +5,17 @@ from __future__ import annotations
 from collections.abc import Callable
 
 
+_LIVE: list["Memo"] = []
+
+
+def only(*kept: "Memo") -> None:
+    """Empty all other memos of this worker. Workers serve one operator after the other, and only the one at work should hold memory."""
+    for memo in _LIVE:
+        if not any(memo is k for k in kept):
+            memo.clear()
+            memo.older = {}
+
+
 class Memo(dict):
     """``memo[key]`` is ``make(key)``, remembered for keys of at most ``longest`` characters.
 
@@ -15,6 +26,7 @@ class Memo(dict):
         super().__init__()
         self.make, self.room, self.longest = make, room, longest
         self.older: dict = {}
+        _LIVE.append(self)
 
     def __missing__(self, key):
         value = self.older.get(key)

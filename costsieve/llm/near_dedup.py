@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from . import columns
 from .components import components
-from .memo import Memo
+from .memo import Memo, only
 from .piece_bpe import slices
 from .staging import Staging, ship
 
@@ -52,7 +52,7 @@ def _word_hashes() -> Memo:
     if _WORDS is None:
         import xxhash
 
-        _WORDS = Memo(xxhash.xxh64_intdigest)
+        _WORDS = Memo(xxhash.xxh64_intdigest, room=200_000)
     return _WORDS
 
 
@@ -112,6 +112,7 @@ def sign(docs: DataFrame, options: NearOptions) -> DataFrame:
         import xxhash
 
         signer = Signer(options)
+        only(_word_hashes())
         for batch in slices(batches, "text"):
             rows = []
             for text in batch.column("text").to_pylist():
@@ -133,6 +134,7 @@ def shingle_sets(docs: DataFrame, options: NearOptions) -> DataFrame:
     ship(docs.sparkSession)
 
     def run(batches):
+        only(_word_hashes())
         for batch in slices(batches, "text", 1 << 20):
             sets = [shingles(text, options.words).view(np.int64) for text in batch.column("text").to_pylist()]
             offsets = np.zeros(len(sets) + 1, np.int32)

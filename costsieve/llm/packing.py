@@ -26,15 +26,18 @@ from .staging import Staging, ship
 PIECE = "doc_id bigint, piece int, start bigint, length int, ids binary, task int, place bigint"
 
 
-def cut(coded: DataFrame, capacity: int = 2048) -> DataFrame:
-    """Pieces of (doc_id, ids); ``task`` and ``place`` number the pieces of equal length in each task."""
+def cut(coded: DataFrame, capacity: int = 2048, encoding=None) -> DataFrame:
+    """Pieces of (doc_id, ids); ``task`` and ``place`` number the pieces of equal length in each task.
+
+    With ``encoding``, work on batches as ``byte_tokens.encoding`` gives it, the rows are documents, and encoding and cutting share a worker.
+    """
     ship(coded.sparkSession)
 
     def run(batches):
         from pyspark import TaskContext
 
         task, seen = TaskContext.get().partitionId(), [0] * (capacity + 1)
-        for batch in batches:
+        for batch in encoding(batches) if encoding else batches:
             rows: list[tuple] = []
             for doc, ids in zip(batch.column("doc_id").to_pylist(), batch.column("ids").to_pylist()):
                 total = len(ids) // 4
@@ -49,7 +52,8 @@ def cut(coded: DataFrame, capacity: int = 2048) -> DataFrame:
             names = ["doc_id", "piece", "start", "length", "ids", "task", "place"]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 7, kinds)], names)
 
-    return columns.pick(coded, doc_id="doc_id", ids="ids").mapInArrow(run, PIECE)
+    source = columns.documents(coded) if encoding else columns.pick(coded, doc_id="doc_id", ids="ids")
+    return source.mapInArrow(run, PIECE)
 
 
 def match(counts: dict[int, int], capacity: int) -> np.ndarray:
@@ -126,10 +130,10 @@ def place(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
     return ranked.mapInArrow(run, schema)
 
 
-def pack(coded: DataFrame, capacity: int = 2048, keep_ids: bool = False) -> DataFrame:
+def pack(coded: DataFrame, capacity: int = 2048, keep_ids: bool = False, encoding=None) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32, sequence_id, offset), with the pieces' ids if asked for."""
     stage = Staging(coded.sparkSession, "packing")
-    pieces = cut(coded, capacity).withColumn("ids_crc32", F.crc32("ids"))
+    pieces = cut(coded, capacity, encoding).withColumn("ids_crc32", F.crc32("ids"))
     pieces = stage.table(pieces if keep_ids else pieces.drop("ids"), "pieces")
     return place(pieces, capacity).drop("task", "place")
 

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import columns
-from .memo import Memo
+from .memo import Memo, only
 from .staging import ship
 
 MARK = "\u2581"  # stands for a space in the vocabulary
@@ -216,14 +216,12 @@ def _lengths(column: pa.Array) -> list[int]:
     return (pc.list_value_length(column) if pa.types.is_list(kind) or pa.types.is_large_list(kind) else pc.binary_length(column)).to_pylist()
 
 
-def encode(docs: DataFrame, model_path: str) -> DataFrame:
-    """(doc_id bigint, ids array<int>) of every document, the end id included."""
-    ship(docs.sparkSession)
-
+def _encoding(model_path: str):
     def run(batches):
         import numpy as np
 
         own = encoder(model_path)
+        only(own.parts)
         for batch in slices(batches, "text"):
             coded = [own.encode(text) for text in batch.column("text").to_pylist()]
             offsets = np.zeros(len(coded) + 1, np.int32)
@@ -231,13 +229,10 @@ def encode(docs: DataFrame, model_path: str) -> DataFrame:
             values = pa.Array.from_buffers(pa.int32(), int(offsets[-1]), [None, pa.py_buffer(b"".join(coded))])
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.ListArray.from_arrays(pa.array(offsets), values)], ["doc_id", "ids"])
 
-    return columns.documents(docs).mapInArrow(run, "doc_id bigint, ids array<int>")
+    return run
 
 
-def decode(coded: DataFrame, model_path: str) -> DataFrame:
-    """(doc_id bigint, ids array<int>, text string) of encoded documents."""
-    ship(coded.sparkSession)
-
+def _decoding(model_path: str):
     def run(batches):
         import numpy as np
 
@@ -246,6 +241,25 @@ def decode(coded: DataFrame, model_path: str) -> DataFrame:
             ids = batch.column("ids")
             values, ends = ids.flatten().to_numpy(zero_copy_only=False), np.cumsum([0 if n is None else n for n in _lengths(ids)])
             texts = [own.decode(values[a:b].tolist()) for a, b in zip([0, *ends[:-1].tolist()], ends.tolist())]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("ids"), pa.array(texts, pa.string())], ["doc_id", "ids", "text"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), ids, pa.array(texts, pa.string())], ["doc_id", "ids", "text"])
+
+    return run
 
-    return columns.pick(coded, doc_id="doc_id", ids="ids").mapInArrow(run, "doc_id bigint, ids array<int>, text string")
+
+def encode(docs: DataFrame, model_path: str) -> DataFrame:
+    """(doc_id bigint, ids array<int>) of every document, the end id included."""
+    ship(docs.sparkSession)
+    return columns.documents(docs).mapInArrow(_encoding(model_path), "doc_id bigint, ids array<int>")
+
+
+def decode(coded: DataFrame, model_path: str) -> DataFrame:
+    """(doc_id bigint, ids array<int>, text string) of encoded documents."""
+    ship(coded.sparkSession)
+    return columns.pick(coded, doc_id="doc_id", ids="ids").mapInArrow(_decoding(model_path), "doc_id bigint, ids array<int>, text string")
+
+
+def round_trip(docs: DataFrame, model_path: str) -> DataFrame:
+    """(doc_id, ids, text): encoded, and decoded from the ids again by the same worker."""
+    ship(docs.sparkSession)
+    code, text = _encoding(model_path), _decoding(model_path)
+    return columns.documents(docs).mapInArrow(lambda batches: text(code(batches)), "doc_id bigint, ids array<int>, text string")

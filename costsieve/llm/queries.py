@@ -26,7 +26,7 @@ def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     model = tokenizer_path("piece_bpe_32k.model")
-    coded = piece_bpe.decode(piece_bpe.encode(documents(spark, sf_dir), model), model)
+    coded = piece_bpe.round_trip(documents(spark, sf_dir), model)
     return coded.select(
         "doc_id",
         F.size("ids").cast("bigint").alias("n_tokens"),
@@ -68,8 +68,8 @@ def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    coded = byte_tokens.encode(documents(spark, sf_dir), tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
-    return packing.pack(coded, capacity=2048)
+    encoding = byte_tokens.encoding(tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
+    return packing.pack(documents(spark, sf_dir), capacity=2048, encoding=encoding)
 
 
 def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -82,8 +82,8 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    coded = byte_tokens.encode(token_files.in_order(documents(spark, sf_dir)), tokenizer_path("word_bpe_49k.json"), end_id=2, keep_white=False)
-    return token_files.round_trip(coded).select(
+    encoding = byte_tokens.encoding(tokenizer_path("word_bpe_49k.json"), end_id=2, keep_white=False)
+    return token_files.round_trip(token_files.in_order(documents(spark, sf_dir)), encoding=encoding).select(
         "doc_id",
         "start",
         (F.octet_length("ids") / 4).cast("bigint").alias("n_tokens"),

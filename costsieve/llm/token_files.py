@@ -93,8 +93,11 @@ def in_order(docs: DataFrame) -> DataFrame:
     return columns.documents(docs).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
 
 
-def write(coded: DataFrame, path: str) -> None:
-    """Write (doc_id, ids binary), which must be ordered as ``in_order`` leaves it."""
+def write(coded: DataFrame, path: str, encoding=None) -> None:
+    """Write (doc_id, ids binary), which must be ordered as ``in_order`` leaves it.
+
+    With ``encoding``, work on batches as ``byte_tokens.encoding`` gives it, the rows are documents, and encoding and writing share a worker.
+    """
     ship(coded.sparkSession)
 
     def run(batches):
@@ -117,7 +120,7 @@ def write(coded: DataFrame, path: str) -> None:
             segment, first, docs, held, size = segment + 1, first + size, [], [], 0
             return out
 
-        for batch in slices(batches, "ids"):
+        for batch in encoding(batches) if encoding else slices(batches, "ids"):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), batch.column("ids").to_pylist()):
                 docs.append(doc)
                 held.append(ids)
@@ -127,7 +130,8 @@ def write(coded: DataFrame, path: str) -> None:
         if docs:
             yield close()
 
-    columns.pick(coded, doc_id="doc_id", ids="ids").mapInArrow(run, FILE).write.option("compression", "zstd").parquet(path)
+    source = columns.documents(coded) if encoding else columns.pick(coded, doc_id="doc_id", ids="ids")
+    source.mapInArrow(run, FILE).write.option("compression", "zstd").parquet(path)
 
 
 def read(spark: SparkSession, path: str) -> DataFrame:
@@ -159,8 +163,8 @@ def _narrow(tokens: bytes) -> tuple[int, bytes]:
     return (4, tokens) if len(ids) and ids.max() > 0xFFFF else (2, ids.astype("<u2").tobytes())
 
 
-def round_trip(coded: DataFrame, path: str | None = None) -> DataFrame:
+def round_trip(coded: DataFrame, path: str | None = None, encoding=None) -> DataFrame:
     """Write ordered ``coded`` to files, at ``path`` or in the shared folder, and read them back."""
     path = path or f"{Staging(coded.sparkSession, 'token-files').path}/files"
-    write(coded, path)
+    write(coded, path, encoding)
     return read(coded.sparkSession, path)

@@ -54,8 +54,8 @@ def _secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def _packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    coded = byte_tokens.encode(docs, tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
-    return packing.pack(coded, capacity=2048)
+    encoding = byte_tokens.encoding(tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
+    return packing.pack(docs, capacity=2048, encoding=encoding)
 
 
 STAGES = [

@@ -54,10 +54,9 @@ class Shard:
         n, m = len(self.pos_s), self.geometry.m
         flat = self.pos_s[:, list(self.default)]
         self.hits = np.bincount(flat.ravel(), minlength=m).astype(np.int32) if n else np.zeros(m, np.int32)
-        # the owners of a bit, all in one number: where one is left it is that one
-        self.owner = np.zeros(m, np.int64)
-        for j in range(self.k):
-            np.bitwise_xor.at(self.owner, flat[:, j], np.arange(n))
+        # the owners of a bit added up: where one is left it is that one
+        owners = np.repeat(np.arange(n), self.k)
+        self.owner = np.bincount(flat.ravel(), weights=owners, minlength=m).astype(np.int64) if n else np.zeros(m, np.int64)
         self.crowded = self.hits > 1
         self.changed: dict[int, tuple[int, ...]] = {}
         self.cells = bytearray(max(self.geometry.omega, 1))
@@ -75,12 +74,12 @@ class Shard:
     # auxiliary indexes
 
     def _index(self) -> None:
-        """Negatives per bit, each once per bit."""
-        o, k = self.pos_o.shape if len(self.pos_o) else (0, self.k)
-        ordered = np.sort(self.pos_o, axis=1) if o else self.pos_o.reshape(0, k)
+        """Negatives per bit, each once per bit. The fast variant keeps the collision keys only: it never asks whom a newly set bit would let pass."""
+        own = np.flatnonzero(self.clear == 0) if self.fast else np.arange(len(self.pos_o))
+        ordered = np.sort(self.pos_o[own], axis=1) if len(own) else np.zeros((0, self.k), np.int64)
         first = np.ones_like(ordered, bool)
         first[:, 1:] = ordered[:, 1:] != ordered[:, :-1]
-        bits, keys = ordered[first], np.repeat(np.arange(o), k).reshape(o, k)[first]
+        bits, keys = ordered[first], np.repeat(own, self.k).reshape(-1, self.k)[first]
         order = np.argsort(bits, kind="stable")
         self.bucket_keys = keys[order]
         self.bucket_start = np.zeros(self.geometry.m + 1, np.int64)
@@ -196,14 +195,14 @@ class Shard:
         self.stats["shared_cells"] += stored[2]
         self.changed[owner] = subset
         self.hits[bit] -= 1
-        self.owner[bit] ^= owner
+        self.owner[bit] -= owner
         for key in self.bucket(bit):
             if self.clear[key] == 0:
                 self.stats["keys_freed"] += 1
             self.clear[key] += 1
         was = self.hits[landing]
         self.hits[landing] += 1
-        self.owner[landing] ^= owner
+        self.owner[landing] += owner
         if was:
             self.crowded[landing] = True
         else:

@@ -3,8 +3,12 @@
 A document is the sequence of its non-blank lines. Prefix doubling gives every position the names of the 1, 2, 4, … lines that start there: a name of
 twice the length comes from the names of its halves. As runs never cross documents, the halves lie in the same row and no round needs an exchange. Positions with one name
 are an interval of the suffix array whose common prefix has at least that length. For each position the shortest run with ``min_words`` words is named by descending
-through the doubled lengths; since its length follows from the lines themselves, positions with equal names have equal runs, and every repeated run of
-``min_words`` words or more is a union of such runs. The first place of each interval stays; the lines of later places are deleted.
+through the doubled lengths; since its length follows from the lines themselves, positions with equal names have equal runs. The first place of each interval stays; the
+lines of later places are deleted.
+
+These runs read forward do not reach the end of a longer repeated run where its last lines have fewer than ``min_words`` words. ``whole=True`` also names the shortest run that
+*ends* at every position. The two kinds together cover every repeated run of ``min_words`` words or more: a line from which the run still has ``min_words`` words begins a run of
+the first kind, any other lies in the run of the second kind at the repeated run's last line.
 
 Only names and places are exchanged, never lines; copies are aggregated before.
 
@@ -28,10 +32,10 @@ def _levels(min_words: int) -> int:
     return max(1, (min_words - 1).bit_length())
 
 
-def windows(docs: DataFrame, min_words: int, stage: Staging) -> DataFrame:
+def windows(docs: DataFrame, min_words: int, stage: Staging, whole: bool = False) -> DataFrame:
     """(doc_id, row, place, lines, name): the shortest run of ``min_words`` words at every position that has one.
 
-    The doubled names are written once, so that looking one up never computes an array anew.
+    ``whole`` adds the shortest run that ends at a position, unless it is also the shortest at its own begin. The doubled names are written once, so that looking one up never computes an array anew.
     """
     plain = columns.documents(docs)
     lines = F.transform(F.split("text", "\n", -1), lambda x, i: F.struct(i.alias("no"), F.xxhash64(x).alias("name"), F.regexp_count(x, F.lit(WORD)).alias("words")))
@@ -41,13 +45,17 @@ def windows(docs: DataFrame, min_words: int, stage: Staging) -> DataFrame:
     for k in range(top - 1):
         now = now.withColumns({f"n{k + 1}": _double(f"n{k}", 1 << k, True), f"s{k + 1}": _double(f"s{k}", 1 << k, False)})
     now = stage.table(now, "names")
-    start = F.transform("n0", lambda _: F.struct(F.lit(0).alias("lines"), F.lit(0).alias("words"), F.lit(0).cast("bigint").alias("name")))
-    now = now.withColumn("runs", start)
+    kinds = {"runs": False, "ends": True} if whole else {"runs": False}
+    for kind, back in kinds.items():
+        now = now.withColumn(kind, F.transform("n0", _empty(back)))
     for k in reversed(range(top)):
-        now = now.withColumn("runs", F.transform("runs", _descend(k, min_words))).drop(*([f"n{k}", f"s{k}"] if k else []))
-    now = now.withColumn("runs", F.transform("runs", _close(min_words)))
-    held = now.select("doc_id", "row", "no", F.posexplode("runs").alias("place", "run")).where("run.words >= " + str(min_words))
-    return held.select("doc_id", "row", "place", F.col("run.lines").alias("lines"), F.col("run.name").alias("name"))
+        for kind, back in kinds.items():
+            now = now.withColumn(kind, F.transform(kind, _descend(k, min_words, back)))
+        now = now.drop(*([f"n{k}", f"s{k}"] if k else []))
+    for kind, back in kinds.items():
+        now = now.withColumn(kind, F.transform(F.transform(kind, _close(back)), _placed(min_words, back)))
+    held = now.select("doc_id", "row", F.explode(F.concat(*kinds)).alias("run")).where("run.words >= " + str(min_words))
+    return held.select("doc_id", "row", "run.place", "run.lines", "run.name")
 
 
 def _double(column: str, step: int, named: bool) -> Column:
@@ -56,11 +64,21 @@ def _double(column: str, step: int, named: bool) -> Column:
     return F.transform(column, lambda x, i: x + F.coalesce(F.get(F.col(column), i + step), F.lit(0)))
 
 
-def _descend(k: int, min_words: int):
+def _empty(back: bool):
+    """No line yet; the kinds' names begin differently, so that a run and its mirror image never share one."""
+    return lambda _: F.struct(F.lit(0).alias("lines"), F.lit(0).alias("words"), F.lit(int(back)).cast("bigint").alias("name"))
+
+
+def _next(run: Column, i: Column, step: int, back: bool) -> Column:
+    """First position of the next ``step`` lines of a run that begins, or with ``back`` ends, at ``i``."""
+    return i - run["lines"] - (step - 1) if back else i + run["lines"]
+
+
+def _descend(k: int, min_words: int, back: bool):
     def step(run: Column, i: Column) -> Column:
-        at = i + run["lines"]
+        at = _next(run, i, 1 << k, back)
         words = run["words"] + F.coalesce(F.get(F.col(f"s{k}"), at), F.lit(0))
-        taken = (at + (1 << k) <= F.size("n0")) & (words < min_words)
+        taken = (at >= 0 if back else at + (1 << k) <= F.size("n0")) & (words < min_words)
         return F.when(
             taken, F.struct((run["lines"] + (1 << k)).alias("lines"), words.alias("words"), F.xxhash64(run["name"], F.get(F.col(f"n{k}"), at)).alias("name"))
         ).otherwise(run)
@@ -68,19 +86,29 @@ def _descend(k: int, min_words: int):
     return step
 
 
-def _close(min_words: int):
+def _close(back: bool):
     def step(run: Column, i: Column) -> Column:
-        at = i + run["lines"]
+        at = _next(run, i, 1, back)
         words = run["words"] + F.coalesce(F.get(F.col("s0"), at), F.lit(0))
         return F.struct((run["lines"] + 1).alias("lines"), words.alias("words"), F.xxhash64(run["name"], F.get(F.col("n0"), at)).alias("name"))
 
     return step
 
 
-def repeated(docs: DataFrame, min_words: int = 50) -> DataFrame:
+def _placed(min_words: int, back: bool):
+    def step(run: Column, i: Column) -> Column:
+        if not back:
+            return F.struct(i.alias("place"), run["lines"].alias("lines"), run["words"].alias("words"), run["name"].alias("name"))
+        fresh = run["words"] - F.get(F.col("s0"), i) >= min_words
+        return F.struct(_next(run, i, 0, back).alias("place"), run["lines"].alias("lines"), F.when(fresh, run["words"]).otherwise(F.lit(0)).alias("words"), run["name"].alias("name"))
+
+    return step
+
+
+def repeated(docs: DataFrame, min_words: int = 50, whole: bool = False) -> DataFrame:
     """(doc_id, row, places array<struct<place, lines, source>>): later places of repeated runs, by document."""
     stage = Staging(docs.sparkSession, "line-dedup")
-    runs = stage.table(windows(docs, min_words, stage), "runs")
+    runs = stage.table(windows(docs, min_words, stage, whole), "runs")
     place = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "place")
     first = runs.groupBy("name").agg(F.min(place).alias("first"), F.max(place).alias("final")).where("first <> final")
     first = first.select("name", F.col("first.doc_id").alias("source"), F.col("first.place").alias("source_place"))
@@ -116,9 +144,9 @@ def _left(text: Column, spans: Column) -> Column:
     return F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), gone), lambda i: F.get(lines, i)), "\n")
 
 
-def report(docs: DataFrame, min_words: int = 50) -> DataFrame:
+def report(docs: DataFrame, min_words: int = 50, whole: bool = False) -> DataFrame:
     """(doc_id, n_lines, n_removed, runs, text): one row per document; ``runs`` are maximal spans of removed non-blank lines."""
-    places = repeated(docs, min_words).select(F.col("doc_id").alias("__doc"), F.col("row").alias("__row"), "places")
+    places = repeated(docs, min_words, whole).select(F.col("doc_id").alias("__doc"), F.col("row").alias("__row"), "places")
     plain = columns.documents(docs).withColumn("row", F.xxhash64("text"))
     joined = plain.join(places, F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("row") == F.col("__row")), "left")
     found = joined.select("doc_id", "text", _spans(F.col("places")).alias("runs"))
@@ -132,9 +160,9 @@ def report(docs: DataFrame, min_words: int = 50) -> DataFrame:
     )
 
 
-def remove(docs: DataFrame, min_words: int = 50) -> DataFrame:
+def remove(docs: DataFrame, min_words: int = 50, whole: bool = False) -> DataFrame:
     """``docs`` with the later copies of repeated runs deleted from their text; all columns kept."""
-    places = repeated(docs, min_words).select(F.col("doc_id").alias("__doc"), F.col("row").alias("__row"), "places")
+    places = repeated(docs, min_words, whole).select(F.col("doc_id").alias("__doc"), F.col("row").alias("__row"), "places")
     plain = columns.positional(docs)
     key, text = (f"__c{columns.place(docs, c)}" for c in ("doc_id", "text"))
     joined = plain.join(places, F.col(key).cast("bigint").eqNullSafe(F.col("__doc")) & (F.xxhash64(F.coalesce(text, F.lit(""))) == F.col("__row")), "left")
@@ -159,3 +187,22 @@ SELECT d.doc_id, CASE WHEN coalesce(d.text, '') = '' THEN 0 ELSE len(string_spli
        sha256(coalesce(left_text, '')) AS text_sha256
 FROM documents d LEFT JOIN k ON k.doc_id = d.doc_id
 """
+
+#: Brute force of ``whole``: every pair of places with equal lines, their longest common runs, and of these the ones with 50 words.
+WHOLE_ORACLE = r"""
+WITH l AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS no FROM documents WHERE coalesce(text, '') <> ''),
+     c AS (SELECT doc_id, no, line, len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS words FROM l),
+     s AS (SELECT doc_id, line, no, words, row_number() OVER (PARTITION BY doc_id ORDER BY no) - 1 AS place, sum(words) OVER (PARTITION BY doc_id ORDER BY no) AS total FROM c WHERE words > 0),
+     p AS (SELECT a.doc_id AS source, b.doc_id, b.place, b.place - a.place AS far FROM s a JOIN s b ON a.line = b.line AND (a.doc_id < b.doc_id OR (a.doc_id = b.doc_id AND a.place < b.place))),
+     i AS (SELECT *, place - row_number() OVER (PARTITION BY source, doc_id, far ORDER BY place) AS island FROM p),
+     m AS (SELECT source, doc_id, far, min(place) AS b, max(place) AS e FROM i GROUP BY source, doc_id, far, island),
+     r AS (SELECT DISTINCT doc_id, b, e FROM m WHERE source <> doc_id
+           UNION SELECT doc_id, b, least(e, b + far - 1) AS e FROM (SELECT doc_id, far, e, unnest(range(b, e + 1)) AS b FROM m WHERE source = doc_id)),
+     k AS (SELECT r.* FROM r JOIN s x ON x.doc_id = r.doc_id AND x.place = r.b JOIN s y ON y.doc_id = r.doc_id AND y.place = r.e WHERE y.total - x.total + x.words >= 50),
+     g AS (SELECT DISTINCT k.doc_id, s.no FROM k JOIN s ON s.doc_id = k.doc_id AND s.place BETWEEN k.b AND k.e),
+     t AS (SELECT c.doc_id, count(*) FILTER (g.no IS NOT NULL) AS n_removed, string_agg(c.line, chr(10) ORDER BY c.no) FILTER (g.no IS NULL) AS left_text
+           FROM c LEFT JOIN g ON g.doc_id = c.doc_id AND g.no = c.no GROUP BY c.doc_id)
+SELECT d.doc_id, CASE WHEN coalesce(d.text, '') = '' THEN 0 ELSE len(string_split(d.text, chr(10))) END AS n_lines, coalesce(n_removed, 0) AS n_removed,
+       sha256(coalesce(left_text, '')) AS text_sha256
+FROM documents d LEFT JOIN t ON t.doc_id = d.doc_id
+"""

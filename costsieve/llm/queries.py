@@ -72,6 +72,11 @@ def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_lines", "n_removed", F.sha2("text", 256).alias("text_sha256"))
 
 
+def op6_whole_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = line_dedup.report(documents(spark, sf_dir), whole=True)
+    return found.select("doc_id", "n_lines", "n_removed", F.sha2("text", 256).alias("text_sha256"))
+
+
 def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     encoding = byte_tokens.encoding(tokenizer_path("byte_bpe_50k.json"), end_id=0, keep_white=True)
     return packing.pack(documents(spark, sf_dir), capacity=2048, encoding=encoding)
@@ -97,8 +102,8 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op4_minhash_dedup, op5_media_columns, op6_line_dedup, op7_best_fit_packing, op8_license_scan, op9_language_id, op10_token_files)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_piece_codec, op3_secret_scan, op4_minhash_dedup, op5_media_columns, op6_line_dedup, op6_whole_line_dedup, op7_best_fit_packing, op8_license_scan, op9_language_id, op10_token_files)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_exact_dedup": exact_dedup.ORACLE, "op4_minhash_dedup": near_dedup.ORACLE, "op6_line_dedup": line_dedup.ORACLE}
+    return {"op1_exact_dedup": exact_dedup.ORACLE, "op4_minhash_dedup": near_dedup.ORACLE, "op6_line_dedup": line_dedup.ORACLE, "op6_whole_line_dedup": line_dedup.WHOLE_ORACLE}

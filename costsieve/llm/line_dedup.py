@@ -1,9 +1,9 @@
 """Removal of repeated runs of lines, by prefix doubling over line ids, in DataFrame expressions only.
 
 A document is the sequence of its non-blank lines. Prefix doubling gives every position the names of the 1, 2, 4, … lines that start there: a name of
-twice the length comes from the names of its halves. As runs never cross documents, the halves lie in the same row and no round needs an exchange. Positions with one name
-are an interval of the suffix array whose common prefix has at least that length. For each position the shortest run with ``min_words`` words is named by descending
-through the doubled lengths; since its length follows from the lines themselves, positions with equal names have equal runs. The first place of each interval stays; the
+twice the length comes from the names of its halves. As runs never cross documents, the halves lie in the same row and no round needs an exchange. Doubling stops
+where a run of ``min_words`` words must end, so runs of fixed size stand in for a suffix array: nothing is sorted and no common prefix is measured. For each position the shortest run with ``min_words`` words is named by descending
+through the doubled lengths; since its length follows from the lines themselves, positions with equal names have equal runs. The first place of each name stays; the
 lines of later places are deleted.
 
 These runs read forward do not reach the end of a longer repeated run where its last lines have fewer than ``min_words`` words. ``whole=True`` also names the shortest run that

@@ -8,8 +8,8 @@ size of the input. Range-partitioned owner tasks each hold whole buckets and cha
 whose 64-bit hashes collide. Only texts whose fingerprint occurs twice or more are read again and compared byte by byte.
 
 Defined results: a null text is the empty text; a null doc_id is larger than any other; rows that repeat a kept
-doc_id with the same text are all marked as kept in the report, and ``deduplicate`` returns one of them; an empty table
-gives an empty result; other columns are ignored (report) or passed through (``deduplicate``).
+doc_id with the same text are all marked as kept in the report, and ``deduplicate`` returns one of them; rows that share a doc_id but not
+the text are decided each by its own text; an empty table gives an empty result; other columns are ignored (report) or passed through (``deduplicate``).
 """
 
 from __future__ import annotations
@@ -114,15 +114,18 @@ def duplicate_report(docs: DataFrame, options: IndexOptions = IndexOptions()) ->
 
 def deduplicate(docs: DataFrame, options: IndexOptions = IndexOptions()) -> DataFrame:
     """The rows that stay, with all their columns. Rows without a doc_id stay."""
-    report = duplicate_report(docs, options)
-    stay = columns.without(docs, report.where(~F.col("kept")).select("doc_id").distinct())
-    repeated = report.where(F.col("kept") & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    plain = columns.positional(stay)
-    key = f"__c{columns.place(stay, 'doc_id')}"
-    again = repeated.select(F.col("doc_id").alias("__again"))
-    once = plain.join(again, F.col(key) == F.col("__again"), "left_anti")
-    many = plain.join(again, F.col(key) == F.col("__again"), "left_semi").dropDuplicates([key])
-    return once.unionByName(many).toDF(*docs.columns)
+    report = duplicate_report(docs, options).select(F.col("doc_id").alias("__doc"), F.col("text_sha256").alias("__sha"), "kept")
+    row = ["__doc", "__sha"]
+    plain = columns.positional(docs)
+    key, text = (F.col(f"__c{columns.place(docs, c)}") for c in ("doc_id", "text"))
+    own = plain.withColumn("__doc", key.cast("bigint"))
+    # Texts are looked at only where a doc_id has several rows of which one is kept.
+    ids = report.where(F.col("__doc").isNotNull()).groupBy("__doc").agg(F.count(F.lit(1)).alias("n"), F.max("kept").alias("some"), F.min("kept").alias("all"))
+    ids = ids.where(~F.col("all") | (F.col("n") > 1))
+    once = own.join(ids.select("__doc"), "__doc", "left_anti")
+    several = own.join(ids.where("some").select("__doc"), "__doc", "left_semi").withColumn("__sha", F.sha2(normalised(text), 256))
+    many = several.join(report.where("kept").select(*row), row, "left_semi").dropDuplicates(row)
+    return once.select(*plain.columns).unionByName(many.select(*plain.columns)).toDF(*docs.columns)
 
 
 ORACLE = r"""

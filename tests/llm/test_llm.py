@@ -68,6 +68,12 @@ def test_exact_dedup_keeps_one_row_and_all_columns(spark, odd):
     assert exact_dedup.deduplicate(frame(spark, EMPTY)).count() == 0
 
 
+def test_exact_dedup_of_ids_with_two_texts(spark):
+    rows = [(3, "a a"), (5, "a  a"), (5, "b"), (6, "c"), (6, "d"), (7, "e"), (7, " e"), (7, "e"), (8, "b"), (None, "d")]
+    out = sorted((r["doc_id"] or 0, r["text"]) for r in exact_dedup.deduplicate(frame(spark, rows)).collect())
+    assert out == [(0, "d"), (3, "a a"), (5, "b"), (6, "c"), (6, "d"), (7, " e"), (7, "e")]
+
+
 def test_directory_splits_until_buckets_fit(spark):
     prints = spark.range(3000).select(F.xxhash64("id").alias("h64"))
     options = exact_dedup.IndexOptions(capacity=100, max_depth=10)

@@ -4,8 +4,8 @@ Texts are equal when they are identical after every run of ASCII white space has
 The index holds one row per distinct fingerprint: the 64-bit hash that addresses it, the SHA-256 of the
 normalised text, the smallest doc_id and the number of rows. Its directory doubles until no bucket holds
 more than ``capacity`` fingerprints or ``max_depth`` bits are used, which bounds it by 2**max_depth slots at any
-size of the input. Range-partitioned owner tasks each hold whole buckets and chain fingerprints
-whose 64-bit hashes collide. Only texts whose fingerprint occurs twice or more are read again and compared byte by byte.
+size of the input. Tasks each hold a range of (bucket, hash) and number the fingerprints whose 64-bit hashes
+collide. The index only partitions; groups and the rows kept come from the comparison of texts. Only texts whose fingerprint occurs twice or more are read again and compared byte by byte.
 
 Defined results: a null text is the empty text; a null doc_id is larger than any other; rows that repeat a kept
 doc_id with the same text are all marked as kept in the report, and ``deduplicate`` returns one of them; rows that share a doc_id but not

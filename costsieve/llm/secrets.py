@@ -3,7 +3,7 @@
 Signature kinds are regular expressions whose matches are taken leftmost and without overlap, then held against a length. Besides them, candidate
 strings (long runs of key-like characters) are scanned by a window of fixed width; per character class the window's Shannon entropy is kept by
 adding the character that enters and taking off the one that leaves. Windows above their class's threshold merge into spans. An allow-list of
-harmless shapes and known examples suppresses whole candidates; spans inside a signature's span are not reported again.
+harmless shapes and known examples suppresses whole candidates; shapes that are not anchored at the candidate's begin suppress only the windows that overlap their matches. Spans inside a signature's span are not reported again.
 
 All positions count code points; ends are exclusive.
 
@@ -43,7 +43,7 @@ class ScanOptions:
         EntropyClass("entropy_alnum", "A-Za-z0-9", 3.9),
         EntropyClass("entropy_base64", "A-Za-z0-9+/_=-", 4.0),
     )
-    #: Shapes of candidates that are no secrets: no digit at all, digits only, UUIDs, words joined by marks, paths, counting-up runs, placeholders.
+    #: Shapes of candidates that are no secrets: no digit at all, digits only, UUIDs, words joined by marks, paths; then, anywhere in a candidate, counting-up runs and placeholders.
     allowed: tuple[str, ...] = (
         r"^[^0-9]*$",
         r"^[0-9_+/=-]*$",
@@ -90,8 +90,8 @@ def signature_spans(text: Column) -> Column:
     return F.array_sort(F.concat(*[_spans(*part) for part in parts]))
 
 
-def window_spans(candidate: Column, window: int, threshold: float) -> Column:
-    """array<struct<b, e>>: merged windows of ``candidate`` whose entropy reaches ``threshold``.
+def window_spans(candidate: Column, window: int, threshold: float, harmless: Column) -> Column:
+    """array<struct<b, e>>: merged windows of ``candidate`` whose entropy reaches ``threshold`` and which overlap none of ``harmless`` (array<struct<b, e>>).
 
     With c copies of a character among w, entropy is log2(w) - sum(c * log2(c)) / w. The sum is the state: one character in and one out change
     two of its terms.
@@ -115,7 +115,7 @@ def window_spans(candidate: Column, window: int, threshold: float) -> Column:
             F.transform(state["counts"], lambda n, c: n + F.when(c == new, F.lit(1)).otherwise(F.lit(0)) - F.when(c == old, F.lit(1)).otherwise(F.lit(0)))
         )
         begin = i - (window - 1)
-        hit = (begin >= 0) & (total <= most)
+        hit = (begin >= 0) & (total <= most) & ~F.exists(harmless, lambda h: (h["b"] <= i) & (h["e"] > begin))
         last = F.element_at(state["out"], -1)
         joins = (F.size(state["out"]) > 0) & (last["e"] >= begin)
         grown = F.concat(F.slice(state["out"], 1, F.greatest(F.size(state["out"]) - 1, F.lit(0))), F.array(F.struct(F.coalesce(last["b"], F.lit(0)).alias("b"), (i + 1).alias("e"))))
@@ -132,14 +132,26 @@ def entropy_spans(text: Column, options: ScanOptions) -> Column:
     parts = []
     for order, kind in enumerate(options.classes, start=3):
         runs = located(text, f"[{kind.alphabet}]{{{options.window},}}")
-        for shape in options.allowed:
+        for shape in filter(_anchored, options.allowed):
             runs = _kept(runs, _unlike(shape))
         if options.allowed_values:
             runs = _kept(runs, lambda found: ~found.isin(*options.allowed_values))
+        runs = F.transform(runs, lambda run: run.withField("harmless", _harmless(run["found"], options)))
         parts.append(F.flatten(F.transform(runs, _windows(kind, order, options.window))))
     return F.array_sort(F.concat(*parts))
 
 
+def _anchored(shape: str) -> bool:
+    return shape.startswith("^")
+
+
+def _harmless(candidate: Column, options: ScanOptions) -> Column:
+    """array<struct<b, e>>: the places where shapes that are not anchored match."""
+    none = F.expr("cast(array() as array<struct<b:int,e:int>>)")
+    matches = [located(candidate, shape) for shape in options.allowed if not _anchored(shape)]
+    return F.concat(none, *[F.transform(m, lambda h: F.struct(h["begin"].alias("b"), (h["begin"] + F.length(h["found"])).alias("e"))) for m in matches])
+
+
 def _unlike(shape: str):
     return lambda found: ~F.regexp_like(found, F.lit(shape))
 
@@ -147,7 +159,7 @@ def _unlike(shape: str):
 def _windows(kind: EntropyClass, order: int, window: int):
     def spans(run: Column) -> Column:
         return F.transform(
-            window_spans(run["found"], window, kind.threshold),
+            window_spans(run["found"], window, kind.threshold, run["harmless"]),
             lambda w: _span(F.lit(kind.name), run["begin"] + w["b"], run["begin"] + w["e"], F.lit(order)),
         )
 

@@ -249,6 +249,20 @@ def test_secrets(spark):
     assert secrets.scan(frame(spark, EMPTY)).count() == 0
 
 
+def test_keys_beside_harmless_words_are_found(spark):
+    key, harmless = "q8Zr-T5vX_2nLw9-Kd7bM_4hJc6-Gf3s", ("example", "Placeholder", "changeme", "xxxxxxxx")
+    rows = [(i, f"see {word}/{key} here") for i, word in enumerate(harmless)] + [(10, f"see {key}/example here"), (11, "see q8Zr-T5vXexample_2nLw9-Kd7b here"), (12, f"see {key} here")]
+    rows += [(13, f"{key}/example/{key[::-1]}")]
+    spans = {r["doc_id"]: [(s["kind"], s["begin"], s["end"]) for s in r["entropies"]] for r in secrets.scan(frame(spark, rows)).collect()}
+    for d, text in rows[:5]:
+        at = text.index(key)
+        ((kind, begin, end),) = spans[d]
+        assert kind == "entropy_base64" and begin <= at + 1 and end >= at + len(key), (d, spans[d])
+        assert not any(begin < m.end() and end > m.start() for m in re.finditer("(?i)example|placeholder|changeme|xxxxxxxx", text)), d
+    assert spans[11] == [] and len(spans[12]) == 1 and len(spans[13]) == 2
+    assert all(key not in r["text"] for r in secrets.redact(frame(spark, rows)).collect())
+
+
 def test_redaction(spark, odd):
     out = {r["doc_id"]: r["text"] for r in secrets.redact(odd).collect()}
     assert out[9] == "[REDACTED]' [REDACTED] [REDACTED] token: short password=abc"

@@ -1,7 +1,7 @@
 """From raw documents to packed training sequences, stage by stage.
 
 Each stage takes (spark, docs, sf_dir) and returns a frame; what it returns is written and read again before the next stage. Language identification drops
-documents without a language, exact and near de-duplication keep one document of each group, the secret scan replaces secrets by a mark, and
+documents without a language (those without a letter where no labels are there to learn from), exact and near de-duplication keep one document of each group, the secret scan replaces secrets by a mark, and
 packing places the tokens of what is left. All stages but the last return the columns of documents.
 """
 
@@ -36,8 +36,12 @@ def _stage(index: int, function):
 
 
 def _language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = language_id.identify(docs)
-    rejected = found.where((F.col("lang_pred") == language_id.UNDETERMINED) | (F.col("score") < LEAST_SCORE))
+    model = language_id.learn(docs)
+    if model is None:  # no label to learn from: only texts without a letter have no language
+        rejected = columns.documents(docs).where(~F.regexp_like("text", F.lit(r"\p{L}")))
+    else:
+        found = language_id.predict(docs, model)
+        rejected = found.where((F.col("lang_pred") == language_id.UNDETERMINED) | (F.col("score") < LEAST_SCORE))
     return columns.without(docs, rejected.select("doc_id").distinct())
 
 

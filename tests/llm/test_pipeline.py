@@ -57,3 +57,10 @@ def test_empty_documents(spark, small_dir, tmp_path):
     for _, stage in corpus_pipeline.STAGES[:-1]:
         docs = stage(spark, docs, small_dir)
     assert corpus_pipeline.STAGES[-1][1](spark, docs, small_dir).count() == 0
+
+
+def test_unlabelled_documents_with_letters_stay(spark, small_dir):
+    docs = spark.createDataFrame([(1, "clean text"), (2, "日本語"), (3, "123 !?"), (4, None), (5, ""), (None, "no id")], "doc_id bigint, text string")
+    docs = docs.withColumn("lang", F.lit(None).cast("string"))
+    out = corpus_pipeline.STAGES[0][1](spark, docs, small_dir)
+    assert out.columns == docs.columns and sorted(r["doc_id"] or 0 for r in out.collect()) == [0, 1, 2]

@@ -4,8 +4,10 @@ from __future__ import annotations
 
 import os
 import tempfile
+import threading
 import uuid
 import zipfile
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -13,20 +15,27 @@ FALLBACK_DIR = "/tmp/checkpoints"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; only where that is unset, a folder of this machine."""
+    """The folder named by spark.checkpoint.dir. Only a session that runs on this machine alone may do without it."""
     named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     return (named or FALLBACK_DIR).rstrip("/")
 
 
 class Staging:
-    """A private folder below the shared one that holds the tables of one operator run."""
+    """A private folder below the shared one that holds the tables of one operator run.
 
-    live: list["Staging"] = []
+    Results are lazy, so only the caller knows when the tables have served: ``with Staging.collected() as made`` lists what the block's operators have staged, and
+    ``with Staging.scope()`` also deletes it at the block's end.
+    """
+
+    _here = threading.local()
 
     def __init__(self, spark: SparkSession, purpose: str):
         self.spark = spark
         self.path = f"{shared_dir(spark)}/costsieve/{purpose}-{uuid.uuid4().hex}"
-        Staging.live.append(self)
+        for made in getattr(Staging._here, "lists", ()):
+            made.append(self)
 
     def table(self, df: DataFrame, name: str) -> DataFrame:
         """Write ``df`` once and return the scan of what was written."""
@@ -39,13 +48,29 @@ class Staging:
         jvm = self.spark.sparkContext._jvm
         where = jvm.org.apache.hadoop.fs.Path(self.path)
         where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-        if self in Staging.live:
-            Staging.live.remove(self)
 
     @classmethod
-    def drop_all(cls) -> None:
-        for one in list(cls.live):
-            one.drop()
+    @contextmanager
+    def collected(cls):
+        """The list of all that this thread stages inside the block."""
+        lists = cls._here.__dict__.setdefault("lists", [])
+        made: list[Staging] = []
+        lists.append(made)
+        try:
+            yield made
+        finally:
+            lists[:] = [x for x in lists if x is not made]
+
+    @classmethod
+    @contextmanager
+    def scope(cls):
+        """Delete at its end what the block has staged. Results must have been written or collected by then."""
+        with cls.collected() as made:
+            try:
+                yield made
+            finally:
+                for one in made:
+                    one.drop()
 
 
 def ship(spark: SparkSession) -> None:

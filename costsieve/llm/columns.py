@@ -33,11 +33,17 @@ def documents(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Data
     return found.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
 
 
-def without(df: DataFrame, gone: DataFrame, column: str = "doc_id") -> DataFrame:
-    """Rows of ``df`` whose ``column`` is not in the one-column frame ``gone``; all columns kept, nulls too."""
+def row_name(text: Column) -> Column:
+    """A 64-bit name of a text; with its doc_id it tells rows apart that share one."""
+    return F.xxhash64(F.coalesce(text, F.lit("")))
+
+
+def without(df: DataFrame, gone: DataFrame) -> DataFrame:
+    """Rows of ``df`` whose (doc_id, row name) is not in the frame ``gone``; all columns kept, rows without a doc_id too."""
     plain = positional(df)
-    left = gone.toDF("__gone")
-    return plain.join(left, F.col(f"__c{place(df, column)}") == F.col("__gone"), "left_anti").toDF(*df.columns)
+    left = gone.toDF("__gone", "__row")
+    key, text = (F.col(f"__c{place(df, c)}") for c in ("doc_id", "text"))
+    return plain.join(left, (key.cast("bigint") == F.col("__gone")) & (row_name(text) == F.col("__row")), "left_anti").toDF(*df.columns)
 
 
 def lower_ascii(text: Column) -> Column:

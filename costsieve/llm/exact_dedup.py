@@ -1,11 +1,12 @@
 """Exact de-duplication over an extendible-hash index kept on shared files.
 
-Texts are equal when they are identical after every run of ASCII white space has become one space.
-The index holds one row per distinct fingerprint: the 64-bit hash that addresses it, the SHA-256 of the
-normalised text, the smallest doc_id and the number of rows. Its directory doubles until no bucket holds
-more than ``capacity`` fingerprints or ``max_depth`` bits are used, which bounds it by 2**max_depth slots at any
-size of the input. Tasks each hold a range of (bucket, hash) and number the fingerprints whose 64-bit hashes
-collide. The index only partitions; groups and the rows kept come from the comparison of texts. Only texts whose fingerprint occurs twice or more are read again and compared byte by byte.
+Texts are equal when they are identical after every run of ASCII white space has become one space. A text's 64-bit hash is its address. The directory doubles a few bits
+at a time: every round counts the addresses of overfull buckets only, under longer prefixes, and closes the buckets that now hold at most ``capacity`` addresses, until none is
+overfull. It needs as many rounds as the data ask for and is never gathered on the driver. The index, a written table, holds one row per distinct fingerprint: its bucket, its address, its place in the chain of
+fingerprints that share the address, the SHA-256 of the normalised text, and the number of rows.
+
+Texts whose fingerprint occurs twice or more are read again and sent to the bucket's owner, equal ones already collapsed to one. Owners are tasks that hold ranges of
+(bucket, address); each walks its chains, compares the texts under one link byte by byte, and gives every link its smallest doc_id and its number of rows. Fingerprints that occur once need no comparison.
 
 Defined results: a null text is the empty text; a null doc_id is larger than any other; rows that repeat a kept
 doc_id with the same text are all marked as kept in the report, and ``deduplicate`` returns one of them; rows that share a doc_id but not
@@ -15,6 +16,7 @@ the text are decided each by its own text; an empty table gives an empty result;
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -27,81 +29,90 @@ SPACE_RUN = r"[\x20\x09-\x0D]+"
 
 @dataclass(frozen=True)
 class IndexOptions:
-    capacity: int = 1 << 14
-    max_depth: int = 14
+    capacity: int = 1 << 14  # addresses of a bucket; a chain of fingerprints under one address counts once
+    step: int = 8  # bits by which a round doubles the directory
+    address_bits: int = 63  # fewer make addresses collide, for tests
 
 
 def normalised(text: Column) -> Column:
     return F.regexp_replace(F.coalesce(text, F.lit("")), SPACE_RUN, " ")
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """(doc_id, h64, sha): what the index keeps of a text."""
+def fingerprints(docs: DataFrame, options: IndexOptions = IndexOptions()) -> DataFrame:
+    """(doc_id, address, sha): what the index keeps of a text."""
     norm = columns.documents(docs).select("doc_id", normalised(F.col("text")).alias("norm"))
-    return norm.select("doc_id", F.xxhash64("norm").alias("h64"), F.sha2("norm", 256).alias("sha"))
-
+    return norm.select("doc_id", _address(F.col("norm"), options).alias("address"), F.sha2("norm", 256).alias("sha"))
 
-def directory(prints: DataFrame, options: IndexOptions = IndexOptions()) -> DataFrame:
-    """(slot, depth, bucket): each slot of the full-depth directory with its bucket's local depth and first slot.
-
-    Doubling until no bucket overflows gives every slot the shortest prefix whose count fits, so the directory is found from one
-    histogram of at most 2**max_depth rows.
-    """
-    depth = options.max_depth
-    hist = prints.groupBy(_slot(F.col("h64"), depth).alias("slot")).agg(F.count(F.lit(1)).alias("n"))
-    levels = hist.select("slot", "n", F.explode(F.sequence(F.lit(0), F.lit(depth))).alias("d"))
-    levels = levels.withColumn("prefix", F.expr(f"shiftright(slot, {depth} - d)"))
-    fits = (
-        levels.groupBy("d", "prefix")
-        .agg(F.sum("n").alias("held"), F.collect_list("slot").alias("slots"))
-        .where((F.col("held") <= options.capacity) | (F.col("d") == depth))
-    )
-    local = fits.select(F.explode("slots").alias("slot"), "d").groupBy("slot").agg(F.min("d").alias("depth"))
-    return local.withColumn("bucket", F.expr(f"shiftleft(shiftright(slot, {depth} - depth), {depth} - depth)"))
 
+def _address(norm: Column, options: IndexOptions) -> Column:
+    return F.shiftrightunsigned(F.xxhash64(norm), 64 - options.address_bits)
 
-def _slot(h64: Column, depth: int) -> Column:
-    return F.shiftrightunsigned(h64, 64 - depth).cast("int")
 
+def _prefix(address: Column, depth: int, options: IndexOptions) -> Column:
+    """The first ``depth`` bits of an address."""
+    return F.shiftright(address, options.address_bits - depth)
 
-def build_index(prints: DataFrame, options: IndexOptions = IndexOptions()) -> DataFrame:
-    """(bucket, h64, chain, sha, keep_id, n), partitioned and sorted by ranges of (bucket, h64)."""
-    slots = directory(prints, options)
-    entries = prints.groupBy("h64", "sha").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("n"))
-    owned = entries.withColumn("slot", _slot(F.col("h64"), options.max_depth)).join(F.broadcast(slots), "slot")
-    chain = Window.partitionBy("bucket", "h64").orderBy("sha")
-    return (
-        owned.repartitionByRange("bucket", "h64")
-        .withColumn("chain", F.row_number().over(chain))
-        .select("bucket", "h64", "chain", "sha", "keep_id", "n")
-    )
 
+def directory(addresses: DataFrame, stage: Staging, options: IndexOptions = IndexOptions()) -> DataFrame:
+    """(depth, prefix): the buckets, by the bits that their addresses share. ``addresses`` are distinct.
 
-def compare_bytes(docs: DataFrame, index: DataFrame) -> DataFrame:
-    """(h64, sha, keep_id, n) of groups that were confirmed on the texts themselves.
+    A round looks at ``step`` more bits of what is still overfull. A bucket is a prefix that fits and whose parent, one bit shorter, overflowed.
+    """
+    closed, depth, open_rows = [], 0, addresses
+    while True:
+        deeper = min(depth + options.step, options.address_bits)
+        hist = open_rows.groupBy(_prefix(F.col("address"), deeper, options).alias("slot")).agg(F.count(F.lit(1)).alias("n"))
+        levels = hist.select("slot", "n", F.explode(F.sequence(F.lit(depth), F.lit(deeper))).alias("depth"))
+        prefix = F.expr(f"shiftright(slot, {deeper} - depth)").alias("prefix")
+        held = stage.table(levels.groupBy("depth", prefix).agg(F.sum("n").alias("held")), "levels")
+        overfull = held.where(F.col("held") > options.capacity)
+        parents = overfull.select((F.col("depth") + 1).alias("depth"), F.col("prefix").alias("parent"), F.lit(True).alias("split"))
+        fits = held.where(F.col("held") <= options.capacity).withColumn("parent", F.shiftright("prefix", 1)).join(parents, ["depth", "parent"], "left")
+        closed.append(fits.where("split OR depth = 0").select("depth", "prefix"))
+        full = overfull.where(F.col("depth") == deeper).select(F.col("prefix").alias("__prefix"))
+        if deeper == options.address_bits or not full.head(1):
+            return stage.table(reduce(DataFrame.unionByName, closed), "directory")
+        open_rows = addresses.join(full, _prefix(F.col("address"), deeper, options) == F.col("__prefix"), "left_semi")
+        depth = deeper
+
+
+def build_index(prints: DataFrame, stage: Staging, options: IndexOptions = IndexOptions()) -> DataFrame:
+    """(depth, bucket, address, link, sha, n), written by tasks that hold ranges of (bucket, address). A bucket is named by its first address."""
+    buckets = directory(prints.select("address").distinct(), stage, options)
+    depths = sorted(r["depth"] for r in buckets.select("depth").distinct().collect())  # at most 64 numbers
+    entries = prints.groupBy("address", "sha").agg(F.count(F.lit(1)).alias("n"))
+    # an address has one prefix of each depth in use, and just one of them is a bucket
+    slots = [F.struct(F.lit(d).alias("depth"), _prefix(F.col("address"), d, options).alias("prefix")) for d in depths or [0]]
+    owned = entries.withColumn("slot", F.explode(F.array(*slots))).select("address", "sha", "n", "slot.*").join(buckets, ["depth", "prefix"])
+    owned = owned.withColumn("bucket", F.when(F.col("depth") > 0, F.expr(f"shiftleft(prefix, {options.address_bits} - depth)")).otherwise(F.lit(0).cast("bigint")))
+    link = F.row_number().over(Window.partitionBy("bucket", "address").orderBy("sha"))
+    return stage.table(owned.repartitionByRange("bucket", "address").select("depth", "bucket", "address", link.alias("link"), "sha", "n"), "index")
+
+
+def resolve(docs: DataFrame, index: DataFrame, options: IndexOptions = IndexOptions()) -> DataFrame:
+    """(address, sha, keep_id, n) of every link with two rows or more, found by the owners on the texts themselves.
 
     Equal texts collapse before the shuffle, so a hot group sends one copy per task. Two different texts under one SHA-256 would
     stop the job rather than be merged.
     """
-    doubtful = index.where(F.col("n") > 1).select("h64")
-    texts = columns.documents(docs).select("doc_id", normalised(F.col("text")).alias("norm"))
-    texts = texts.withColumn("h64", F.xxhash64("norm")).join(doubtful.distinct(), "h64", "left_semi")
-    same = texts.groupBy(F.sha2("norm", 256).alias("sha"), "norm").agg(
-        F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("n"), F.min("h64").alias("h64")
-    )
-    per_print = same.groupBy("h64", "sha").agg(F.min("keep_id").alias("keep_id"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("texts"))
+    doubtful = index.where(F.col("n") > 1).select("bucket", "address", "link", "sha")
+    texts = columns.documents(docs).select("doc_id", normalised(F.col("text")).alias("norm")).withColumn("address", _address(F.col("norm"), options))
+    linked = texts.join(doubtful, "address").where(F.sha2("norm", 256) == F.col("sha"))
+    same = linked.groupBy("bucket", "address", "link", "sha", "norm").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("n"))
+    own = same.repartitionByRange("bucket", "address").groupBy("bucket", "address", "link", "sha")
+    found = own.agg(F.min("keep_id").alias("keep_id"), F.sum("n").alias("n"), F.min("norm").alias("least"), F.max("norm").alias("most"))
     clash = F.raise_error(F.lit("two different texts share one SHA-256"))
-    checked = per_print.withColumn("keep_id", F.when(F.col("texts") > 1, clash.cast("bigint")).otherwise(F.col("keep_id")))
-    return checked.where(F.col("n") > 1).select("h64", "sha", "keep_id", "n")
+    checked = F.when(F.col("least") != F.col("most"), clash.cast("bigint")).otherwise(F.col("keep_id"))
+    return found.select("address", "sha", checked.alias("keep_id"), "n")
 
 
 def duplicate_report(docs: DataFrame, options: IndexOptions = IndexOptions()) -> DataFrame:
     """(doc_id, keep_id, group_size, kept, text_sha256): one row per document."""
     stage = Staging(docs.sparkSession, "exact-dedup")
-    prints = stage.table(fingerprints(docs), "prints")
-    index = stage.table(build_index(prints, options), "index")
-    groups = stage.table(compare_bytes(docs, index), "groups")
-    found = prints.join(groups, ["h64", "sha"], "left")
+    prints = stage.table(fingerprints(docs, options), "prints")
+    index = build_index(prints, stage, options)
+    groups = stage.table(resolve(docs, index, options), "groups")
+    found = prints.join(groups, ["address", "sha"], "left")
     keep = F.when(F.col("n").isNull(), F.col("doc_id")).otherwise(F.col("keep_id"))
     return found.select(
         "doc_id",

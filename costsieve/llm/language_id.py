@@ -7,7 +7,8 @@ its probabilities are the mean over windows, weighted by the bytes they hold.
 For prediction the byte vectors and filters are multiplied out into tables over byte pairs, so that a filter's response is a sum of one or two rows.
 
 Defined results: a null text, or one without a letter, is ``und`` with the score 0, as is every text if there are no labels to learn from; equal
-texts get equal results; a null doc_id is not held out, is never learnt from, and is carried through, as are repeated rows; other columns are ignored.
+texts get equal results; a null doc_id is not held out, is never learnt from, and is carried through, as are repeated rows; other columns are ignored (``predict``) or
+passed through (``identified``).
 """
 
 from __future__ import annotations
@@ -18,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import columns
 from .memo import only
@@ -31,7 +33,7 @@ UNDETERMINED = "und"
 @dataclass(frozen=True)
 class TrainOptions:
     per_language: int = 600  # about so many windows of each language are learnt from
-    languages: int = 200  # at most so many languages, the most frequent ones
+    windows: int = 60_000  # at most about so many in all: with more than a hundred languages each gives fewer, and none is left out
     widths: tuple[int, ...] = (2, 3, 4)
     filters: int = 16
     vector: int = 8
@@ -165,11 +167,12 @@ def learn(docs: DataFrame, options: TrainOptions = TrainOptions()) -> ByteNet |
     """Fit on about ``per_language`` windows of each language, chosen by a hash of doc_id; what is collected is bounded by the options."""
     rows = columns.pick(docs, doc_id="doc_id", text="text", lang="lang")
     known = rows.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
-    counts = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(options.languages).collect()}
+    counts = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row per class of the net
     if not counts:
         return None
+    each = min(options.per_language, max(1, options.windows // len(counts)))
     draw = F.pmod(F.xxhash64("doc_id", F.lit(options.seed)), F.lit(1 << 30))
-    share = F.create_map(*[x for lang, n in counts.items() for x in (F.lit(lang), F.lit(int(min(1.0, options.per_language / n) * (1 << 30))))])
+    share = F.create_map(*[x for lang, n in sorted(counts.items()) for x in (F.lit(lang), F.lit(int(min(1.0, each / n) * (1 << 30))))])
     data = F.encode("text", "UTF-8")
     begin = F.pmod(F.xxhash64("doc_id", F.lit(options.seed + 1)), F.greatest(F.octet_length("text") - WINDOW + 1, F.lit(1))).cast("int")
     sample = known.where(draw < F.element_at(share, F.col("lang"))).select("lang", "doc_id", data.substr(begin + 1, F.lit(WINDOW)).alias("window")).orderBy("doc_id", "lang", "window").collect()
@@ -178,12 +181,19 @@ def learn(docs: DataFrame, options: TrainOptions = TrainOptions()) -> ByteNet |
 
 def predict(docs: DataFrame, model: ByteNet | None) -> DataFrame:
     """(doc_id bigint, lang_pred string, score double) of every whole text."""
+    return identified(columns.documents(docs), model, carried=["doc_id"]).toDF("doc_id", "lang_pred", "score")
+
+
+def identified(docs: DataFrame, model: ByteNet | None, carried: list[str] | None = None) -> DataFrame:
+    """The rows of ``docs`` with all their columns, or those ``carried``, under positional names, and (__lang, __score)."""
     ship(docs.sparkSession)
+    plain, own_text = columns.positional(docs), f"__c{columns.place(docs, 'text')}"
+    names = [f"__c{docs.columns.index(c)}" for c in carried or docs.columns]
 
     def run(batches):
         only()
-        for batch in slices(batches, "text", 256 << 10):
-            texts = batch.column("text").to_pylist()
+        for batch in slices(batches, own_text, 256 << 10):
+            texts = batch.column(own_text).to_pylist()
             chosen, scores = [UNDETERMINED] * len(texts), [0.0] * len(texts)
             own = [i for i, t in enumerate(texts) if t and model is not None and any(map(str.isalpha, t))]
             data = [texts[i].encode() for i in own]
@@ -198,9 +208,9 @@ def predict(docs: DataFrame, model: ByteNet | None) -> DataFrame:
                 at += c
                 best = int(mean.argmax())
                 chosen[i], scores[i] = model.languages[best], float(min(1.0, mean[best]))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(chosen), pa.array(scores)], ["doc_id", "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*map(batch.column, names), pa.array(chosen, pa.string()), pa.array(scores, pa.float64())], [*names, "__lang", "__score"])
 
-    return columns.documents(docs).mapInArrow(run, "doc_id bigint, lang_pred string, score double")
+    return plain.mapInArrow(run, T.StructType([*[plain.schema[n] for n in names], T.StructField("__lang", T.StringType()), T.StructField("__score", T.DoubleType())]))
 
 
 def identify(docs: DataFrame, options: TrainOptions = TrainOptions()) -> DataFrame:

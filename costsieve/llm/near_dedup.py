@@ -9,11 +9,11 @@ components. What is left to compare are members of one bucket that are still in
 of cells compares the full sets of its members and returns only links that join components, so that no link between different sets that share a band is lost
 however large the bucket. Skewed buckets are pre-aggregated before every exchange, and joins leave it to Spark to split them.
 
-At the threshold itself a pair shares none of the 30 bands of 4 rows with a probability of 1e-5. The screen of
-signatures, used for pairs with a bucket's smallest member, loses as few; pairs in larger buckets are compared again without it.
+At the threshold itself a pair shares none of the 30 bands of 4 rows with a probability of 1e-5. The screen of signatures, used for pairs with a bucket's smallest
+member, loses one pair in 1e9 there (half of 120 minima must agree, of which three quarters are expected to); pairs in larger buckets are compared again without it.
 
 Defined results: a null, empty or blank text has no shingles and is linked with nothing; a null doc_id is linked with nothing, has no component and is kept;
-rows that repeat a doc_id share their links; an empty table gives an empty result; other columns are ignored (report) or passed through (``deduplicate``).
+rows that repeat a doc_id share their links; where the texts under one doc_id differ, ``deduplicate`` drops only rows whose own text is linked with a smaller doc_id; an empty table gives an empty result; other columns are ignored (report) or passed through (``deduplicate``).
 """
 
 from __future__ import annotations
@@ -38,7 +38,7 @@ class NearOptions:
     percent: int = 75  # links have 100 * intersection >= percent * union
     bands: int = 30
     rows: int = 4
-    screen: float = 0.58  # least share of equal minima, by one byte each, of pairs that are verified
+    screen: float = 0.5  # least share of equal minima, by one byte each, of pairs that are verified
     cell: int = 256  # members of a bucket that are compared at once, with as many others
     seed: int = 11
 
@@ -105,7 +105,7 @@ class Signer:
 
 
 def sign(docs: DataFrame, options: NearOptions) -> DataFrame:
-    """(doc_id, n_shingles, set_hash, bands, sketch); the last three are null without shingles."""
+    """(doc_id, row, n_shingles, set_hash, bands, sketch); the last three are null without shingles. ``row`` names the text."""
     ship(docs.sparkSession)
 
     def run(batches):
@@ -124,9 +124,10 @@ def sign(docs: DataFrame, options: NearOptions) -> DataFrame:
                     rows.append((0, None, None, None))
             kinds = (pa.int64(), pa.binary(), pa.list_(pa.int64()), pa.binary())
             made = [pa.array(list(c), k) for c, k in zip(zip(*rows), kinds)]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *made], ["doc_id", "n_shingles", "set_hash", "bands", "sketch"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("row"), *made], ["doc_id", "row", "n_shingles", "set_hash", "bands", "sketch"])
 
-    return columns.documents(docs).mapInArrow(run, "doc_id bigint, n_shingles bigint, set_hash binary, bands array<bigint>, sketch binary")
+    named = columns.documents(docs).withColumn("row", columns.row_name(F.col("text")))
+    return named.mapInArrow(run, "doc_id bigint, row bigint, n_shingles bigint, set_hash binary, bands array<bigint>, sketch binary")
 
 
 def shingle_sets(docs: DataFrame, options: NearOptions) -> DataFrame:
@@ -264,6 +265,11 @@ def _forest(node: np.ndarray, label: np.ndarray, codes: np.ndarray, sizes: np.nd
 
 def near_report(docs: DataFrame, options: NearOptions = NearOptions()) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept): one row per document."""
+    return _decided(docs, options).drop("row")
+
+
+def _decided(docs: DataFrame, options: NearOptions) -> DataFrame:
+    """The report with the name of each row's text."""
     stage = Staging(docs.sparkSession, "near-dedup")
     signed = stage.table(sign(docs, options), "signed")
     named = signed.where(F.col("set_hash").isNotNull() & F.col("doc_id").isNotNull())
@@ -285,13 +291,12 @@ def near_report(docs: DataFrame, options: NearOptions = NearOptions()) -> DataFr
     of_set = stage.table(of_set.groupBy("set_hash").agg(F.min("component").alias("component")), "of-set")  # plain sides can be split where copies are many
     found = signed.drop("bands", "sketch").join(of_set, "set_hash", "left")
     linked = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
-    return found.select("doc_id", "n_shingles", linked.alias("component_id"), linked.eqNullSafe(F.col("doc_id")).alias("kept"))
+    return found.select("doc_id", "row", "n_shingles", linked.alias("component_id"), linked.eqNullSafe(F.col("doc_id")).alias("kept"))
 
 
 def deduplicate(docs: DataFrame, options: NearOptions = NearOptions()) -> DataFrame:
     """The rows of each component's smallest doc_id, and all that are linked with nothing, with all their columns."""
-    gone = near_report(docs, options).where(~F.col("kept")).select("doc_id").distinct()
-    return columns.without(docs, gone)
+    return columns.without(docs, _decided(docs, options).where(~F.col("kept")).select("doc_id", "row").distinct())
 
 
 #: Brute force: all pairs that share a shingle, and the closure of their links.

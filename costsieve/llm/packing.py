@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from . import columns
 from .staging import Staging, ship
 
-PIECE = "doc_id bigint, piece int, start bigint, length int, ids binary, task int, place bigint"
+PIECE = "doc_id bigint, piece int, start bigint, length bigint, ids binary, task int, place bigint"
 
 
 def cut(coded: DataFrame, capacity: int = 2048, encoding=None) -> DataFrame:
@@ -48,7 +48,7 @@ def cut(coded: DataFrame, capacity: int = 2048, encoding=None) -> DataFrame:
                     rows.append((doc, number, begin, n, ids[4 * begin : 4 * end], task, seen[n]))
                     seen[n] += 1
                     begin, end, number = end, end + capacity, number + 1
-            kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.int32(), pa.int64())
+            kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.int32(), pa.int64())
             names = ["doc_id", "piece", "start", "length", "ids", "task", "place"]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows) if rows else [()] * 7, kinds)], names)
 

@@ -11,10 +11,11 @@ A file is a Parquet container (so that any store Spark writes to will do, with i
     width, tokens        the concatenated ids, little-endian, of 2 bytes each if all of the segment's fit and else of 4
 
 Boundaries inside a segment are 32-bit at most, so no table of 64-bit offsets exists anywhere; a document's global start is its part's start (one
-number per part) plus ``first`` plus a selection.
+number per part) plus ``first`` plus a selection. Readers select the boundaries of the documents that they hand out, a block of them at a time (``read``) or one
+by its place (``fetch``), and never unpack a whole file's.
 
 Defined results: a null or empty text has the end id only; a null doc_id sorts first; rows that repeat a doc_id are documents of their own, ordered by
-their texts; an empty table makes an empty file; other columns are ignored.
+their texts; an empty table makes an empty file; other columns are ignored. A document of 2**29 ids or more, beyond what one binary value can hold, stops the job.
 """
 
 from __future__ import annotations
@@ -65,21 +66,17 @@ class EliasFano:
         bits = np.unpackbits(self.low[from_bit // 8 : -(-to_bit // 8)], bitorder="little")[from_bit % 8 : from_bit % 8 + to_bit - from_bit]
         return bits.reshape(-1, k).astype(np.int64) @ (np.int64(1) << np.arange(k, dtype=np.int64))
 
-    def all(self) -> np.ndarray:
-        ones = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))[: self.n]
-        return ((ones - np.arange(self.n)) << self.low_bits) + self._lows(0, self.n)
-
-    def select(self, i: int) -> int:
-        """The i-th number: start at the sample before it and count set bits on from there."""
-        at, seen = int(self.samples[i // SAMPLE]), i - i % SAMPLE
-        byte = at // 8
-        window = 64
-        while True:
-            bits = np.unpackbits(self.high[byte : byte + window], bitorder="little")
-            ones = np.flatnonzero(bits[at - 8 * byte :]) + at
-            if len(ones) > i - seen or byte + window >= len(self.high):
-                return int((int(ones[i - seen]) - i) << self.low_bits) + int(self._lows(i, i + 1)[0])
-            window *= 4
+    def select(self, begin: int, end: int | None = None) -> np.ndarray:
+        """Numbers ``begin`` to ``end`` (one, if no end is given): from the sample before the first, set bits are counted up to the sample after the last."""
+        end = begin + 1 if end is None else end
+        if not 0 <= begin < end <= self.n:
+            raise IndexError(f"no numbers {begin} to {end} among {self.n}")
+        at, seen = int(self.samples[begin // SAMPLE]), begin - begin % SAMPLE
+        last = -(-end // SAMPLE)
+        stop = int(self.samples[last]) if last < len(self.samples) else 8 * len(self.high)
+        bits = np.unpackbits(self.high[at // 8 : -(-stop // 8)], bitorder="little")
+        ones = np.flatnonzero(bits[at % 8 :])[begin - seen : end - seen] + at
+        return ((ones - np.arange(begin, end)) << self.low_bits) + self._lows(begin, end)
 
     def nbytes(self) -> int:
         return self.low.nbytes + self.high.nbytes + self.samples.nbytes
@@ -122,6 +119,8 @@ def write(coded: DataFrame, path: str, encoding=None) -> None:
 
         for batch in encoding(batches) if encoding else slices(batches, "ids"):
             for doc, ids in zip(batch.column("doc_id").to_pylist(), batch.column("ids").to_pylist()):
+                if len(ids) >= 1 << 31:
+                    raise ValueError("a document of 2**29 ids or more does not fit one value")
                 docs.append(doc)
                 held.append(ids)
                 size += len(ids) // 4
@@ -134,30 +133,72 @@ def write(coded: DataFrame, path: str, encoding=None) -> None:
     source.mapInArrow(run, FILE).write.option("compression", "zstd").parquet(path)
 
 
-def read(spark: SparkSession, path: str) -> DataFrame:
-    """(doc_id, start, ids binary) of every document in the files at ``path``."""
-    ship(spark)
-    segments = spark.read.schema(FILE).parquet(path)
+class Segment:
+    """One row of a file."""
+
+    def __init__(self, row: dict):
+        self.row, self.docs = row, row["docs"]
+        self.bounds = EliasFano(self.docs + 1, row["low_bits"], row["low"], row["high"], row["samples"])
+        self.nulls = np.unpackbits(np.frombuffer(row["null_ids"], np.uint8))[: self.docs].astype(bool)
+
+    def documents(self, begin: int, end: int, base: int) -> pa.RecordBatch:
+        """Documents ``begin`` to ``end``; ``base`` is the segment's global start."""
+        bounds = self.bounds.select(begin, end + 1)
+        numbers = pa.array(np.frombuffer(self.row["doc_ids"], "<i8")[begin:end], mask=self.nulls[begin:end])
+        tokens = np.frombuffer(self.row["tokens"], f"<u{self.row['width']}")[bounds[0] : bounds[-1]].astype("<u4", copy=False)
+        offsets = ((bounds - bounds[0]) * 4).astype(np.int32)  # below 2**31: a block closes before, see ``blocks``
+        ids = pa.Array.from_buffers(pa.binary(), end - begin, [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(tokens.tobytes())])
+        return pa.RecordBatch.from_arrays([numbers, pa.array(bounds[:-1] + base), ids], ["doc_id", "start", "ids"])
+
+    def blocks(self):
+        """Runs of documents between samples. All but a segment's last document have fewer than SEGMENT_IDS ids together, so only that one may be large: it is a block of its own."""
+        last = self.docs - 1
+        cuts = [*range(0, last, SAMPLE), last, self.docs]
+        return zip(cuts, cuts[1:])
+
+
+def _starts(segments: DataFrame) -> dict[int, int]:
+    """Global start of each part."""
     sums = {r["part"]: r["n"] for r in segments.groupBy("part").agg(F.sum("ids").alias("n")).collect()}  # one number per task that wrote
     starts, total = {}, 0
     for part in sorted(sums):
         starts[part], total = total, total + sums[part]
+    return starts
+
+
+def read(spark: SparkSession, path: str) -> DataFrame:
+    """(doc_id, start, ids binary) of every document in the files at ``path``."""
+    ship(spark)
+    segments = spark.read.schema(FILE).parquet(path)
+    starts = _starts(segments)
 
     def run(batches):
         for batch in slices(batches, "tokens"):
             for row in batch.to_pylist():
-                bounds = EliasFano(row["docs"] + 1, row["low_bits"], row["low"], row["high"], row["samples"]).all()
-                nulls = np.unpackbits(np.frombuffer(row["null_ids"], np.uint8))[: row["docs"]].astype(bool)
-                numbers = pa.array(np.frombuffer(row["doc_ids"], "<i8"), mask=nulls)
-                tokens = row["tokens"] if row["width"] == 4 else np.frombuffer(row["tokens"], "<u2").astype("<u4").tobytes()
-                base = starts[row["part"]] + row["first"]
-                offsets = pa.py_buffer((bounds * 4).astype(np.int32).tobytes())
-                ids = pa.Array.from_buffers(pa.binary(), row["docs"], [None, offsets, pa.py_buffer(tokens)])
-                yield pa.RecordBatch.from_arrays([numbers, pa.array(bounds[:-1] + base), ids], ["doc_id", "start", "ids"])
+                segment, base = Segment(row), starts[row["part"]] + row["first"]
+                for begin, end in segment.blocks():
+                    yield segment.documents(begin, end, base)
 
     return segments.mapInArrow(run, "doc_id bigint, start bigint, ids binary")
 
 
+def fetch(spark: SparkSession, path: str, wanted: DataFrame) -> DataFrame:
+    """(doc_id, start, ids) of documents by their place: ``wanted`` holds (part, segment, place). Segments that nobody asks for are not read past their keys."""
+    ship(spark)
+    segments = spark.read.schema(FILE).parquet(path)
+    starts = _starts(segments)
+    asked = wanted.groupBy("part", "segment").agg(F.sort_array(F.collect_set("place")).alias("places"))  # at most a segment's documents
+
+    def run(batches):
+        for batch in slices(batches, "tokens"):
+            for row in batch.to_pylist():
+                segment, base = Segment(row), starts[row["part"]] + row["first"]
+                for place in row["places"]:
+                    yield segment.documents(place, place + 1, base)
+
+    return segments.join(asked, ["part", "segment"]).mapInArrow(run, "doc_id bigint, start bigint, ids binary")
+
+
 def _narrow(tokens: bytes) -> tuple[int, bytes]:
     ids = np.frombuffer(tokens, "<u4")
     return (4, tokens) if len(ids) and ids.max() > 0xFFFF else (2, ids.astype("<u2").tobytes())

@@ -13,7 +13,7 @@ At the threshold itself a pair shares none of the 30 bands of 4 rows with a prob
 member, loses one pair in 1e9 there (half of 120 minima must agree, of which three quarters are expected to); pairs in larger buckets are compared again without it.
 
 Defined results: a null, empty or blank text has no shingles and is linked with nothing; a null doc_id is linked with nothing, has no component and is kept;
-rows that repeat a doc_id share their links; where the texts under one doc_id differ, ``deduplicate`` drops only rows whose own text is linked with a smaller doc_id; an empty table gives an empty result; other columns are ignored (report) or passed through (``deduplicate``).
+rows that repeat a doc_id with the same words share their fate, and where the texts under one doc_id differ each is linked, kept or dropped for itself; an empty table gives an empty result; other columns are ignored (report) or passed through (``deduplicate``).
 """
 
 from __future__ import annotations
@@ -164,14 +164,19 @@ def screened(edges: DataFrame, sketches: DataFrame, options: NearOptions) -> Dat
     return edges.join(left, "u").join(right, "v").select("u", "v", "su", "sv").mapInArrow(run, "u bigint, v bigint")
 
 
-def verified(docs: DataFrame, edges: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
+def sets_of(docs: DataFrame, places: DataFrame, wanted: DataFrame, options: NearOptions) -> DataFrame:
+    """(node, codes): the full sets of the ``wanted`` nodes, read again from the rows that ``places`` (node, doc_id, row) names."""
+    own = places.join(wanted, "node", "left_semi").select("node", F.col("doc_id").alias("__doc"), F.col("row").alias("__row"))
+    texts = columns.documents(docs).join(own, (F.col("doc_id") == F.col("__doc")) & (columns.row_name(F.col("text")) == F.col("__row"))).select(F.col("node").alias("doc_id"), "text")
+    return shingle_sets(texts, options).withColumnRenamed("doc_id", "node").dropDuplicates(["node"])
+
+
+def verified(docs: DataFrame, places: DataFrame, edges: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
     """Edges (u, v) whose full sets reach the threshold. ``edges`` must be a written table."""
-    nodes = edges.select(F.explode(F.array("u", "v")).alias("__node")).distinct()
-    texts = columns.documents(docs)
-    own = texts.join(nodes, F.col("doc_id") == F.col("__node"), "left_semi")
-    sets = stage.table(shingle_sets(own, options), "sets")
-    left = sets.select(F.col("doc_id").alias("u"), F.col("codes").alias("cu"))
-    right = sets.select(F.col("doc_id").alias("v"), F.col("codes").alias("cv"))
+    nodes = edges.select(F.explode(F.array("u", "v")).alias("node")).distinct()
+    sets = stage.table(sets_of(docs, places, nodes, options), "sets")
+    left = sets.select(F.col("node").alias("u"), F.col("codes").alias("cu"))
+    right = sets.select(F.col("node").alias("v"), F.col("codes").alias("cv"))
     joined = edges.join(left, "u").join(right, "v")
     common = F.size(F.array_intersect("cu", "cv")).cast("bigint")
     both = joined.select("u", "v", common.alias("i"), (F.size("cu") + F.size("cv")).cast("bigint").alias("n"))
@@ -191,7 +196,7 @@ def star_edges(members: DataFrame) -> DataFrame:
     return members.join(pivots, "key").where("node > pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
 
 
-def cross_links(docs: DataFrame, members: DataFrame, labels: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
+def cross_links(docs: DataFrame, places: DataFrame, members: DataFrame, labels: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
     """(u, v): links between members of one bucket that are not in one component yet, enough of them to join what is linked.
 
     Buckets fall into cells of bounded size, and each pair of cells is one group that holds the full sets of its members. A group counts the codes that
@@ -207,8 +212,7 @@ def cross_links(docs: DataFrame, members: DataFrame, labels: DataFrame, stage: S
     mixed = mixed.where("a < b AND n > 2").groupBy("n", "x", "y").agg(F.min("key").alias("key"))
     mixed = mixed.select("key", F.ceil(F.col("n") / options.cell).cast("int").alias("cells"))
     sliced = stage.table(rows.join(mixed, "key").withColumn("cell", F.pmod(code, F.col("cells")).cast("int")), "cells")
-    own = columns.documents(docs).join(sliced.select(F.col("node").alias("__node")).distinct(), F.col("doc_id") == F.col("__node"), "left_semi")
-    sets = shingle_sets(own, options).withColumnRenamed("doc_id", "node")
+    sets = sets_of(docs, places, sliced.select("node").distinct(), options)
     other = F.explode(F.sequence(F.lit(0), F.col("cells") - 1))
     dealt = sliced.withColumn("other", other).select("key", "node", "label", "cell", F.least("cell", "other").alias("i"), F.greatest("cell", "other").alias("j"))
     percent = options.percent
@@ -273,22 +277,23 @@ def _decided(docs: DataFrame, options: NearOptions) -> DataFrame:
     stage = Staging(docs.sparkSession, "near-dedup")
     signed = stage.table(sign(docs, options), "signed")
     named = signed.where(F.col("set_hash").isNotNull() & F.col("doc_id").isNotNull())
-    sets = named.groupBy("set_hash").agg(F.min("doc_id").alias("node"))
-    sets = stage.table(sets, "distinct-sets")
-    first = named.select("set_hash", F.col("doc_id").alias("node"), "bands", "sketch")
-    nodes = stage.table(first.join(sets, ["set_hash", "node"], "left_semi").dropDuplicates(["set_hash", "node"]).drop("set_hash"), "nodes")
+    sets = named.groupBy("set_hash").agg(F.min(F.struct("doc_id", "row")).alias("first")).select("set_hash", "first.doc_id", "first.row")
+    places = stage.table(sets.withColumn("node", F.monotonically_increasing_id()), "distinct-sets")  # sets are numbered, as doc_ids need not be their own
+    nodes = named.drop("n_shingles").join(places, ["set_hash", "doc_id", "row"]).dropDuplicates(["node"]).select("node", "bands", "sketch")
+    nodes = stage.table(nodes, "nodes")
 
     members = stage.table(bucket_members(nodes), "members")
 
     stars = stage.table(screened(star_edges(members), nodes, options), "edges")
-    first = components(stage.table(verified(docs, stars, stage, options), "links"), stage)
+    first = components(stage.table(verified(docs, places, stars, stage, options), "links"), stage)
     first = stage.table(first, "components")
-    more = cross_links(docs, members, first, stage, options)
+    more = cross_links(docs, places, members, first, stage, options)
     known = first.select(F.col("node").alias("u"), F.col("component").alias("v")).where("u <> v")
     final = components(known.unionByName(more), stage)
 
-    of_set = sets.join(final, "node", "left").select("set_hash", F.coalesce("component", "node").alias("component"))
-    of_set = stage.table(of_set.groupBy("set_hash").agg(F.min("component").alias("component")), "of-set")  # plain sides can be split where copies are many
+    joined = stage.table(places.join(final, "node", "left").select("set_hash", "doc_id", F.coalesce("component", "node").alias("component")), "joined")
+    least = joined.groupBy("component").agg(F.min("doc_id").alias("least"))
+    of_set = stage.table(joined.join(least, "component").select("set_hash", F.col("least").alias("component")), "of-set")  # plain sides can be split where copies are many
     found = signed.drop("bands", "sketch").join(of_set, "set_hash", "left")
     linked = F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id"))
     return found.select("doc_id", "row", "n_shingles", linked.alias("component_id"), linked.eqNullSafe(F.col("doc_id")).alias("kept"))

@@ -75,12 +75,29 @@ def test_exact_dedup_of_ids_with_two_texts(spark):
 
 
 def test_directory_splits_until_buckets_fit(spark):
-    prints = spark.range(3000).select(F.xxhash64("id").alias("h64"))
-    options = exact_dedup.IndexOptions(capacity=100, max_depth=10)
-    slots = exact_dedup.directory(prints, options)
-    held = prints.withColumn("slot", exact_dedup._slot(F.col("h64"), 10)).join(slots, "slot").groupBy("bucket", "depth").count().collect()
-    assert max(r["count"] for r in held) <= 100 and sum(r["count"] for r in held) == 3000
-    assert all(r["bucket"] % (1 << 10 - r["depth"]) == 0 for r in held)
+    rows = spark.range(3000).select(F.shiftrightunsigned(F.xxhash64("id"), 1).alias("address"))
+    rows = rows.unionByName(spark.range(500).select((F.lit(5 << 40) + F.col("id")).alias("address")))  # 40 bits alike: only more doubling splits them
+    options = exact_dedup.IndexOptions(capacity=100, step=4)
+    buckets = {(r["depth"], r["prefix"]) for r in exact_dedup.directory(rows, Staging(spark, "test"), options).collect()}
+    held = Counter()
+    for r in rows.collect():
+        own = [(d, r["address"] >> 63 - d) for d in range(64) if (d, r["address"] >> 63 - d) in buckets]
+        assert len(own) == 1
+        held[own[0]] += 1
+    assert set(held) == buckets and max(held.values()) <= 100 and max(d for d, _ in buckets) > 50
+    for d, p in buckets:
+        assert d == 0 or sum(n for (e, q), n in held.items() if e >= d and q >> e - d == p ^ 1) + held[d, p] > 100
+
+
+def test_colliding_addresses_are_chained_and_compared(spark):
+    rng = random.Random(8)
+    rows = [(i, f"text {rng.randrange(60)}") for i in range(200)]
+    tight = exact_dedup.IndexOptions(capacity=2, step=2, address_bits=4)
+    plain = sorted(map(tuple, exact_dedup.duplicate_report(frame(spark, rows)).collect()))
+    assert sorted(map(tuple, exact_dedup.duplicate_report(frame(spark, rows), tight).collect())) == plain
+    stage = Staging(spark, "test")
+    index = exact_dedup.build_index(exact_dedup.fingerprints(frame(spark, rows), tight), stage, tight).collect()
+    assert max(r["link"] for r in index) > 1 and len(index) == len({t for _, t in rows}) and len({r["bucket"] for r in index}) > 4
 
 
 def test_pieces_equal_the_library(spark, odd):
@@ -184,8 +201,22 @@ def test_runs_are_best_fit_decreasing(counts):
 def test_elias_fano(steps):
     values = np.cumsum(steps)
     code = token_files.EliasFano.of(values)
-    assert code.all().tolist() == values.tolist()
+    assert code.select(0, len(values)).tolist() == values.tolist()
     assert all(code.select(i) == values[i] for i in range(0, len(values), 37))
+    assert all(code.select(i, min(i + 300, len(values))).tolist() == values[i : i + 300].tolist() for i in range(0, len(values), 91))
+
+
+def test_documents_are_fetched_by_place(spark, tmp_path):
+    rng = random.Random(6)
+    texts = [(i, " ".join(rng.choice("ab cd ef") for _ in range(rng.randint(0, 60)))) for i in range(900)]
+    ids = [(d, np.frombuffer(t.encode(), np.uint8).astype("<u4").tobytes()) for d, t in texts]
+    coded = spark.createDataFrame(ids, "doc_id bigint, ids binary").coalesce(1)
+    token_files.write(coded, f"{tmp_path}/files")
+    every = {r["doc_id"]: (r["start"], bytes(r["ids"])) for r in token_files.read(spark, f"{tmp_path}/files").collect()}
+    assert {d: x for d, (_, x) in every.items()} == dict(ids)
+    wanted = spark.createDataFrame([(0, 0, p) for p in (0, 255, 256, 511, 512, 899)], "part int, segment int, place int")
+    got = {r["doc_id"]: (r["start"], bytes(r["ids"])) for r in token_files.fetch(spark, f"{tmp_path}/files", wanted).collect()}
+    assert got == {p: every[p] for p in (0, 255, 256, 511, 512, 899)}
 
 
 def test_token_files(spark, odd):
@@ -360,6 +391,13 @@ def test_near_duplicates(spark):
     assert got == brute_near(rows)
 
 
+def test_near_dedup_of_ids_with_two_texts(spark):
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    rows = [(1, a), (5, a + " more"), (5, b), (20, " ".join(f"c{i}" for i in range(9))), (20, " ".join(f"d{i}" for i in range(9))), (None, a)]
+    out = sorted((r["doc_id"] or 0, r["text"]) for r in near_dedup.deduplicate(frame(spark, rows)).collect())
+    assert out == sorted((d or 0, t) for d, t in rows if t != a + " more")
+
+
 def test_small_cells_lose_no_link(spark):
     rows = families(random.Random(3))
     got = sorted(tuple(r) for r in near_dedup.near_report(frame(spark, rows), near_dedup.NearOptions(cell=4)).collect())
@@ -431,40 +469,6 @@ def test_query_equals_oracle(spark, small_dir, name):
     assert sorted(map(repr, map(tuple, got.select("doc_id", "keep_id", "group_size", "kept", "text_sha256").collect()))) == sorted(map(repr, want))
 
 
-def brute_lines(rows, least):
-    """Texts after removal, by documents that all have ids of their own."""
-    count = lambda x: len(re.findall(r"[^\x20\x09-\x0D]+", x))
-    own = {d: [(i, x) for i, x in enumerate((t or "").split("\n")) if count(x)] for d, t in rows}
-    first, gone = {}, defaultdict(set)
-    for d in sorted(own):
-        for p in range(len(own[d])):
-            words, end = 0, p
-            while end < len(own[d]) and words < least:
-                words += count(own[d][end][1])
-                end += 1
-            if words < least:
-                continue
-            key = tuple(x for _, x in own[d][p:end])
-            source = first.setdefault(key, (d, p))
-            if source != (d, p) and (source[0] != d or p >= source[1] + end - p):
-                gone[d] |= {i for i, _ in own[d][p:end]}
-    return {d: ((t or "").split("\n"), gone[d]) for d, t in rows}
-
-
-def test_repeated_line_runs(spark):
-    rng = random.Random(4)
-    lines = [" ".join(rng.choice("abcdefgh") for _ in range(rng.randint(1, 9))) for _ in range(25)] + ["", "  "]
-    rows = [(i, "\n".join(rng.choice(lines) for _ in range(rng.randint(0, 40)))) for i in range(40)]
-    block = "\n".join(rng.choice(lines) for _ in range(12))
-    rows += [(100 + i, f"start {i}\n{block}\nend {i}") for i in range(6)] + [(200, "\n".join(["same words in every line"] * 30)), (300, None), (301, ""), (302, "\n\n"), (303, "word " * 30_000)]
-    want = brute_lines(rows, 20)
-    for r in line_dedup.report(frame(spark, rows), 20).collect():
-        parts, gone = want[r["doc_id"]]
-        assert r["text"] == "\n".join(x for i, x in enumerate(parts) if i not in gone) and r["n_removed"] == len(gone), r["doc_id"]
-    assert any(gone for _, gone in want.values())
-    assert line_dedup.report(frame(spark, EMPTY)).count() == 0
-
-
 def test_line_runs_of_odd_rows(spark, odd):
     out = line_dedup.remove(odd, 3)
     assert out.columns == odd.columns and out.count() == len(ODD)
@@ -503,18 +507,18 @@ def test_whole_line_runs(spark):
     rows += [(400, f"{long}\nother"), (401, f"{long}\n{tail}"), (402, f"x\n{long}\n{tail}\ny"), (403, f"{long}\n{tail}\n{long}\n{tail}"), (404, f"{words(10, 'b')}\n{long}")]
     gone = brute_whole(rows, 20)
     parts = {d: (t or "").split("\n") for d, t in rows}
-    out = {r["doc_id"]: r for r in line_dedup.report(frame(spark, rows), 20, whole=True).collect()}
+    out = {r["doc_id"]: r for r in line_dedup.report(frame(spark, rows), 20).collect()}
     assert len(out) == len(rows)
     for d, r in out.items():
         assert r["text"] == "\n".join(x for i, x in enumerate(parts[d]) if i not in gone[d]) and r["n_removed"] == len(gone[d]), d
     assert out[402]["text"] == "x\n\ny" and out[401]["text"] == tail
-    assert line_dedup.report(frame(spark, EMPTY), whole=True).count() == 0
+    assert line_dedup.report(frame(spark, EMPTY)).count() == 0
 
 
-def test_whole_line_dedup_equals_oracle(spark, small_dir):
+def test_line_dedup_equals_oracle(spark, small_dir):
     import duckdb
 
     duckdb.sql(f"CREATE OR REPLACE VIEW documents AS SELECT * FROM '{small_dir}/documents.parquet'")
-    want = duckdb.sql(queries.oracle_sql()["op6_whole_line_dedup"]).fetchall()
-    got = queries.op6_whole_line_dedup(spark, small_dir).select("doc_id", "n_lines", "n_removed", "text_sha256").collect()
+    want = duckdb.sql(queries.oracle_sql()["op6_line_dedup"]).fetchall()
+    got = queries.op6_line_dedup(spark, small_dir).select("doc_id", "n_lines", "n_removed", "text_sha256").collect()
     assert sorted(map(tuple, got)) == sorted(want)

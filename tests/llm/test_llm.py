@@ -5,6 +5,7 @@ import math
 import random
 import re
 import zlib
+from bisect import bisect_left, insort
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -169,32 +170,75 @@ def test_packing_is_gapless_and_near_the_bound(spark, odd):
     assert packing.pack(byte_tokens.encode(frame(spark, EMPTY), public_tokenizers.path("byte_bpe_50k.json"), 0, True)).count() == 0
 
 
-@settings(max_examples=60, deadline=None)
-@given(st.dictionaries(st.integers(1, 64), st.integers(1, 50), min_size=1, max_size=20))
-def test_runs_are_best_fit_decreasing(counts):
-    gaps, bins = [], 0  # one piece at a time
-    for length in sorted(counts, reverse=True):
-        for _ in range(counts[length]):
-            fits = [g for g in gaps if g >= length]
-            if fits:
-                gaps.remove(min(fits))
-                gaps.append(min(fits) - length)
-            else:
-                bins += 1
-                gaps.append(64 - length)
-    runs = packing.match(counts, 64)
-    used = defaultdict(list)
-    for length, rank, each, first, offset in runs.tolist():
-        end = min([r[1] for r in runs.tolist() if r[0] == length and r[1] > rank], default=counts[length])
-        for i in range(end - rank):
-            used[first + i // each].append((offset + i % each * length, length))
-    assert len(used) == bins and sum(len(v) for v in used.values()) == sum(counts.values())
-    for parts in used.values():
-        at = 0
-        for offset, length in sorted(parts):
-            assert offset == at
-            at += length
-        assert at <= 64
+def one_by_one(lengths, capacity):
+    """Sequences that best fit in falling length needs, one piece at a time."""
+    gaps, made = [], 0
+    for length in sorted(lengths, reverse=True):
+        at = bisect_left(gaps, length)
+        made += at == len(gaps)
+        insort(gaps, (gaps.pop(at) if at < len(gaps) else capacity) - length)
+    return made
+
+
+def greedy(pieces, gaps):
+    """Sizes that meet when every piece, the longest first, takes the smallest gap left that holds it, each gap once."""
+    free, pairs = sorted(gaps), []
+    for size in sorted(pieces, reverse=True):
+        at = next((i for i, g in enumerate(free) if g >= size), None)
+        if at is not None:
+            pairs.append((size, free.pop(at)))
+    return sorted(pairs)
+
+
+@settings(max_examples=200, deadline=None)
+@given(st.lists(st.integers(1, 30), max_size=60), st.lists(st.integers(1, 40), max_size=60), st.integers(1, 9))
+def test_sweeps_over_ranges_are_best_fit(pieces, gaps, ranges):
+    rows = sorted([(-g, 0) for g in gaps] + [(-p, 1) for p in pieces])
+    pairs, counts, left = [], [], {}
+    size = -(-len(rows) // ranges) or 1
+    parts = [rows[k : k + size] for k in range(0, len(rows), size)]
+    for n, part in enumerate(parts):
+        own, gap, pieces_left, gaps_left = packing.matched(np.array([k == 0 for _, k in part], bool))
+        pairs += [(-part[a][0], -part[b][0]) for a, b in zip(own, gap)]
+        counts.append((len(pieces_left), len(gaps_left)))
+        left[n] = [-part[i][0] for i in pieces_left], [-part[i][0] for i in gaps_left]
+    runs, done = packing.linked(counts)
+    for p, first, g, final, n, _ in runs:
+        pairs += [(left[p][0][first + i], left[g][1][final - i]) for i in range(n)]
+    assert sorted(pairs) == greedy(pieces, gaps) and sum(done) == sum(r[4] for r in runs)
+
+
+@pytest.mark.parametrize("ranges", [1, 5])
+def test_one_sweep_of_tables(spark, ranges):
+    rng = random.Random(ranges)
+    pieces, gaps = [(i, rng.choice([9, rng.randint(9, 16)])) for i in range(300)], [(i, rng.randint(9, 30)) for i in range(170)]
+    placed, left, n, least = packing.sweep(spark.createDataFrame(pieces, "pid bigint, size bigint"), spark.createDataFrame(gaps, "sid bigint, gap bigint"), 16, Staging(spark, "test"), ranges)
+    got = [(r["size"], dict(gaps)[r["sid"]]) for r in placed.collect()]
+    assert sorted(got) == greedy([s for _, s in pieces], [g for _, g in gaps])
+    rest = sorted(left.collect(), key=lambda r: r["rank"])
+    assert [r["rank"] for r in rest] == list(range(n)) and [r["size"] for r in rest] == sorted((r["size"] for r in rest), reverse=True) and least == rest[-1]["size"]
+    assert {r["pid"] for r in rest} | {r["pid"] for r in placed.collect()} == set(range(300)) and n + len(got) == 300
+
+
+def test_packing_in_many_ranges(spark):
+    rng = random.Random(12)
+    lengths = [rng.choice([700, 1, rng.randint(1, 2048), rng.randint(1, 90), 2048, 5000]) for _ in range(1500)]
+    coded = spark.createDataFrame([(i, bytes(4 * n)) for i, n in enumerate(lengths)], "doc_id bigint, ids binary").repartition(4)
+    for ranges in (1 << 20, 60):
+        sequences = defaultdict(list)
+        for r in packing.pack(coded, range_rows=ranges).collect():
+            sequences[r["sequence_id"]].append((r["offset"], r["length"]))
+        for parts in sequences.values():
+            parts.sort()
+            assert [o for o, _ in parts] == np.cumsum([0, *[n for _, n in parts]])[:-1].tolist() and sum(parts[-1]) <= 2048
+        assert sum(n for parts in sequences.values() for _, n in parts) == sum(lengths)
+        assert sorted(sequences) == list(range(len(sequences)))
+        assert len(sequences) <= 1.002 * one_by_one([p for n in lengths for p in [2048] * (n // 2048) + [n % 2048] if p], 2048) + 1
+
+
+def test_lengths_are_long(spark, odd):
+    packed = packing.pack(byte_tokens.encode(odd, public_tokenizers.path("byte_bpe_50k.json"), 0, True))
+    assert dict(packed.dtypes) == {"doc_id": "bigint", "piece": "int", "start": "bigint", "length": "bigint", "ids_crc32": "bigint", "sequence_id": "bigint", "offset": "bigint"}
 
 
 @given(st.lists(st.integers(0, 9000), min_size=1, max_size=700))

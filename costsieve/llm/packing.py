@@ -4,9 +4,10 @@ Pieces are taken in bands of length, the longest first: band b holds lengths fro
 sorts its pieces and the gaps that could hold one, together, into ranges of size over all tasks. Each task sweeps its range from the largest size down with a stack: a gap goes onto it, a piece takes the topmost,
 which is its successor, the smallest free gap that holds it; pieces that want the same gap get it, and the next larger ones, in rank order. What a range cannot match inside is resolved between ranges: every task tells how many
 pieces and gaps it has left, these counts, two a task, are swept in the same way, and the leftovers meet by their match numbers in a join. So a superstep gives exactly the pairs that one sweep over all rows would.
-Then the gaps shrink, and the superstep repeats with the pieces left until no gap holds any of them; those open new sequences, 2**b ranks in a row to each, whose gaps join the others. A gap with room for several pieces of a band enters as several slots.
+Then the gaps shrink, and the superstep repeats with the pieces left until no gap holds any of them; those open new sequences, 2**b ranks in a row to each, whose gaps join the others. A gap with room for several pieces of a band enters as several slots, and of the wide gaps only the
+smallest enter, as many as the pieces can ask for.
 
-Nothing is gathered on the driver but counts per task and per band. Range keys end in a row's number, so lengths that a third of all pieces have are split like any other.
+Nothing is gathered on the driver but counts per task, per band and per size of gap. Range keys end in a row's number, so lengths that a third of all pieces have are split like any other.
 
 Defined results: a null or empty text is the end id alone; a document longer than ``capacity`` becomes pieces of ``capacity`` ids whose first may be
 shorter; rows that repeat a doc_id are documents of their own; an empty table gives an empty result; other columns are ignored.
@@ -209,10 +210,10 @@ def place(pieces: DataFrame, stage: Staging, capacity: int = 2048, range_rows: i
     for band in sorted(counts):
         left, n, least, room = work.where(F.col("band") == band).select("pid", "size"), counts[band], upper[band + 1] + 1, upper[band]
         while n:
-            fit = gaps.where(F.col("gap") >= least)  # the shortest piece left decides which gaps take part
-            slots = fit.agg(F.sum(_slots(F.col("gap"), room)).alias("n")).first()["n"] or 0 if made else 0
-            if "rank" in left.columns and not slots:
+            held = {r["gap"]: r["n"] for r in gaps.where(F.col("gap") >= least).groupBy("gap").agg(F.count(F.lit(1)).alias("n")).collect()} if made else {}  # ``capacity`` rows at most
+            if "rank" in left.columns and not held:
                 break
+            fit, slots = _asked(gaps, held, least, room, n, turn)
             placed, left, n, least = sweep(left, fit, room, stage, -(-(n + slots) // range_rows))
             done.append(placed.withColumn("turn", F.lit(turn)))
             turn += 1
@@ -231,6 +232,22 @@ def place(pieces: DataFrame, stage: Staging, capacity: int = 2048, range_rows: i
     return every.select("pid", F.col("sid").alias("sequence_id"), F.coalesce(F.sum("size").over(before), F.lit(0)).cast("bigint").alias("offset"))
 
 
+def _asked(gaps: DataFrame, held: dict[int, int], least: int, room: int, n: int, turn: int) -> tuple[DataFrame, int]:
+    """The gaps that n pieces can ask for, and how many slots they make: all that are short of ``room``, then the smallest wider ones until every piece is sure of one.
+
+    Larger gaps are nobody's successor then. Of the last size only a share by hash takes part; should it fall short, the next superstep asks for more.
+    """
+    slots, sure = sum(c for g, c in held.items() if g < room), 0
+    for gap in sorted(g for g in held if g >= room):
+        each, count = gap // room, held[gap]
+        if sure + each * count >= n:
+            wanted = min(count, int(1.25 * (n - sure) / each) + 16)
+            some = F.pmod(F.xxhash64("sid", F.lit(turn)), F.lit(1 << 30)) < int((1 << 30) * wanted / count)
+            return gaps.where((F.col("gap") >= least) & ((F.col("gap") < gap) | ((F.col("gap") == gap) & some))), slots + sure + each * wanted
+        sure += each * count
+    return gaps.where(F.col("gap") >= least), slots + sure
+
+
 def _shrunk(gaps: DataFrame, changes: DataFrame, stage: Staging) -> DataFrame:
     """Gaps after changes (sid, d); full sequences are left out."""
     both = gaps.select("sid", F.col("gap").cast("bigint").alias("d")).unionByName(changes.select("sid", F.col("d").cast("bigint").alias("d")))

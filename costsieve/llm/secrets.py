@@ -59,23 +59,6 @@ def _span(kind: Column, begin: Column, end: Column, order: Column) -> Column:
     return F.struct(begin.cast("int").alias("begin"), order.cast("int").alias("order"), end.cast("int").alias("end"), kind.alias("kind"))
 
 
-def located(text: Column, pattern: str) -> Column:
-    """array<struct<begin, found>> of the leftmost, non-overlapping matches, which are never empty."""
-    gaps = F.split(text, pattern, -1)
-    found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    start = F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<struct<begin:int,found:string>>)").alias("out"))
-
-    def step(state: Column, pair: Column) -> Column:
-        begin = state["at"] + F.length(pair["gap"])
-        return F.struct(
-            (begin + F.length(pair["found"])).alias("at"),
-            F.concat(state["out"], F.array(F.struct(begin.alias("begin"), pair["found"].alias("found")))).alias("out"),
-        )
-
-    pairs = F.transform(found, lambda m, i: F.struct(F.element_at(gaps, i + 1).alias("gap"), m.alias("found")))
-    return F.when(F.size(found) == 0, start["out"]).otherwise(F.aggregate(pairs, start, step, lambda s: s["out"]))
-
-
 def _kept(found: Column, keep) -> Column:
     return F.filter(found, lambda m: keep(m["found"]))
 
@@ -85,8 +68,8 @@ def _spans(found: Column, kind: str, order: int) -> Column:
 
 
 def signature_spans(text: Column) -> Column:
-    assigned = _kept(located(text, ASSIGN), lambda m: F.length(F.regexp_extract(m, ASSIGN, 2)) >= ASSIGN_VALUE)
-    parts = (assigned, "assign", 0), (located(text, ACCESS), "access", 1), (located(text, HEX), "hex", 2)
+    assigned = _kept(columns.located(text, ASSIGN), lambda m: F.length(F.regexp_extract(m, ASSIGN, 2)) >= ASSIGN_VALUE)
+    parts = (assigned, "assign", 0), (columns.located(text, ACCESS), "access", 1), (columns.located(text, HEX), "hex", 2)
     return F.array_sort(F.concat(*[_spans(*part) for part in parts]))
 
 
@@ -131,7 +114,7 @@ def window_spans(candidate: Column, window: int, threshold: float, harmless: Col
 def entropy_spans(text: Column, options: ScanOptions) -> Column:
     parts = []
     for order, kind in enumerate(options.classes, start=3):
-        runs = located(text, f"[{kind.alphabet}]{{{options.window},}}")
+        runs = columns.located(text, f"[{kind.alphabet}]{{{options.window},}}")
         for shape in filter(_anchored, options.allowed):
             runs = _kept(runs, _unlike(shape))
         if options.allowed_values:
@@ -148,7 +131,7 @@ def _anchored(shape: str) -> bool:
 def _harmless(candidate: Column, options: ScanOptions) -> Column:
     """array<struct<b, e>>: the places where shapes that are not anchored match."""
     none = F.expr("cast(array() as array<struct<b:int,e:int>>)")
-    matches = [located(candidate, shape) for shape in options.allowed if not _anchored(shape)]
+    matches = [columns.located(candidate, shape) for shape in options.allowed if not _anchored(shape)]
     return F.concat(none, *[F.transform(m, lambda h: F.struct(h["begin"].alias("b"), (h["begin"] + F.length(h["found"])).alias("e"))) for m in matches])
 
 

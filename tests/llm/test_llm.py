@@ -363,14 +363,46 @@ def test_licenses(spark, odd):
             for m in pattern.finditer(line):
                 begin = line[: m.start()].count(" ")
                 spans.append((begin, begin + m[0].count(" "), r.priority, r.label))
-        inside = lambda s, o: o is not s and o[0] <= s[0] and o[1] >= s[1] and ((o[0], o[1]) != (s[0], s[1]) or o[2] < s[2])
-        stay = {s[3] for s in spans if not any(inside(s, o) for o in spans)}
+        stay = []
+        for s in sorted(spans, key=lambda s: (s[0], -s[1], s[2])):
+            if s[1] <= max((o[1] for o in stay), default=-1) or (stay and s[0] < stay[-1][1] and stay[-1][2] < s[2]):
+                continue
+            if stay and s[0] < stay[-1][1]:
+                stay.pop()
+            stay.append(s)
+        stay = {s[3] for s in stay}
         want.append((d, len(words), len(places), min(places, default=None), max(places, default=None), ",".join(sorted(names)), ",".join(sorted(names | stay))))
     out = licenses.summary(licenses.scan(frame(spark, rows))).collect()
     assert sorted(map(repr, (tuple(r)[:7] for r in out))) == sorted(map(repr, want))
     assert all(0 <= r["score"] <= 1 for r in out) and len(licenses.RULES) > 200
 
 
+def test_every_rule_is_found_by_its_keyword(spark):
+    """A text made from each rule's pattern (its first choice everywhere) holds the keyword, and the scan finds the rule's label alone or a longer detection."""
+    def first(pattern):
+        pattern = re.sub(r"\[\^ \]\+", "thing", pattern).replace(" ?", " ").replace("[0-9a-z]+", "mit").replace("[0-9]{2}", "24").replace("[0-9]+", "2").replace("[123]", "2").replace("[cs]", "c")
+        while "(" in pattern:
+            pattern = re.sub(r"\((?:\?:)?([^()|]*)(?:\|[^()]*)?\)(\?|\*|\{\d+,\d+\})?", lambda m: "" if m[2] and m[2][0] in "?*" else m[1], pattern)
+        return pattern.replace("?", "").strip()
+
+    texts = [re.sub(" +", " ", first(r.pattern)) for r in licenses.RULES]
+    for r, x in zip(licenses.RULES, texts):
+        if re.fullmatch(r.pattern, x) and f" {r.keyword} " not in f" {x} ":
+            assert any(o.label == r.label and re.fullmatch(o.pattern, x) and f" {o.keyword} " in f" {x} " for o in licenses.RULES), (r, x)
+    assert sum(bool(re.fullmatch(r.pattern, x)) for r, x in zip(licenses.RULES, texts)) > 0.9 * len(texts)
+    out = licenses.summary(licenses.scan(frame(spark, list(enumerate(texts))))).collect()
+    assert all(r["labels"] for r in out if re.fullmatch(licenses.RULES[r["doc_id"]].pattern, texts[r["doc_id"]]))
+
+
+def test_many_matches_in_a_long_text(spark):
+    text = " ".join(["copyright 2020 someone; all rights reserved, token=abcdefghijkl0"] * 1500) + " x" * 2_000_000
+    rows = frame(spark, [(1, text)])
+    (r,) = licenses.scan(rows).collect()
+    assert len(r["detections"]) == 3000 and r["detections"][-1]["begin"] == 1499 * 8 + 3
+    (s,) = secrets.scan(rows).collect()
+    assert [x["begin"] for x in s["signatures"]] == [m.start() for m in re.finditer("token", text)]
+
+
 def test_media_round_trip(spark, odd):
     for r in media.feature(media.round_trip(odd)).collect():
         data = bytes(r["payload"])

@@ -166,9 +166,11 @@ def screened(edges: DataFrame, sketches: DataFrame, options: NearOptions) -> Dat
 
 def sets_of(docs: DataFrame, places: DataFrame, wanted: DataFrame, options: NearOptions) -> DataFrame:
     """(node, codes): the full sets of the ``wanted`` nodes, read again from the rows that ``places`` (node, doc_id, row) names."""
-    own = places.join(wanted, "node", "left_semi").select("node", F.col("doc_id").alias("__doc"), F.col("row").alias("__row"))
-    texts = columns.documents(docs).join(own, (F.col("doc_id") == F.col("__doc")) & (columns.row_name(F.col("text")) == F.col("__row"))).select(F.col("node").alias("doc_id"), "text")
-    return shingle_sets(texts, options).withColumnRenamed("doc_id", "node").dropDuplicates(["node"])
+    own = places.join(wanted, "node", "left_semi").select("node", "rows", F.col("doc_id").alias("__doc"), F.col("row").alias("__row"))
+    found = columns.documents(docs).join(own, (F.col("doc_id") == F.col("__doc")) & (columns.row_name(F.col("text")) == F.col("__row"))).select(F.col("node").alias("doc_id"), "text", "rows")
+    # only rows that repeat both doc_id and text are there more than once
+    texts = found.where("rows = 1").drop("rows").unionByName(found.where("rows > 1").drop("rows").dropDuplicates(["doc_id"]))
+    return shingle_sets(texts, options).withColumnRenamed("doc_id", "node")
 
 
 def verified(docs: DataFrame, places: DataFrame, edges: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
@@ -277,10 +279,11 @@ def _decided(docs: DataFrame, options: NearOptions) -> DataFrame:
     stage = Staging(docs.sparkSession, "near-dedup")
     signed = stage.table(sign(docs, options), "signed")
     named = signed.where(F.col("set_hash").isNotNull() & F.col("doc_id").isNotNull())
-    sets = named.groupBy("set_hash").agg(F.min(F.struct("doc_id", "row")).alias("first")).select("set_hash", "first.doc_id", "first.row")
+    rows = named.groupBy("set_hash", "doc_id", "row").agg(F.count(F.lit(1)).alias("rows"))
+    sets = rows.groupBy("set_hash").agg(F.min(F.struct("doc_id", "row", "rows")).alias("first")).select("set_hash", "first.*")
     places = stage.table(sets.withColumn("node", F.monotonically_increasing_id()), "distinct-sets")  # sets are numbered, as doc_ids need not be their own
-    nodes = named.drop("n_shingles").join(places, ["set_hash", "doc_id", "row"]).dropDuplicates(["node"]).select("node", "bands", "sketch")
-    nodes = stage.table(nodes, "nodes")
+    nodes = named.drop("n_shingles").join(places, ["set_hash", "doc_id", "row"]).select("node", "rows", "bands", "sketch")
+    nodes = stage.table(nodes.where("rows = 1").unionByName(nodes.where("rows > 1").dropDuplicates(["node"])).drop("rows"), "nodes")
 
     members = stage.table(bucket_members(nodes), "members")
 

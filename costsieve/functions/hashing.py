@@ -303,8 +303,8 @@ C0, C1, C2, CM = 0xC3A5C85C97CB3127, 0xB492B66FBE98F273, 0x9AE16A3B2F90404F, 0x9
 M64 = (1 << 64) - 1
 
 
-def _city(data: bytes) -> int:
-    """64-bit function of the city family, by its public definition; the top 60 bits."""
+def _city(data: bytes, drop: int = 4) -> int:
+    """64-bit function of the city family, by its public definition; without its lowest ``drop`` bits."""
     n = len(data)
     word = lambda at: int.from_bytes(data[at : at + 8], "little")
     turn = lambda x, r: (x >> r | x << 64 - r) & M64
@@ -361,7 +361,7 @@ def _city(data: bytes) -> int:
         h = mix(y * C2 & M64 ^ z * C0 & M64) * C2 & M64
     else:
         h = C2
-    return h >> 4
+    return h >> drop
 
 
 def _xx(data: bytes) -> int:
@@ -428,9 +428,74 @@ def duck_fold(name: str, expr: str) -> str:
         "brp": ("0", "xor(xor((h << 7) & 4294967295, h >> 25), c)"),
         "py": ("0", "xor((h * 1000003) & 4294967295, c)"),
         "pjw": ("0", "xor((((h << 4) & 4294967295) + c) & 4294967295, ((((h << 4) & 4294967295) + c) & 4026531840) >> 24) & 268435455"),
+        "elf": ("0", f"xor(xor({_SHIFTED}, ({_SHIFTED} & 4026531840) >> 24), {_SHIFTED} & 4026531840)"),
+        "oaat": ("0", f"xor({_ADDED}, {_ADDED} >> 6)"),
+        # bytes at odd places come with 256 added
+        "ap": ("2863311530", "CASE WHEN c < 256 THEN xor(h, xor((h << 7) & 4294967295, ((h >> 3) * c) & 4294967295)) ELSE xor(h, xor((((h << 11) & 4294967295) + xor(h >> 5, c - 256)) & 4294967295, 4294967295)) END"),
+        "rs": ("{'h': 0::BIGINT, 'a': 63689::BIGINT}", "{'h': ((h.h::HUGEINT * h.a + c.h) & 4294967295)::BIGINT, 'a': (h.a * 378551) & 4294967295}"),
     }[name]
-    data = f"list_transform(range(1, octet_length(encode({expr})) + 1), lambda i: ('0x' || substr(hex(encode({expr})), (2 * i - 1)::INT, 2))::BIGINT)"
-    return f"list_reduce(list_concat([{start}::BIGINT], {data}), lambda h, c: {step})"
+    byte = f"('0x' || substr(hex(encode({expr})), (2 * i - 1)::INT, 2))::BIGINT"
+    byte = {"ap": f"{byte} + (i - 1) % 2 * 256", "rs": f"{{'h': {byte}, 'a': 0::BIGINT}}"}.get(name, byte)
+    first = start if name == "rs" else f"{start}::BIGINT"
+    folded = f"list_reduce(list_concat([{first}], list_transform(range(1, octet_length(encode({expr})) + 1), lambda i: {byte})), lambda h, c: {step})"
+    if name == "rs":
+        return f"({folded}).h"
+    if name == "oaat":
+        three = "((h + ((h << 3) & 4294967295)) & 4294967295)"
+        mixed = f"xor({three}, {three} >> 11)"
+        return f"list_transform([{folded}], lambda h: ({mixed} + (({mixed} << 15) & 4294967295)) & 4294967295)[1]"
+    return folded
+
+
+_SHIFTED = "((((h << 4) & 4294967295) + c) & 4294967295)"
+_ADDED = "((((h + c) & 4294967295) + ((((h + c) & 4294967295) << 10) & 4294967295)) & 4294967295)"
+
+
+# Families of one function and many seeds
+
+
+def city_seeded(values: np.ndarray, seeds: np.ndarray) -> np.ndarray:
+    """Seeded values (60 bits) from the city family's 64-bit ones: its two-word mix of the value, less a constant, and the seed."""
+    x = values.astype(np.uint64)[:, None] - np.uint64(C2)
+    seeds, mul = seeds.astype(np.uint64)[None, :], np.uint64(CM)
+    a = (x ^ seeds) * mul
+    a ^= a >> np.uint64(47)
+    b = (seeds ^ a) * mul
+    b ^= b >> np.uint64(47)
+    return ((b * mul) >> np.uint64(4)).astype(np.int64)
+
+
+def city64(data: bytes) -> int:
+    """All 64 bits of the city function."""
+    return _city(data, 0)
+
+
+def wide(data: bytes, seed: int) -> int:
+    """128-bit function of the murmur family, by its public definition."""
+    c1, c2 = 0x87C37B91114253D5, 0x4CF5AD432745937F
+    turn = lambda x, r: (x << r | x >> 64 - r) & M64
+
+    def final(x: int) -> int:
+        x = (x ^ x >> 33) * 0xFF51AFD7ED558CCD & M64
+        x = (x ^ x >> 33) * 0xC4CEB9FE1A85EC53 & M64
+        return x ^ x >> 33
+
+    n, a, b = len(data), seed, seed
+    for at in range(0, n // 16 * 16, 16):
+        low, high = int.from_bytes(data[at : at + 8], "little"), int.from_bytes(data[at + 8 : at + 16], "little")
+        a ^= turn(low * c1 & M64, 31) * c2 & M64
+        a = (turn(a, 27) + b) * 5 + 0x52DCE729 & M64
+        b ^= turn(high * c2 & M64, 33) * c1 & M64
+        b = (turn(b, 31) + a) * 5 + 0x38495AB5 & M64
+    rest = data[n // 16 * 16 :]
+    b ^= turn(int.from_bytes(rest[8:], "little") * c2 & M64, 33) * c1 & M64
+    a ^= turn(int.from_bytes(rest[:8], "little") * c1 & M64, 31) * c2 & M64
+    a, b = a ^ n, b ^ n
+    a = a + b & M64
+    b = a + b & M64
+    a, b = final(a), final(b)
+    a = a + b & M64
+    return a | (a + b & M64) << 64
 
 
 def positions(values: np.ndarray, m: int) -> np.ndarray:

@@ -134,6 +134,15 @@ def _doc_block(spark: SparkSession, d: str) -> DataFrame:
     return grouped.select("k", "cost", "positive")
 
 
+def _traits(orders: DataFrame) -> DataFrame:
+    """URLs whose host tells for 24 of 25 keys whether they are positive: as many as there are orders, so that a budget of few bits per key holds a model."""
+    told = orders.select("o_orderkey", F.col("o_orderpriority").isin("1-URGENT", "2-HIGH").alias("positive"), (number(F.concat(F.lit("trait"), F.col("o_orderkey").cast("string"))) % 25).cast("int").alias("noise"))
+    hosts = [F.element_at(F.array(*[F.lit(h) for h in names.split()]), F.col("noise") % 4 + 1) for names in ("spam-farm casino-win free-bets cheap-pills", "daily-news city-blog book-shop open-wiki")]
+    host = F.when(F.col("positive") == (F.col("noise") != 0), hosts[0]).otherwise(hosts[1])
+    k = F.concat(F.lit("https://"), host, F.lit(".example/"), F.substring(F.md5(F.col("o_orderkey").cast("string")), 1, 12))
+    return told.select(k.alias("k"), F.lit(1.0).alias("cost"), "positive")
+
+
 _NUM = "('0x' || substr(md5({}), 1, 15))::BIGINT"
 _SPAM = "spam-farm|casino-win|free-bets|cheap-pills"
 _DUCK_SHINGLES = (
@@ -171,6 +180,13 @@ KEYSETS = {
             _urls(lambda: number(F.col("url")) % 2 == 0),
             f"SELECT url AS k, 1.0::DOUBLE AS cost, {_NUM.format('url')} % 2 = 0 AS positive FROM (SELECT DISTINCT url FROM pages WHERE url IS NOT NULL)",
         ),
+        KeySet(
+            "url_traits",
+            lambda spark, d: _traits(table(spark, d, "orders")),
+            "SELECT 'https://' || CASE WHEN positive = (noise <> 0) THEN ['spam-farm', 'casino-win', 'free-bets', 'cheap-pills'][noise % 4 + 1] ELSE ['daily-news', 'city-blog', 'book-shop', 'open-wiki'][noise % 4 + 1] END "
+            "|| '.example/' || substr(md5(o_orderkey::VARCHAR), 1, 12) AS k, 1.0::DOUBLE AS cost, positive "
+            f"FROM (SELECT o_orderkey, o_orderpriority IN ('1-URGENT', '2-HIGH') AS positive, {_NUM.format("'trait' || o_orderkey::VARCHAR")} % 25 AS noise FROM orders)",
+        ),
         KeySet(
             "join_reduce",
             _join_reduce,

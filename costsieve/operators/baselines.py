@@ -19,7 +19,7 @@ from ..functions.geometry import best_k, fingerprint_bits
 from ..functions.hashing import ROUTER, Family
 from ..sources.shared import ship
 from . import bloom
-from .filters import ARTEFACT, FilterSet, bit, matrix, route, written
+from .filters import ARTEFACT, BROADCAST_BYTES, FilterSet, bit, matrix, route, written
 
 MIX = 0x9E3779B97F4A7C15
 
@@ -86,6 +86,10 @@ def xor_table(values: np.ndarray, bits: int, tries: int = 10) -> tuple[np.ndarra
 
 
 class XorFilter(FilterSet):
+    @property
+    def sent_bytes(self) -> int:
+        return self.total_bits * 8  # a fingerprint of one bit or more takes 8 bytes
+
     def _raw_ids(self) -> list[int]:
         return [1, 2, 3, 4]
 
@@ -128,7 +132,7 @@ class WeightedFilter(FilterSet):
         cache = self.cache.select(F.col("k").alias("__ck"), F.col("functions").alias("__kk"))
         known = df.join(cache, F.col(key) == F.col("__ck"), "left")
         art = self.rows.select(F.col("shard").alias("__shard"), F.col("m").alias("__m"), F.col("words").alias("__words"))
-        joined = known.withColumn("__r", route(self.family, F.col(key), self.shards)).join(F.broadcast(art), F.col("__r") == F.col("__shard"), "left")
+        joined = known.withColumn("__r", route(self.family, F.col(key), self.shards)).join(F.broadcast(art) if self.sent_bytes <= BROADCAST_BYTES else art, F.col("__r") == F.col("__shard"), "left")
         count = F.coalesce("__kk", F.lit(self.k))
         spots = joined.withColumn("__p", F.array(*[F.pmod(self.family.column(F.col(key), i + 1), F.col("__m")) for i in range(self.most)])).withColumn("__n", count)
         yes = F.lit(True)
@@ -326,6 +330,8 @@ class AdaptiveFilter:
     def probe(self, df: DataFrame, key: str = "k", mode: str = "expr") -> DataFrame:
         most = max(*self.counts, 1)
         scored = self.model.score(df, key).withColumn("__n", self.group_functions())
+        if self.base.sent_bytes > BROADCAST_BYTES:
+            raise ValueError("the filter is too large to be sent to every task")
         art = self.base.rows.select(F.col("m").alias("__m"), F.col("words").alias("__words"))
         joined = scored.crossJoin(F.broadcast(art))  # one row
         joined = joined.withColumn("__p", F.array(*[F.pmod(self.base.family.column(F.col(key), i + 1), F.col("__m")) for i in range(most)]))
@@ -339,8 +345,8 @@ def adaptive_build(positives: DataFrame, negatives: DataFrame, model: Model, tot
     """Functions fall from k_max to 0 as the score rises; bounds and k_max come from a small grid over expected rates."""
     n = n or positives.count()
     m = total_bits - model.bits
-    feasible = m >= 64
-    m = m if feasible else total_bits
+    if m < 64:
+        raise ValueError(f"the model's {model.bits} bits leave nothing of {total_bits}")
     s, o = model.score(positives).select("k", "score").cache(), model.score(negatives).select("score").cache()
     every = _quantiles(o, 24)
     above_o, above_s = _rates(o, every), _rates(s, every)
@@ -355,7 +361,7 @@ def adaptive_build(positives: DataFrame, negatives: DataFrame, model: Model, tot
             if best is None or rate < best[0]:
                 best = (rate, list(cuts), ks)
     _, cuts, counts = best
-    made = AdaptiveFilter(model, cuts, counts, None, total_bits, feasible)
+    made = AdaptiveFilter(model, cuts, counts, None, total_bits)
     own = model.score(positives).select("k", "score").withColumn("__n", made.group_functions())
     spots = own.select(F.explode(F.slice(F.array(*[F.pmod(family.column(F.col("k"), i + 1), F.lit(m).cast("bigint")) for i in range(max(*counts, 1))]), 1, F.col("__n"))).alias("p"))
     words = spots.groupBy(F.lit(0).alias("shard"), F.shiftright("p", 5).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 31 as int))")).alias("bits"))

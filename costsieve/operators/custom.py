@@ -14,7 +14,7 @@ from . import bloom
 from .filters import ARTEFACT, FilterSet, matrix, route, written
 from .optimiser import OptimiserPolicy, Shard
 
-SHARD_KEYS = 1 << 20  # a shard holds about so many positives
+SHARD_KEYS = 1 << 20  # a shard holds about so many keys, negatives included
 
 
 def shards_for(n: int, size: int = SHARD_KEYS) -> int:
@@ -31,11 +31,13 @@ def build(
     family: Family = Family(),
     fast: bool = False,
     policy: OptimiserPolicy = OptimiserPolicy(),
-    shards: int = 1,
+    shards: int | None = None,
     allow_degenerate: bool = False,
 ) -> FilterSet:
     """Build from positives (key_id, k) and known negatives (key_id, k, cost). One shuffle brings each shard's keys together; raw hash values are computed
     before it in the JVM, so that the strings stay behind."""
+    if shards is None:
+        shards = shards_for(positives.count() + negatives.count())
     geometry = split(total_bits // shards, delta, alpha)
     if geometry.pool <= k and not allow_degenerate and delta:
         raise ValueError(f"{geometry.pool} functions leave nothing to swap in for k={k}")

@@ -62,6 +62,11 @@ class FilterSet:
     def k(self) -> int:
         return len(self.default)
 
+    @property
+    def sent_bytes(self) -> int:
+        """What a probe that holds the whole filter needs at most: words hold 32 bits in 8 bytes, cells 3 bits or more in 4."""
+        return self.total_bits if self.pool else self.total_bits // 4
+
     def save(self, path: str) -> None:
         spark = self.rows.sparkSession
         meta = (self.method, self.family.name, self.family.seed, self.shards, list(self.default), list(self.pool), self.fast, self.total_bits)
@@ -113,7 +118,7 @@ class FilterSet:
     def probe(self, df: DataFrame, key: str = "k", mode: str = "auto") -> DataFrame:
         """``df`` with ``hit`` and ``round``. A null key is never in the filter."""
         if mode == "auto":
-            mode = "expr" if self.total_bits // 8 <= BROADCAST_BYTES else "cogroup"
+            mode = "expr" if self.sent_bytes <= BROADCAST_BYTES else "cogroup"
         found = {"expr": self._expr, "arrow": self._arrow, "cogroup": self._cogroup}[mode](df, key)
         return found.withColumn("hit", F.col("round").isNotNull())
 
@@ -159,7 +164,7 @@ class FilterSet:
         return out
 
     def _arrow(self, df: DataFrame, key: str) -> DataFrame:
-        if self.total_bits // 8 > BROADCAST_BYTES:
+        if self.sent_bytes > BROADCAST_BYTES:
             raise ValueError("the filter is too large to be sent to every task; probe with mode='cogroup'")
         ship(df.sparkSession)
         shards = {r["shard"]: unpacked(r) for r in self.rows.collect()}  # at most BROADCAST_BYTES

@@ -67,16 +67,13 @@ def state(spark, d, name="join_reduce") -> State:
 def _hashing() -> None:
     orders = lambda spark, d: keys.table(spark, d, "orders").select(keys.canonical("o_orderkey", "o_orderpriority").alias("k"))
     duck_key = "SELECT o_orderkey::VARCHAR || chr(31) || o_orderpriority AS k FROM orders"
-    for name in ("fnv1a", "djb", "ndjb", "bkdr", "sdbm", "js", "dek", "brp", "py", "pjw"):
+    for name in ("fnv1a", "djb", "ndjb", "bkdr", "sdbm", "js", "dek", "brp", "py", "pjw", "oaat", "ap", "rs", "elf"):
         i = POOL.index(name) + 1
         register(
             f"hash_{name}",
             lambda spark, d, i=i: orders(spark, d).select("k", Family("pool").column(F.col("k"), i).alias("h")),
             f"SELECT k, ({duck_fold(name, 'k')})::BIGINT AS h FROM ({duck_key})",
         )
-    for name in ("oaat", "ap", "rs", "elf"):
-        i = POOL.index(name) + 1
-        register(f"hash_{name}", lambda spark, d, i=i: orders(spark, d).select("k", Family("pool").column(F.col("k"), i).alias("h")))
     register(
         "hash_md5x_positions",
         lambda spark, d: orders(spark, d).select("k", F.posexplode(F.array(*[F.pmod(MD5.column(F.col("k"), i), F.lit(100003)) for i in range(1, 8)])).alias("i", "pos")),
@@ -330,8 +327,6 @@ def _custom() -> None:
 
     register("chf_rounds", by_round)
     register("chf_stats", lambda spark, d: _built(spark, d)[2].rows.select("shard", F.explode("stats").alias("stat", "value")).where("stat NOT IN ('kernel_s', 'peak_kb')"))
-    register("chf_wfpr_by_method", lambda spark, d: workloads.flagship(spark, d))
-    register("chf_ablation", lambda spark, d: workloads.ablate(spark, d))
 
     def trace(spark, d):
         from ..sources.functions import trace_keys
@@ -367,7 +362,7 @@ def _custom() -> None:
 
     def shuffles(spark, d):
         s, o = keys.load(spark, d, "lsm_days")
-        return measures.over_shuffles(bloom.build(s, geometry.budget(s.count(), BUDGET), MD5), o, 1.0, range(1, 6))
+        return measures.over_shuffles(bloom.build(s, geometry.budget(s.count(), BUDGET), MD5), o, 1.0, range(1, 11))
 
     register("measure_over_shuffles", shuffles)
 
@@ -487,18 +482,19 @@ def _baselines() -> None:
     register("grouped_fpr", lambda spark, d: (lambda s, o, f: f.probe(o).agg(F.avg(F.col("hit").cast("int")).alias("fpr")))(*grouped(spark, d)))
 
     def learned(spark, d, kind="learned", model="logistic"):
-        s, o = keys.load(spark, d, "url_half")
+        s, o = keys.load(spark, d, "url_traits")
         n = s.count()
         fitted = baselines.fit_model(s, o, model, features=64)
-        total = geometry.budget(n, 32.0)
-        if kind == "adaptive":
-            return s, o, baselines.adaptive_build(s, o, fitted, total, MD5, n=n)
-        return s, o, baselines.learned_build(s, o, fitted, total, MD5, sandwiched=kind == "sandwiched", n=n)
+        total = geometry.budget(n, 10.0 if model == "logistic" else 32.0)
+        build = partial(baselines.adaptive_build) if kind == "adaptive" else partial(baselines.learned_build, sandwiched=kind == "sandwiched")
+        made = build(s, o, fitted, total, MD5, n=n)
+        if not made.feasible:
+            raise ValueError(f"the model of {fitted.bits} bits leaves nothing of {total}")
+        return s, o, made
 
     for kind in ("learned", "sandwiched", "adaptive"):
-        register(f"{kind}_zero_fn", lambda spark, d, kind=kind: (lambda s, o, f: _zero(f, s))(*learned(spark, d, kind)), _zero_sql("url_half"))
-    register("learned_mlp_zero_fn", lambda spark, d: (lambda s, o, f: _zero(f, s))(*learned(spark, d, "learned", "mlp")), _zero_sql("url_half"))
-    register("learned_wfpr", lambda spark, d: workloads.space_sweep(spark, d, "url_half", "learned", 1.0, "learned_wfpr"))
+        register(f"{kind}_zero_fn", lambda spark, d, kind=kind: (lambda s, o, f: _zero(f, s))(*learned(spark, d, kind)), _zero_sql("url_traits"))
+    register("learned_mlp_zero_fn", lambda spark, d: (lambda s, o, f: _zero(f, s))(*learned(spark, d, "learned", "mlp")), _zero_sql("url_traits"))
 
     def exact(spark, d):
         s, o = keys.load(spark, d, "lsm_days")
@@ -510,32 +506,46 @@ def _baselines() -> None:
 
 def _workloads() -> None:
     w = workloads
-    for name, run in (
-        ("w1_delta", w.delta_sweep),
-        ("w1_delta_url", partial(w.delta_sweep, keyset="url_half")),
-        ("w2_k", w.k_sweep),
-        ("w3_cell", w.cell_sweep),
-        ("w4_uniform_url", partial(w.space_sweep, keyset="url_half", workload="w4")),
-        ("w4_uniform_words", partial(w.space_sweep, keyset="words", workload="w4")),
-        ("w5_uniform_url_learned", partial(w.space_sweep, keyset="url_spam", group="learned", workload="w5")),
-        ("w6_uniform_kv", partial(w.space_sweep, workload="w6")),
-        ("w7_uniform_kv_learned", partial(w.space_sweep, group="learned", workload="w7")),
-        ("w8_skewed_url", partial(w.space_sweep, keyset="url_half", skew=1.0, workload="w8")),
-        ("w9_skewed_url_learned", partial(w.space_sweep, keyset="url_spam", group="learned", skew=1.0, workload="w9")),
-        ("w10_skewed_kv", partial(w.space_sweep, skew=1.0, workload="w10")),
-        ("w11_skewed_kv_learned", partial(w.space_sweep, group="learned", skew=1.0, workload="w11")),
-        ("w12_skewness", w.skew_sweep),
-        ("w13_bloom_builds", w.bloom_builds),
-        ("w14_w15_times", w.costs_of_building),
-        ("w16_build_memory", partial(w.costs_of_building, memory=True)),
-        ("w17_bound_by_k", partial(w.bound_sweep, by="k")),
-        ("w18_bound_by_b", partial(w.bound_sweep, by="b")),
-        ("w19_owner_by_b", w.owner_share),
-        ("w20_natural_join_reduce", w.natural_costs),
-        ("w20_natural_lsm", partial(w.natural_costs, keyset="lsm_days")),
-        ("w20_natural_doc_block", partial(w.natural_costs, keyset="doc_block")),
+    for name, grid in (
+        ("w1_delta", w.delta_sweep()),
+        ("w1_delta_url", w.delta_sweep("url_half")),
+        ("w1_delta_join_reduce", w.delta_sweep("join_reduce")),
+        ("w2_k", w.k_sweep()),
+        ("w2_k_url", w.k_sweep("url_half")),
+        ("w2_k_url_traits", w.k_sweep("url_traits")),
+        ("w3_cell", w.cell_sweep()),
+        ("w3_cell_url", w.cell_sweep("url_half")),
+        ("w3_cell_url_traits", w.cell_sweep("url_traits")),
+        ("w4_uniform_url", w.space_sweep("url_half", workload="w4")),
+        ("w4_uniform_url_spam", w.space_sweep("url_spam", workload="w4")),
+        ("w4_uniform_url_traits", w.space_sweep("url_traits", workload="w4")),
+        ("w4_uniform_words", w.space_sweep("words", workload="w4")),
+        ("w5_uniform_url_learned", w.space_sweep("url_traits", "learned", workload="w5")),
+        ("w6_uniform_kv", w.space_sweep(workload="w6")),
+        ("w7_uniform_kv_learned", w.space_sweep(group="learned", workload="w7")),
+        ("w8_skewed_url", w.space_sweep("url_half", skew=1.0, workload="w8")),
+        ("w8_skewed_url_traits", w.space_sweep("url_traits", skew=1.0, workload="w8")),
+        ("w9_skewed_url_learned", w.space_sweep("url_traits", "learned", 1.0, "w9")),
+        ("w10_skewed_kv", w.space_sweep(skew=1.0, workload="w10")),
+        ("w11_skewed_kv_learned", w.space_sweep(group="learned", skew=1.0, workload="w11")),
+        ("w12_skewness", w.skew_sweep()),
+        ("w12_skewness_url", w.skew_sweep("url_half")),
+        ("w13_bloom_builds", w.bloom_builds()),
+        ("w17_bound_by_k", w.bound_sweep(by="k")),
+        ("w18_bound_by_b", w.bound_sweep(by="b")),
+        ("w20_natural_join_reduce", w.natural_costs()),
+        ("w20_natural_lsm", w.natural_costs("lsm_days")),
+        ("w20_natural_doc_block", w.natural_costs("doc_block")),
+        ("w20_natural_words", w.natural_costs("words")),
+        ("w22_shards", w.shard_sweep()),
+        ("chf_ablation", w.ablate()),
+        ("chf_wfpr_by_method", w.flagship_grid()),
     ):
-        register(name, lambda spark, d, run=run: run(spark, d))
+        register(name, lambda spark, d, grid=grid: w.measure(spark, d, grid))
+        register(f"{name}_checked", lambda spark, d, grid=grid: w.checked(w.measure(spark, d, grid)), w.checked_sql(grid))
+    register("w14_w15_times", lambda spark, d: w.costs_of_building(spark, d))
+    register("w16_build_memory", lambda spark, d: w.costs_of_building(spark, d, memory=True))
+    register("w19_owner_by_b", w.owner_share)
 
 
 for _part in (_hashing, _keysets, _standard, _steps, _chains, _custom, _theory, _baselines, _workloads):

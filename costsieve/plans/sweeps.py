@@ -9,7 +9,7 @@ from __future__ import annotations
 import math
 import time
 import tracemalloc
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import geometry, theory
-from ..functions.hashing import BASE_A, BASE_B, ROUTER, START, Family
+from ..functions.hashing import BASE_A, BASE_B, KERNELS, ROUTER, START, Family, city64, city_seeded, wide
 from ..operators.baselines import ALPHA, xor_table
 from ..operators.custom import shards_for
 from ..operators.filters import FilterSet, matrix
@@ -40,6 +40,8 @@ class Setting:
     seed: int = 1
     policy: OptimiserPolicy = OptimiserPolicy()
     k_fixed: bool = False  # standard filter: use k instead of the best number
+    parts: int = 1  # custom filter: so many shards inside this one, each with its own optimiser
+    repeats: int = 1  # times are medians of so many runs
 
 
 @dataclass
@@ -51,6 +53,13 @@ class Data:
     natural: np.ndarray
     score_s: np.ndarray
     score_o: np.ndarray
+    other_s: dict[str, np.ndarray] = field(default_factory=dict)  # values of other families
+    other_o: dict[str, np.ndarray] = field(default_factory=dict)
+
+    def on(self, family: str) -> "Data":
+        """The same keys with the first functions of another family in the place of the default one's."""
+        s, o = self.other_s[family], self.other_o[family]
+        return replace(self, s=np.hstack([s, self.s[:, s.shape[1] :]]), o=np.hstack([o, self.o[:, o.shape[1] :]]))
 
     def costs(self, setting: Setting) -> np.ndarray:
         n = len(self.o)
@@ -75,22 +84,30 @@ def _standard(d: Data, total: int, k: int, columns: list[int] | None = None):
     return lambda values: bits[values[:, own] % m].all(axis=1), {"ones": bits.sum(), "bits": m}
 
 
-def _seeded(d: Data, total: int, k: int, salt: int):
-    """k functions from one 64-bit value and k seeds, mixed by multiplication."""
-    m = max(32, total)
-    seeds = (np.arange(1, k + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) ^ np.uint64(salt)
+def _parted(d: Data, setting: Setting, total: int, cost: np.ndarray, fast: bool):
+    """Shards by the router hash, with disjoint bits and cells, as a build of that many shards makes them."""
+    router, own = IDS.index(ROUTER), replace(setting, parts=1)
+    made = []
+    for p in range(setting.parts):
+        s, o = d.s[:, router] % setting.parts == p, d.o[:, router] % setting.parts == p
+        part = replace(d, s=d.s[s], o=d.o[o], ids_s=d.ids_s[s], ids_o=d.ids_o[o])
+        made.append(_custom(part, own, total // setting.parts, cost[o], fast))
 
-    def places(values: np.ndarray) -> np.ndarray:
-        x = values[:, 0].astype(np.uint64)[:, None] ^ seeds[None, :]
-        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-        return ((x ^ (x >> np.uint64(31))) % np.uint64(m)).astype(np.int64)
+    def rounds(values: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(values), np.int64)
+        for p, (passes, _) in enumerate(made):
+            rows = np.flatnonzero(values[:, router] % setting.parts == p)
+            out[rows] = passes.rounds(values[rows]) if len(rows) else 0
+        return out
 
-    bits = _bits(places(d.s), m)
-    return lambda values: bits[places(values)].all(axis=1), {"ones": bits.sum(), "bits": m}
+    passes = lambda values: rounds(values) > 0
+    passes.rounds = rounds
+    return passes, {key: sum(stats[key] for _, stats in made) for key in made[0][1]}
 
 
 def _custom(d: Data, setting: Setting, total: int, cost: np.ndarray, fast: bool):
+    if setting.parts > 1:
+        return _parted(d, setting, total, cost, fast)
     if not setting.delta:
         return _standard(d, total, setting.k)
     g = geometry.split(total, setting.delta, setting.alpha)
@@ -155,8 +172,7 @@ def _weighted(d: Data, total: int, cost: np.ndarray, most: int = 12, share: floa
 def _learned(d: Data, setting: Setting, total: int, model_bits: int):
     left, n = total - model_bits, max(len(d.s), 1)
     if left < 64:
-        passes, stats = _standard(d, total, min(22, geometry.best_k(total / n)))
-        return passes, stats | {"infeasible": 1}
+        return None, {"infeasible": 1}
     cuts = np.unique(np.r_[np.quantile(d.score_s, np.arange(1, 40) / 40), np.quantile(d.score_o, np.arange(1, 40) / 40), 2.0])
     best = (math.inf, 2.0, 0)
     for cut in cuts:
@@ -190,7 +206,7 @@ def _adaptive(d: Data, total: int, model_bits: int, groups: int = 4):
     m, n = total - model_bits, max(len(d.s), 1)
     stats = {"bits": total}
     if m < 64:
-        m, stats = total, stats | {"infeasible": 1}
+        return None, {"infeasible": 1}
     best = None
     for ratio in (1.5, 2.0, 3.0, 5.0, 9.0):
         shares = np.array([ratio**-i for i in range(groups)])
@@ -223,8 +239,10 @@ def build(d: Data, setting: Setting, cost: np.ndarray, model_bits: int):
         return _custom(d, setting, total, cost, setting.method == "custom-fast")
     if setting.method == "standard":
         return _standard(d, total, setting.k if setting.k_fixed else min(22, geometry.best_k(setting.bits_per_key)))
-    if setting.method in ("standard-seed64", "standard-seed128"):
-        return _seeded(d, total, geometry.best_k(setting.bits_per_key), 0 if setting.method.endswith("64") else 0x5DEECE66D)
+    if setting.method.startswith("standard-"):
+        return _standard(d.on(setting.method.removeprefix("standard-")), total, min(SEEDED, geometry.best_k(setting.bits_per_key)))
+    if setting.method == "custom-pool":
+        return _custom(d.on("pool"), setting, total, cost, False)
     if setting.method == "xor":
         return _xor(d, total)
     if setting.method == "weighted":
@@ -236,24 +254,55 @@ def build(d: Data, setting: Setting, cost: np.ndarray, model_bits: int):
     raise ValueError(f"unknown method {setting.method}")
 
 
+SEEDED = 16  # functions of other families
+LEARNED = ("learned", "sandwiched", "adaptive")
+
+
+def _other_families(both: DataFrame, hashed: DataFrame, families: list[str]) -> DataFrame:
+    """``hashed`` with arrays of values from the pool's different functions, or from seeds of one function. The pool has functions that only Python has here."""
+    makers = {
+        "pool": lambda data: [KERNELS[i](data) for i in range(1, SEEDED + 1)],
+        "city64": lambda data: city_seeded(np.array([city64(data)], np.uint64), np.arange(1, SEEDED + 1))[0].tolist(),
+        "murmur128": lambda data: [wide(data, seed) % ((1 << 61) - 1) for seed in range(1, SEEDED + 1)],
+    }
+
+    def run(batches):
+        for batch in batches:
+            data = [k.encode() for k in batch.column("k").to_pylist()]
+            made = [pa.array([makers[f](x) for x in data], pa.list_(pa.int64())) for f in families]
+            yield pa.RecordBatch.from_arrays([batch.column("key_id"), *made], ["__id", *[f"h_{f}" for f in families]])
+
+    schema = ", ".join(["__id bigint", *[f"h_{f} array<bigint>" for f in families]])
+    return hashed.join(both.select("key_id", "k").mapInArrow(run, schema), F.col("key_id") == F.col("__id")).drop("__id")
+
+
 def _measure(d: Data, setting: Setting, model_bits: int, memory: bool) -> dict[str, float]:
     cost = d.costs(setting)
+    built, probed = [], []
+    if setting.repeats > 1:
+        build(d, setting, cost, model_bits)  # warms up
     if memory:
         tracemalloc.start()
-    begin = time.perf_counter()
-    passes, stats = build(d, setting, cost, model_bits)
-    built = time.perf_counter() - begin
+    for _ in range(setting.repeats):
+        begin = time.perf_counter()
+        passes, stats = build(d, setting, cost, model_bits)
+        built.append(time.perf_counter() - begin)
     peak = tracemalloc.get_traced_memory()[1] if memory else 0
     if memory:
         tracemalloc.stop()
-    begin = time.perf_counter()
-    if getattr(passes, "by_score", False):
-        yes, no = passes(d.s, d.score_s), passes(d.o, d.score_o)
-    elif getattr(passes, "by_id", False):
-        yes, no = passes(d.s, d.ids_s), passes(d.o, d.ids_o)
-    else:
-        yes, no = passes(d.s), passes(d.o)
-    probed = time.perf_counter() - begin
+    if passes is None:
+        return {"n": len(d.s), "o": len(d.o), "infeasible": 1.0}
+    if setting.method in ("standard-pool", "standard-city64", "standard-murmur128", "custom-pool"):
+        d = d.on(setting.method.split("-")[1])
+    for _ in range(setting.repeats):
+        begin = time.perf_counter()
+        if getattr(passes, "by_score", False):
+            yes, no = passes(d.s, d.score_s), passes(d.o, d.score_o)
+        elif getattr(passes, "by_id", False):
+            yes, no = passes(d.s, d.ids_s), passes(d.o, d.ids_o)
+        else:
+            yes, no = passes(d.s), passes(d.o)
+        probed.append(time.perf_counter() - begin)
     second = passes.rounds(d.o) == 2 if hasattr(passes, "rounds") else np.zeros(len(d.o), bool)
     found = {k: float(v) for k, v in stats.items() if k not in ("threshold", "owner_bits")}
     return found | {
@@ -264,19 +313,19 @@ def _measure(d: Data, setting: Setting, model_bits: int, memory: bool) -> dict[s
         "fp_round2": float(second.sum()),
         "cost_passed": float(cost[no].sum()),
         "cost_all": float(cost.sum()),
-        "build_s": built,
-        "probe_s": probed,
+        "build_s": float(np.median(built)),
+        "probe_s": float(np.median(probed)),
         "peak_bytes": float(peak),
     }
 
 
 def run(
-    positives: DataFrame, negatives: DataFrame, settings: list[Setting], family: Family = Family(), model=None, lanes: int = 8, memory: bool = False, n: int | None = None
+    positives: DataFrame, negatives: DataFrame, settings: list[Setting], family: Family = Family(), model=None, lanes: int = 8, memory: bool = False, n: int | None = None, o: int | None = None
 ) -> DataFrame:
     """(setting, metric, value): sums of each metric over shards, by the setting's place in the list. ``model`` adds scores for learned filters."""
     ship(positives.sparkSession)
-    n = n if n is not None else positives.count()
-    shards, lanes = shards_for(n), max(1, min(lanes, len(settings)))
+    n, o = n if n is not None else positives.count(), o if o is not None else negatives.count()
+    shards, lanes = shards_for(n + o), max(1, min(lanes, len(settings)))
     both = positives.select("key_id", "k", F.lit(0.0).alias("cost"), F.lit(True).alias("positive")).unionByName(
         negatives.select("key_id", "k", F.col("cost").cast("double").alias("cost"), F.lit(False).alias("positive"))
     )
@@ -285,6 +334,9 @@ def run(
     hashed = both.select(
         F.pmod(family.column(F.col("k"), ROUTER), F.lit(shards)).cast("int").alias("shard"), "positive", "key_id", "cost", "score", family.columns(F.col("k"), IDS).alias("h")
     )
+    families = sorted({s.method.split("-")[1] for s in settings if s.method in ("standard-pool", "standard-city64", "standard-murmur128", "custom-pool")})
+    if families:
+        hashed = _other_families(both, hashed, families)
     dealt = hashed.withColumn("lane", F.explode(F.array(*[F.lit(i) for i in range(lanes)])))
 
     def kernel(table: pa.Table) -> pa.Table:
@@ -293,7 +345,8 @@ def run(
         key_id, cost, score = (table.column(c).to_numpy() for c in ("key_id", "cost", "score"))
         order = np.argsort(key_id, kind="stable")  # no result hangs on the order of rows
         yes, no = order[chosen[order]], order[~chosen[order]]
-        d = Data(h[yes], h[no], key_id[yes], key_id[no], cost[no], score[yes], score[no])
+        other = {f: matrix(table.column(f"h_{f}"))[0] for f in families}
+        d = Data(h[yes], h[no], key_id[yes], key_id[no], cost[no], score[yes], score[no], {f: v[yes] for f, v in other.items()}, {f: v[no] for f, v in other.items()})
         out: list[tuple[int, str, float]] = []
         if len(yes) and len(no):
             for i in range(table.column("lane")[0].as_py(), len(settings), lanes):
@@ -329,11 +382,11 @@ def table(workload: str, keyset: str, sums: DataFrame, settings: list[Setting],
     per = joined.select(
         "method", "label", "bits_per_key", "k", "delta", "alpha", "skew", "bound",
         (F.col("cost_passed") / F.col("cost_all")).alias("wfpr"), (F.col("fp") / F.col("o")).alias("fpr"),
-        "fn", "collisions", "keys_freed", "keys_broken", "stored", "fail_swap", "fail_store", "fp_round2", "infeasible",
+        "n", "fn", "collisions", "keys_freed", "keys_broken", "stored", "fail_swap", "fail_store", "fp_round2", "infeasible",
         (F.col("used_cells") / F.col("omega")).alias("cell_load"), (F.col("ones") / F.col("bits")).alias("bit_load"), (F.col("bits") / F.col("n")).alias("bits_used"),
         (F.col("build_s") * 1e9 / keys).alias("build_ns"), (F.col("probe_s") * 1e9 / keys).alias("probe_ns"), "peak_bytes",
     )
-    mean = "fpr fn collisions keys_freed keys_broken stored fail_swap fail_store fp_round2 cell_load bit_load bits_used build_ns probe_ns peak_bytes bound infeasible".split()
+    mean = "n fpr fn collisions keys_freed keys_broken stored fail_swap fail_store fp_round2 cell_load bit_load bits_used build_ns probe_ns peak_bytes bound infeasible".split()
     grouped = per.groupBy("method", "label", "bits_per_key", "k", "delta", "alpha", "skew").agg(
         F.avg("wfpr").alias("wfpr"), F.coalesce(F.stddev_samp("wfpr"), F.lit(0.0)).alias("wfpr_sd"), F.count(F.lit(1)).alias("runs"), *[F.avg(c).alias(c) for c in mean]
     )

@@ -100,3 +100,12 @@ def test_seeded_shuffles_differ(spark):
     df = spark.createDataFrame([(str(i),) for i in range(50)], "k string")
     a, b = ({r["k"]: r["rank"] for r in zipf.ranked(df, s).collect()} for s in (1, 2))
     assert a != b and random.Random(0).random() < 1
+
+
+def test_known_values_of_the_seeded_families():
+    from costsieve.functions import hashing
+
+    assert hashing.wide(b"hello", 0) == 0x5B1E906A48AE1D19CBD8A7B341BD9B02
+    assert hashing.city64(b"hello") == 0xB48BE5A931380CE8 and hashing.city64(b"hello") >> 4 == hashing.KERNELS[2](b"hello")
+    seeded = hashing.city_seeded(np.array([hashing.city64(k) for k in (b"a", b"b" * 40)], np.uint64), np.arange(1, 5))
+    assert seeded.shape == (2, 4) and len(set(seeded.ravel().tolist())) == 8 and seeded.min() >= 0

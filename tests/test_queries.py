@@ -52,3 +52,17 @@ def test_expression_probe_stays_in_the_jvm(spark, small_dir):
     s, o = keys.load(spark, small_dir, "lsm_days")
     plan = custom.build(s, o, geometry.budget(s.count(), 8.39)).probe(o)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "BroadcastExchange" in plan
+
+
+def test_the_rest_works_without_the_llm_folders(tmp_path):
+    import shutil
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    shutil.copytree(root, tmp_path / "repo", ignore=shutil.ignore_patterns(".git", "__pycache__", "llm", "corpus_pipeline.py"))
+    for kept in ([], ["corpus_pipeline.py"]):
+        for name in kept:
+            shutil.copy(f"{root}/{name}", tmp_path / "repo" / name)
+        code = "import __spark_entry__ as e; q = e.queries(); assert set(e.oracle_sql()) <= set(q) and not any(n.startswith('op1') or n == 'pipeline' for n in q) and len(q) > 150"
+        subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "repo", check=True, timeout=120)

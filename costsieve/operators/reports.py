@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import geometry, keys
+from ..functions import geometry, keys, ranks
 from ..functions.hashing import Family
 from . import bloom
 
@@ -22,10 +22,9 @@ def hash_skew(positives: DataFrame, m: int, functions: int = 7, family: Family =
 
 def lorenz(df: DataFrame) -> DataFrame:
     """Cumulated share of the cost, dearest keys first."""
-    order = Window.orderBy(F.desc("cost"), "key_id")
-    running = order.rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    total = F.sum("cost").over(Window.partitionBy())
-    return df.select("key_id", "cost", F.row_number().over(order).cast("bigint").alias("place"), F.round(F.sum("cost").over(running) / total, 9).alias("share"))
+    placed = ranks.placed(df.select("key_id", "cost"), [F.desc("cost"), F.col("key_id")], F.col("cost"))
+    total = F.broadcast(df.agg(F.sum("cost").alias("total")))  # one row
+    return placed.crossJoin(total).select("key_id", "cost", "place", F.round(F.col("upto") / F.col("total"), 9).alias("share"))
 
 
 def heavy(df: DataFrame, n: int) -> DataFrame:
@@ -167,9 +166,9 @@ QUERIES = (
     ("asof_filter_version", _as_of, "SELECT e.event_id, coalesce(p.version, -1) AS version FROM (SELECT * FROM events WHERE event_type <> 'purchase') e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS version FROM events WHERE event_type = 'purchase' GROUP BY ALL) p ON e.user_id = p.user_id AND e.ts >= p.ts"),
     ("interval_lookup", _interval, "SELECT p.event_id AS purchase, e.event_id FROM events e JOIN events p ON e.user_id = p.user_id AND e.ts >= p.ts AND e.ts <= p.ts + INTERVAL 1 HOUR WHERE p.event_type = 'purchase' AND e.event_type <> 'purchase'"),
     ("lag_budget_gain", _lag, _LAG),
-    ("queue_rank_window", lambda spark, d: keys.load(spark, d, "lsm_days")[1].select("key_id", F.dense_rank().over(Window.orderBy(F.desc("cost"))).alias("dense"), F.rank().over(Window.orderBy(F.desc("cost"))).cast("bigint").alias("rank")),
+    ("queue_rank_window", lambda spark, d: ranks.ranked_ties(keys.load(spark, d, "lsm_days")[1].select("key_id", "cost"), "cost").select("key_id", "dense", "rank"),
      f"SELECT key_id, dense_rank() OVER (ORDER BY cost DESC)::INT AS dense, rank() OVER (ORDER BY cost DESC) AS rank FROM ({keys.duck_keyset('lsm_days')}) WHERE NOT positive"),
-    ("ntile_cost", lambda spark, d: keys.table(spark, d, "orders").select("o_orderkey", F.ntile(10).over(Window.orderBy("o_totalprice", "o_orderkey")).alias("tile")),
+    ("ntile_cost", lambda spark, d: ranks.tiled(keys.table(spark, d, "orders").select("o_orderkey", "o_totalprice"), [F.col("o_totalprice"), F.col("o_orderkey")], 10).select("o_orderkey", "tile"),
      "SELECT o_orderkey, ntile(10) OVER (ORDER BY o_totalprice, o_orderkey)::INT AS tile FROM orders"),
     ("url_parts", lambda spark, d: keys.table(spark, d, "pages").select("page_id", *keys.url_parts(F.col("url"))),
      "SELECT page_id, regexp_extract(url, '^([a-z]+)://', 1) AS scheme, regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) AS host, regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1) AS path FROM pages"),

@@ -7,6 +7,7 @@ from functools import cached_property
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions import ranks
 from ..functions.hashing import Family
 
 
@@ -44,7 +45,7 @@ class State:
     def queue(self) -> DataFrame:
         """(key_id, cost, place) of the collision keys, dearest first. The order is global here; a shard orders its own keys only."""
         coll = self.classified.where("clear = 0").drop("clear")
-        return coll.withColumn("place", F.row_number().over(Window.orderBy(F.desc("cost"), "key_id")).cast("bigint"))
+        return ranks.placed(coll, [F.desc("cost"), F.col("key_id")]).drop("upto")
 
     def reliance_index(self) -> DataFrame:
         """(pos, keys, cost): rejected negatives on each bit."""

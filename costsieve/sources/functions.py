@@ -57,26 +57,31 @@ def trace_keys(filt: FilterSet, df: DataFrame, key: str = "k") -> DataFrame:
     sent, own = df.sparkSession.sparkContext.broadcast(shards), filt.detached()
 
     def run(batches):
-        raw = own._raw_ids()
+        pool, raw = np.array(own.pool), own._raw_ids()
+        place = np.zeros(max(*raw, *own.pool) + 1, np.int64)  # column of each function's hash value
+        place[raw] = np.arange(len(raw))
         for batch in batches:
-            values, _ = matrix(batch.column("__cf_h"))
-            out = []
-            for k, s, row in zip(batch.column(key).to_pylist(), batch.column("__cf_r").to_pylist(), values.tolist()):
+            values, known = matrix(batch.column("__cf_h"))
+            routed = batch.column("__cf_r").to_numpy(zero_copy_only=False)
+            for s in np.unique(routed):
+                rows = np.flatnonzero((routed == s) & known)
                 shard = sent.value.get(s)
-                if shard is None:
+                if shard is None or not len(rows):
                     continue
                 omega = max(1, shard["omega"])
-                at = row[-1] % omega
+                at = values[rows, -1] % omega
                 for step in range(own.k):
-                    content = int(shard["cells"][at])
+                    content = shard["cells"][at]
                     fn = content & chain.FN
-                    out.append((k, step + 1, at, fn, content >= chain.END))
-                    if not fn:
+                    columns = [batch.column(key).take(pa.array(rows)), np.full(len(rows), step + 1, np.int32), at.astype(np.int64), fn.astype(np.int32), content >= chain.END]
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["k", "step", "cell", "fn", "ended"])
+                    going = fn > 0  # an empty cell ends the walk
+                    rows, ids = rows[going], pool[fn[going] - 1]
+                    if not len(rows):
                         break
-                    i = own.pool[fn - 1]
-                    at = (row[0] % omega + i * (row[1] % omega)) % omega if own.fast else row[raw.index(i)] % omega
-            cols = list(zip(*out)) if out else [()] * 5
-            kinds = (pa.string(), pa.int32(), pa.int64(), pa.int32(), pa.bool_())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], ["k", "step", "cell", "fn", "ended"])
+                    if own.fast:
+                        at = (values[rows, 0] % omega + ids * (values[rows, 1] % omega)) % omega
+                    else:
+                        at = values[rows, place[ids]] % omega
 
     return filt.hashed(df.select(key), key).mapInArrow(run, "k string, step int, cell bigint, fn int, ended boolean")

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 import pandas as pd
@@ -27,9 +26,17 @@ def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
     if mode == "append":
         stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", check).trigger(availableNow=True).start().awaitTermination()
         return stream.sparkSession.read.schema(stream.schema).parquet(path)
-    name = f"drained_{uuid.uuid4().hex}"
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", check).trigger(availableNow=True).start().awaitTermination()
-    return stream.sparkSession.table(name)
+    made = []
+
+    def work(batch: DataFrame, number: int) -> None:
+        made.append(f"{path}/{number}")
+        batch.write.mode("overwrite").parquet(made[-1])
+
+    stream.writeStream.foreachBatch(work).outputMode(mode).option("checkpointLocation", check).trigger(availableNow=True).start().awaitTermination()
+    if not made:
+        return stream.sparkSession.createDataFrame([], stream.schema)
+    # each batch of a complete table replaces the one before
+    return stream.sparkSession.read.schema(stream.schema).parquet(*(made[-1:] if mode == "complete" else made))
 
 
 def each_batch(stream: DataFrame, work: Callable[[DataFrame, int], None]) -> None:

@@ -109,3 +109,27 @@ def test_known_values_of_the_seeded_families():
     assert hashing.city64(b"hello") == 0xB48BE5A931380CE8 and hashing.city64(b"hello") >> 4 == hashing.KERNELS[2](b"hello")
     seeded = hashing.city_seeded(np.array([hashing.city64(k) for k in (b"a", b"b" * 40)], np.uint64), np.arange(1, 5))
     assert seeded.shape == (2, 4) and len(set(seeded.ravel().tolist())) == 8 and seeded.min() >= 0
+
+
+def test_ranks_over_ranges_equal_one_window(spark):
+    from pyspark.sql import functions as F
+
+    from costsieve.functions import ranks
+
+    rows = [(i, float(i * 7 % 5) if i % 11 else None) for i in range(57)]
+    df = spark.createDataFrame(rows, "key_id bigint, cost double").repartition(3)
+    order = sorted(rows, key=lambda r: (r[1] is None, -(r[1] or 0.0), r[0]))
+    found = {r["key_id"]: r for r in ranks.placed(df, [F.desc_nulls_last("cost"), F.col("key_id")], F.coalesce("cost", F.lit(0.0))).collect()}
+    upto = 0.0
+    for place, (key, cost) in enumerate(order, 1):
+        upto += cost or 0.0
+        assert (found[key]["place"], found[key]["upto"]) == (place, upto)
+    values = sorted({c for _, c in rows if c is not None}, reverse=True) + [None]
+    for r in ranks.ranked_ties(df, "cost").collect():
+        assert r["dense"] == values.index(r["cost"]) + 1
+        assert r["rank"] == 1 + sum(values.index(c) < values.index(r["cost"]) for _, c in rows)
+    tiles = [r["tile"] for r in ranks.tiled(df, [F.col("key_id")], 10).orderBy("key_id").collect()]
+    assert tiles == sorted(tiles) and [tiles.count(t) for t in range(1, 11)] == [6] * 7 + [5] * 3
+    few = [r["tile"] for r in ranks.tiled(df.where("key_id < 3"), [F.col("key_id")], 10).collect()]
+    assert sorted(few) == [1, 2, 3]
+    assert ranks.placed(df.where("false"), [F.col("key_id")]).count() == 0

@@ -11,7 +11,7 @@ from costsieve.plans import catalogue
 ORACLES = catalogue.oracle_sql()
 QUICK = [
     "hash_fnv1a", "hash_md5x_positions", "keys_lsm_days", "keys_url_spam", "zipf_costs_1", "bloom_words", "bloom_confusion", "owner_index", "near_miss_cost", "swap_tiers", "swap_best", "chain_walk_relational",
-    "chf_delta0_equals_bloom", "chf_prefiltered_anti", "theory_bound_curve", "weighted_probe", "cube_fpr", "asof_filter_version", "common_fp_intersect", "stream_session_fp", "generated_keys",
+    "chf_delta0_equals_bloom", "chf_prefiltered_anti", "theory_bound_curve", "weighted_probe", "cube_fpr", "asof_filter_version", "common_fp_intersect", "stream_session_fp", "generated_keys", "collision_queue", "queue_rank_window",
 ]
 
 

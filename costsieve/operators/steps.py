@@ -73,6 +73,18 @@ class State:
         bits = self.negative_bits.join(coll, "key_id", "left_semi")
         return bits.agg(F.avg((F.col("hits") == 1).cast("double")).alias("share"))
 
+    def owner_prob_empirical(self) -> DataFrame:
+        """(bits, estimate, measured): over the set bits, the mean lower estimate of the chance of a single owner, from how often each function really meets each bit, and the share that has one.
+
+        Functions may spread keys unevenly. A bit that one function gives to every key has no estimate and counts with 0.
+        """
+        n = F.broadcast(self.s.agg(F.count(F.lit(1)).cast("double").alias("n")))  # one row
+        met = self.positions.groupBy("pos", "fn").agg(F.count(F.lit(1)).alias("hits")).crossJoin(n)
+        p = F.col("hits") / F.col("n")
+        spread = met.groupBy("pos", "n").agg(F.sum("hits").alias("hits"), F.sum(p).alias("p"), F.min(1 - p).alias("least"), F.sum(F.when(p < 1, F.log1p(-p))).alias("log_missed"))
+        chance = F.when(F.col("least") > 0, F.col("n") * F.col("p") / (F.exp(-F.col("n") * F.col("log_missed")) - 1)).otherwise(0.0)
+        return spread.agg(F.count(F.lit(1)).alias("bits"), F.round(F.avg(chance), 9).alias("estimate"), F.round(F.avg((F.col("hits") == 1).cast("double")), 9).alias("measured"))
+
     @cached_property
     def swaps(self) -> DataFrame:
         """(key_id, cost, pos, owner, fn, landing): every function of the pool outside the owner's subset, and the bit it would set."""

@@ -218,6 +218,9 @@ def _steps() -> None:
     for name, make, sql in (
         ("owner_index", lambda s: s.owner_index, f"WITH {base} SELECT pos, hits, owner FROM hits"),
         ("owner_share", lambda s: s.candidate_shares().select(F.round("share", 9).alias("share")), f"WITH {base} SELECT round(avg((hits = 1)::INT), 9) AS share FROM ob WHERE key_id IN (SELECT key_id FROM cls WHERE clear = 0)"),
+        ("owner_prob_empirical", lambda s: s.owner_prob_empirical(), f"""WITH {base}, n AS (SELECT count(*)::DOUBLE AS n FROM s), met AS (SELECT pos, i, count(*) AS c, count(*) / (SELECT n FROM n) AS p FROM sp GROUP BY ALL),
+          spread AS (SELECT pos, sum(c) AS hits, sum(p) AS p, min(1 - p) AS least, sum(CASE WHEN p < 1 THEN ln(1 - p) END) AS missed FROM met GROUP BY pos)
+          SELECT count(*) AS bits, round(avg(CASE WHEN least > 0 THEN (SELECT n FROM n) * p / (exp(-(SELECT n FROM n) * missed) - 1) ELSE 0 END), 9) AS estimate, round(avg((hits = 1)::INT), 9) AS measured FROM spread"""),
         ("collision_queue", lambda s: s.queue(), f"WITH {base} SELECT key_id, cost, row_number() OVER (ORDER BY cost DESC, key_id) AS place FROM cls WHERE clear = 0"),
         ("reliance_index", lambda s: s.reliance_index(), f"WITH {base} SELECT pos, count(*) AS keys, sum(cost) AS cost FROM ob WHERE key_id IN (SELECT key_id FROM cls WHERE clear > 0) GROUP BY pos"),
         ("near_miss_cost", lambda s: s.near_miss_cost(), f"WITH {base} SELECT pos, sum(cost) AS cost, count(*) AS keys FROM ob WHERE hits IS NULL AND key_id IN (SELECT key_id FROM cls WHERE clear = 1) GROUP BY pos"),

@@ -179,6 +179,17 @@ def _standard() -> None:
         f"WITH {prelude('join_reduce')} SELECT key_id, clear = 0 AS hit FROM cls",
     )
 
+    def packed(spark, d):
+        from ..sources.functions import pack_bits
+
+        s, _, g = sized(spark, d, "lsm_days")
+        at = State(s, s, g.m).positions.select(F.expr("pos div 1024").alias("block"), F.col("pos") % 1024)
+        blocks = at.toDF("block", "pos").groupBy("block").agg(pack_bits("pos").alias("bits"))
+        each = blocks.select("block", F.posexplode(F.expr("transform(sequence(1, length(bits)), i -> cast(conv(hex(substring(bits, i, 1)), 16, 10) as bigint))")).alias("byte", "value"))
+        return each.where("value > 0")
+
+    register("bloom_packed_bytes", packed, f"WITH {prelude('lsm_days')} SELECT pos // 1024 AS block, (pos % 1024 // 8)::INT AS byte, bit_or(1::BIGINT << (pos % 8)::INT) AS value FROM sp GROUP BY 1, 2")
+
     def confusion(spark, d):
         s, o, g = sized(spark, d, "join_reduce")
         f = bloom.build(s, g.m, MD5, k=3)

@@ -5,9 +5,9 @@ equal sets collapse first. The sets left get many universal hash minima; equal b
 pairs whose full sets reach the threshold become links.
 
 No group is ever expanded into all its pairs. First every member of a band's bucket is paired with the bucket's smallest member, and the links that hold give
-components. What is left to compare are members of one bucket that are still in different components: those are put into cells of bounded size, and each pair
-of cells compares the full sets of its members and returns only links that join components, so that no link between different sets that share a band is lost
-however large the bucket. Skewed buckets are pre-aggregated before every exchange, and joins leave it to Spark to split them.
+components. What is left to compare are members of one bucket that are still in different components: those are put into cells of bounded size, by component where
+one is large and by size of set, and each pair of cells that could hold a link compares the full sets of its members and returns only links that join components,
+so that no link between different sets that share a band is lost however large the bucket. Skewed buckets are pre-aggregated before every exchange, and joins leave it to Spark to split them.
 
 At the threshold itself a pair shares none of the 30 bands of 4 rows with a probability of 1e-5. The screen of signatures, used for pairs with a bucket's smallest
 member, loses one pair in 1e9 there (half of 120 minima must agree, of which three quarters are expected to); pairs in larger buckets are compared again without it.
@@ -18,6 +18,7 @@ rows that repeat a doc_id with the same words share their fate, and where the te
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 import numpy as np
@@ -40,6 +41,7 @@ class NearOptions:
     rows: int = 4
     screen: float = 0.5  # least share of equal minima, by one byte each, of pairs that are verified
     cell: int = 256  # members of a bucket that are compared at once, with as many others
+    codes: int = 1 << 20  # codes of a cell's members, unless one of them has more
     seed: int = 11
 
 
@@ -198,11 +200,36 @@ def star_edges(members: DataFrame) -> DataFrame:
     return members.join(pivots, "key").where("node > pivot").select(F.col("node").alias("u"), F.col("pivot").alias("v")).distinct()
 
 
-def cross_links(docs: DataFrame, places: DataFrame, members: DataFrame, labels: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
+def cells_of(rows: DataFrame, stage: Staging, options: NearOptions) -> tuple[DataFrame, DataFrame]:
+    """(key, node, label, cell) of mixed buckets' members, and (key, i, j) of the cells that could hold a link between different labels.
+
+    ``rows`` are (key, n, node, label, size). A bucket of no more than a cell's members is one cell. In others, a label with enough members gets cells of its own and
+    the rest share cells by size of set, so that pairs of cells with one label, or with sizes too far apart for a link, need not be compared. Cells are bounded by
+    members and by codes; two that chance gives one name are compared together, which loses nothing.
+    """
+    wide = F.col("n") > options.cell
+    large = rows.where(wide).groupBy("key", "label").agg(F.count(F.lit(1)).alias("own")).where(F.col("own") >= options.cell)
+    kind = F.floor(F.log(F.col("size")) / (2 * math.log(max(100 / options.percent, 1.01))))
+    homes = rows.join(large, ["key", "label"], "left").withColumn("home", F.when(F.col("own").isNotNull(), F.col("label")).otherwise(-1))
+    homes = homes.withColumn("kind", F.when(wide, kind).otherwise(0))
+    need = F.greatest(F.count(F.lit(1)) / options.cell, F.sum("size") / options.codes)
+    groups = homes.groupBy("key", "home", "kind").agg(F.ceil(need).alias("cells"))
+    name = F.xxhash64("key", "home", "kind", F.pmod(F.xxhash64("node"), F.col("cells")))
+    placed = stage.table(homes.join(groups, ["key", "home", "kind"]).select("key", "node", "label", "size", name.alias("cell")), "cells")
+    cells = placed.groupBy("key", "cell").agg(F.min("size").alias("low"), F.max("size").alias("high"), F.min("label").alias("a"), F.max("label").alias("b"))
+    cells = stage.table(cells, "cell-bounds")
+    x, y = cells.alias("x"), cells.alias("y")
+    near = (100 * F.col("x.high") >= options.percent * F.col("y.low")) & (100 * F.col("y.high") >= options.percent * F.col("x.low"))
+    differ = F.least("x.a", "y.a") < F.greatest("x.b", "y.b")
+    pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.cell") <= F.col("y.cell")) & near & differ)
+    return placed.drop("size"), pairs.select("x.key", F.col("x.cell").alias("i"), F.col("y.cell").alias("j"))
+
+
+def cross_links(docs: DataFrame, places: DataFrame, nodes: DataFrame, members: DataFrame, labels: DataFrame, stage: Staging, options: NearOptions) -> DataFrame:
     """(u, v): links between members of one bucket that are not in one component yet, enough of them to join what is linked.
 
-    Buckets fall into cells of bounded size, and each pair of cells is one group that holds the full sets of its members. A group counts the codes that
-    its members share, all pairs at once, and returns a forest over components, so that nothing per pair leaves it.
+    Buckets fall into cells of bounded size, and each pair of cells that could hold such a link is one group with the full sets of its members. A group counts
+    the codes that its members share, all pairs at once, and returns a forest over components, so that nothing per pair leaves it.
     """
     ship(docs.sparkSession)
     rows = members.join(labels.withColumnRenamed("component", "label"), "node", "left").withColumn("label", F.coalesce("label", "node"))
@@ -212,11 +239,11 @@ def cross_links(docs: DataFrame, places: DataFrame, members: DataFrame, labels:
     )
     # buckets with the same members are looked at once
     mixed = mixed.where("a < b AND n > 2").groupBy("n", "x", "y").agg(F.min("key").alias("key"))
-    mixed = mixed.select("key", F.ceil(F.col("n") / options.cell).cast("int").alias("cells"))
-    sliced = stage.table(rows.join(mixed, "key").withColumn("cell", F.pmod(code, F.col("cells")).cast("int")), "cells")
-    sets = sets_of(docs, places, sliced.select("node").distinct(), options)
-    other = F.explode(F.sequence(F.lit(0), F.col("cells") - 1))
-    dealt = sliced.withColumn("other", other).select("key", "node", "label", "cell", F.least("cell", "other").alias("i"), F.greatest("cell", "other").alias("j"))
+    found = stage.table(rows.join(mixed.select("key", "n"), "key").join(nodes.select("node", "size"), "node"), "mixed")
+    placed, pairs = cells_of(found, stage, options)
+    sets = sets_of(docs, places, found.select("node").distinct(), options)
+    ends = pairs.withColumn("cell", F.explode(F.array_distinct(F.array("i", "j"))))
+    dealt = placed.join(ends, ["key", "cell"]).select("key", "i", "j", "node", "label")
     percent = options.percent
 
     def run(table: pa.Table) -> pa.Table:
@@ -282,7 +309,7 @@ def _decided(docs: DataFrame, options: NearOptions) -> DataFrame:
     rows = named.groupBy("set_hash", "doc_id", "row").agg(F.count(F.lit(1)).alias("rows"))
     sets = rows.groupBy("set_hash").agg(F.min(F.struct("doc_id", "row", "rows")).alias("first")).select("set_hash", "first.*")
     places = stage.table(sets.withColumn("node", F.monotonically_increasing_id()), "distinct-sets")  # sets are numbered, as doc_ids need not be their own
-    nodes = named.drop("n_shingles").join(places, ["set_hash", "doc_id", "row"]).select("node", "rows", "bands", "sketch")
+    nodes = named.join(places, ["set_hash", "doc_id", "row"]).select("node", "rows", "bands", "sketch", F.col("n_shingles").alias("size"))
     nodes = stage.table(nodes.where("rows = 1").unionByName(nodes.where("rows > 1").dropDuplicates(["node"])).drop("rows"), "nodes")
 
     members = stage.table(bucket_members(nodes), "members")
@@ -290,7 +317,7 @@ def _decided(docs: DataFrame, options: NearOptions) -> DataFrame:
     stars = stage.table(screened(star_edges(members), nodes, options), "edges")
     first = components(stage.table(verified(docs, places, stars, stage, options), "links"), stage)
     first = stage.table(first, "components")
-    more = cross_links(docs, places, members, first, stage, options)
+    more = cross_links(docs, places, nodes, members, first, stage, options)
     known = first.select(F.col("node").alias("u"), F.col("component").alias("v")).where("u <> v")
     final = components(known.unionByName(more), stage)
 

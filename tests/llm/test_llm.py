@@ -425,7 +425,7 @@ def test_large_boxes_are_walked():
     assert [p for p, _, _ in media.walk(memoryview(wide))] == [(b"moov",), (b"moov", b"free")]
 
 
-def brute_near(rows):
+def brute_near(rows, percent=75):
     sets = []
     for d, t in rows:
         w = (t or "").encode().lower().split()
@@ -439,7 +439,7 @@ def brute_near(rows):
 
     for i, (a, x) in enumerate(sets):
         for b, y in sets[:i]:
-            if x and y and 100 * len(x & y) >= 75 * len(x | y):
+            if x and y and 100 * len(x & y) >= percent * len(x | y):
                 p, q = find(a), find(b)
                 root[max(p, q)] = min(p, q)
     return sorted((d, len(s), find(d), find(d) == d) for d, s in sets)
@@ -474,10 +474,29 @@ def test_near_dedup_of_ids_with_two_texts(spark):
     assert out == sorted((d or 0, t) for d, t in rows if t != a + " more")
 
 
-def test_small_cells_lose_no_link(spark):
+@pytest.mark.parametrize("options", [{"cell": 4}, {"cell": 2, "codes": 100}, {"cell": 6, "rows": 1, "bands": 40}, {"cell": 5, "percent": 60, "rows": 2}])
+def test_small_cells_lose_no_link(spark, options):
     rows = families(random.Random(3))
-    got = sorted(tuple(r) for r in near_dedup.near_report(frame(spark, rows), near_dedup.NearOptions(cell=4)).collect())
-    assert got == brute_near(rows)
+    got = sorted(tuple(r) for r in near_dedup.near_report(frame(spark, rows), near_dedup.NearOptions(**options)).collect())
+    assert got == brute_near(rows, options.get("percent", 75))
+
+
+def test_cells_of_one_component_are_not_compared(spark):
+    rows = [(1, 30, node, 0 if node < 20 else node, 50 + node) for node in range(28)] + [(1, 30, 28, 28, 900), (1, 30, 29, 29, 900)]
+    found = spark.createDataFrame(rows, "key bigint, n bigint, node bigint, label bigint, size int")
+    placed, pairs = near_dedup.cells_of(found, Staging(spark, "cells-test"), near_dedup.NearOptions(cell=4))
+    members = defaultdict(list)
+    for r in placed.collect():
+        members[r["cell"]].append(r["node"])
+    assert sorted(x for m in members.values() for x in m) == list(range(30))
+    met = {frozenset((a, b)) for r in pairs.collect() for a in members[r["i"]] + members[r["j"]] for b in members[r["i"]] + members[r["j"]]}
+    for _, _, a, la, x in rows:
+        for _, _, b, lb, y in rows:
+            assert frozenset((a, b)) in met or la == lb or 100 * min(x, y) < 75 * max(x, y)
+    cells = [set(m) for m in members.values()]
+    assert all(c <= set(range(20)) or not c & set(range(20)) for c in cells) and {28, 29} in cells
+    kinds = [(min(members[r["i"]]), min(members[r["j"]])) for r in pairs.collect()]
+    assert not any(a < 20 and b < 20 for a, b in kinds) and not any((a >= 28) != (b >= 28) for a, b in kinds)
 
 
 def test_near_duplicates_of_odd_rows(spark, odd):
